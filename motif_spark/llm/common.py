@@ -6,6 +6,7 @@ cut the document order into ranges whose bounds (not rows) reach the driver.
 
 from __future__ import annotations
 
+import math
 import tempfile
 from collections.abc import Iterator
 
@@ -26,9 +27,7 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def checkpoint(df: DataFrame) -> DataFrame:
     """Cut the lineage in the folder of spark.checkpoint.dir; a folder of our own only where none is set."""
-    sc = df.sparkSession.sparkContext
-    if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoint-"))
+    shared_folder(df.sparkSession)
     return df.checkpoint()
 
 
@@ -96,3 +95,30 @@ def bucket_of(bounds: np.ndarray):
         return pd.Series(out)
 
     return bucket
+
+
+NO_ID = -(2**63)
+
+
+def ids(column: pa.Array) -> np.ndarray:
+    """Document ids; null becomes the least number, so such rows come before all others."""
+    return column.cast(pa.int64()).fill_null(NO_ID).to_numpy(zero_copy_only=False)
+
+
+def known_ids(x: np.ndarray) -> pa.Array:
+    return pa.array(x, pa.int64(), mask=x == NO_ID)
+
+
+def parts_for(docs: DataFrame, part_bytes: int, text_col: str = "text") -> int:
+    """Parts of about part_bytes of text, from the size of the plan's files; where that is unknown, from the texts."""
+    known = int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    size = 2 * known if 0 < known < 1 << 50 else docs.agg(F.sum(F.octet_length(text_col))).first()[0] or 0
+    return max(partitions(docs.sparkSession), math.ceil(size / part_bytes))
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The checkpoint folder, which all executors share; made if none is set."""
+    sc = spark.sparkContext
+    if sc._jsc.sc().getCheckpointDir().isEmpty():
+        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoint-"))
+    return sc._jsc.sc().getCheckpointDir().get()

@@ -5,10 +5,18 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import license, mixing, quality, simhash
+from . import fingerprint, license, mixing, quality, simhash, suffix_dedup
 from .common import table
 
 
+def op1_bucket_digest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fingerprint.compare_with_edits(table(spark, sf_dir, "documents"))
+
+
+def op2_bucket_refinement(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op3_line_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     cols = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "n_failed_lines"]
     return quality.assess(table(spark, sf_dir, "documents")).select(*cols)
@@ -32,5 +40,5 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return corpus_pipeline.run(spark, sf_dir)
 
 
-QUERIES = {f.__name__: f for f in (op3_line_rules, op5_license_index, op8_source_mix, op9_covering_simhash)}
+QUERIES = {f.__name__: f for f in (op1_bucket_digest, op2_bucket_refinement, op3_line_rules, op5_license_index, op8_source_mix, op9_covering_simhash)}
 SQL: dict[str, str] = {}

@@ -22,7 +22,6 @@ answers carry a null id; an empty table gives an empty result.
 from __future__ import annotations
 
 import hashlib
-import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -30,14 +29,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import partitions, spans, utf8
+from .common import NO_ID, parts_for, spans, utf8
+from .common import ids as ids_of
 
 LENGTH = 100
 ANCHOR = 32
 WIDTH = LENGTH - ANCHOR + 1
 BLOCK_BYTES = 1 << 19
 PART_BYTES = 24 << 20
-NO_ID = -(2**63)
 BLOB = "part int, kind int, blob binary"
 _C = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB)]
 
@@ -172,21 +171,10 @@ def _firsts(keys: list[np.ndarray], doc: np.ndarray, place: np.ndarray) -> np.nd
     return order, new
 
 
-def _ids(column: pa.Array) -> np.ndarray:
-    return column.cast(pa.int64()).fill_null(NO_ID).to_numpy(zero_copy_only=False)
-
-
-def _parts(docs: DataFrame) -> int:
-    """Parts for the size that the plan's files have; where that is unknown, for the texts' lengths."""
-    known = docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()
-    size = 2 * int(known) if 0 < int(known) < 1 << 50 else docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    return max(partitions(docs.sparkSession), math.ceil(size / PART_BYTES))
-
-
 def _anchor_rows(parts: int):
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, (data, offsets) = _ids(batch.column(0)), utf8(batch.column(1))
+            ids, (data, offsets) = ids_of(batch.column(0)), utf8(batch.column(1))
             blocks = list(_text_runs(data, offsets))
             if not blocks:
                 continue
@@ -224,7 +212,7 @@ def _text_rows(parts: int):
 
         squeeze = zstandard.ZstdCompressor(level=1)
         for batch in batches:
-            ids, (data, offsets) = _ids(batch.column(0)), utf8(batch.column(1))
+            ids, (data, offsets) = ids_of(batch.column(0)), utf8(batch.column(1))
             part = _doc_part(ids, parts)
             order = np.argsort(part, kind="stable")
             cuts = np.searchsorted(part[order], np.arange(parts + 1))
@@ -370,7 +358,7 @@ def _remove(with_text: bool):
 def remove_repeats(docs: DataFrame, with_text: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and kept_text) for every row."""
     df = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    parts = _parts(df)
+    parts = parts_for(df, PART_BYTES)
     runs = df.mapInArrow(_anchor_rows(parts), BLOB).repartitionById(parts, "part")
     decided = runs.mapInArrow(_decide_runs(parts), BLOB)
     held = df.mapInArrow(_text_rows(parts), BLOB).unionByName(decided)

@@ -5,8 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprint, license, mixing, quality, simhash, suffix_dedup
+from . import fingerprint, license, mixing, packing, quality, simhash, suffix_dedup, wavelet
 from .common import table
+from .tokens import tokenizer_path
 
 
 def op1_bucket_digest(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -26,6 +27,14 @@ def op5_license_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license.scan(table(spark, sf_dir, "documents"))
 
 
+def op6_wavelet_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return wavelet.round_trip(table(spark, sf_dir, "documents"), tokenizer_path())
+
+
+def op7_bin_completion(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path())
+
+
 def op8_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -40,5 +49,5 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return corpus_pipeline.run(spark, sf_dir)
 
 
-QUERIES = {f.__name__: f for f in (op1_bucket_digest, op2_bucket_refinement, op3_line_rules, op5_license_index, op8_source_mix, op9_covering_simhash)}
+QUERIES = {f.__name__: f for f in (op1_bucket_digest, op2_bucket_refinement, op3_line_rules, op5_license_index, op6_wavelet_shards, op7_bin_completion, op8_source_mix, op9_covering_simhash)}
 SQL: dict[str, str] = {}

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprint, license, mixing, packing, quality, simhash, suffix_dedup, wavelet
+from . import chat, classifier, fingerprint, license, mixing, packing, quality, simhash, suffix_dedup, wavelet
 from .common import table
 from .tokens import tokenizer_path
 
@@ -23,6 +23,10 @@ def op3_line_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.assess(table(spark, sf_dir, "documents")).select(*cols)
 
 
+def op4_perspective_rotation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.rotate(table(spark, sf_dir, "conversations"))
+
+
 def op5_license_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license.scan(table(spark, sf_dir, "documents"))
 
@@ -43,11 +47,15 @@ def op9_covering_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op10_weak_label_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return classifier.classify(table(spark, sf_dir, "documents"))
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     import corpus_pipeline
 
     return corpus_pipeline.run(spark, sf_dir)
 
 
-QUERIES = {f.__name__: f for f in (op1_bucket_digest, op2_bucket_refinement, op3_line_rules, op5_license_index, op6_wavelet_shards, op7_bin_completion, op8_source_mix, op9_covering_simhash)}
-SQL: dict[str, str] = {}
+QUERIES = {f.__name__: f for f in (op1_bucket_digest, op2_bucket_refinement, op3_line_rules, op4_perspective_rotation, op5_license_index, op6_wavelet_shards, op7_bin_completion, op8_source_mix, op9_covering_simhash, op10_weak_label_quality)}
+SQL: dict[str, str] = {"op4_perspective_rotation": chat.ROTATE_SQL}

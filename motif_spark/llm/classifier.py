@@ -24,8 +24,8 @@ from .common import spans, utf8
 #: The scorer is fitted to at most this many documents, those with the smallest hashes; scores cover all.
 SAMPLE = 4_096
 HASHED = 2_048
-PATTERNS = 3**8
-LABELLERS = ("length", "repetition", "marks", "case", "bars", "sentences", "word_length", "lines")
+PATTERNS = 3**9
+LABELLERS = ("length", "repetition", "marks", "case", "bars", "sentences", "word_length", "lines", "prose")
 BLOCK_BYTES = 1 << 20
 ABSTAIN, BAD, GOOD = 0, 1, 2
 _STATS = 8
@@ -78,21 +78,16 @@ def statistics(data: np.ndarray, at: np.ndarray) -> np.ndarray:
 
 
 def votes(stats: np.ndarray) -> np.ndarray:
-    """Votes of the labellers (columns) on each text (rows)."""
+    """Votes of the labellers (columns) on each text (rows). A labeller that looks for one fault has nothing to
+    say where the fault is absent; only the one for plain prose votes good."""
     words, distinct, marks, capitals, bars, ends, size, lines = stats.T
-    vote = lambda bad, good: np.where(bad, BAD, np.where(good, GOOD, ABSTAIN))
     long = words >= 20
-    spread = np.where(words > 400, 0.25, 0.45)
-    return np.stack([
-        vote(words < 8, words >= 25),
-        vote(long & (distinct < spread * 0.6), long & (distinct >= spread)),
-        vote(marks > 0.5, marks < 0.05),
-        vote(capitals > 0.5, capitals < 0.15),
-        vote(bars > 0.25, bars < 0.02),
-        vote(long & ((ends < 0.01) | (ends > 0.6)), (ends >= 0.02) & (ends <= 0.4)),
-        vote((size < 2) | (size > 20), (size >= 3.5) & (size <= 10)),
-        vote(lines > 0.5, lines < 0.2),
-    ], 1).astype(np.int64)
+    spread = np.where(words > 400, 0.12, 0.3)
+    clean = (words >= 10) & (marks < 0.1) & (capitals < 0.2) & (bars < 0.02) & (ends < 0.6) & (size >= 2.5) & (size <= 15) & (~long | (distinct >= spread))
+    bad = [words < 6, long & (distinct < spread * 0.7), marks > 0.4, capitals > 0.5, bars > 0.2, long & ((ends < 0.005) | (ends > 0.7)), (size < 2) | (size > 20), lines > 0.5]
+    faults = np.sum(bad, 0)
+    prose = np.where(clean, GOOD, np.where(faults >= 2, BAD, ABSTAIN))
+    return np.stack([*(np.where(b, BAD, ABSTAIN) for b in bad), prose], 1).astype(np.int64)
 
 
 def pattern(v: np.ndarray) -> np.ndarray:
@@ -103,7 +98,7 @@ def patterns_to_votes(codes: np.ndarray, labellers: int = len(LABELLERS)) -> np.
     return codes[:, None] // 3 ** np.arange(labellers) % 3
 
 
-def label_model(v: np.ndarray, counts: np.ndarray, rounds: int = 200, start_good: float = 0.8) -> dict[str, np.ndarray]:
+def label_model(v: np.ndarray, counts: np.ndarray, rounds: int = 200, start_good: float = 0.7) -> dict[str, np.ndarray]:
     """EM for the chance of each vote given good or bad, votes independent given the class.
 
     It starts from labellers that are right in 80 of 100 votes, so classes keep their meaning; counts of one

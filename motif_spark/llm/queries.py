@@ -57,5 +57,5 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return corpus_pipeline.run(spark, sf_dir)
 
 
-QUERIES = {f.__name__: f for f in (op1_bucket_digest, op2_bucket_refinement, op3_line_rules, op4_perspective_rotation, op5_license_index, op6_wavelet_shards, op7_bin_completion, op8_source_mix, op9_covering_simhash, op10_weak_label_quality)}
+QUERIES = {f.__name__: f for f in (op1_bucket_digest, op2_bucket_refinement, op3_line_rules, op4_perspective_rotation, op5_license_index, op6_wavelet_shards, op7_bin_completion, op8_source_mix, op9_covering_simhash, op10_weak_label_quality, pipeline)}
 SQL: dict[str, str] = {"op4_perspective_rotation": chat.ROTATE_SQL}

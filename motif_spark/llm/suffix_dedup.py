@@ -38,6 +38,9 @@ WIDTH = LENGTH - ANCHOR + 1
 BLOCK_BYTES = 1 << 19
 PART_BYTES = 24 << 20
 BLOB = "part int, kind int, blob binary"
+# Packed columns: of runs (bucket, content, document, place, places more), of decided runs (document, place,
+# more, several contents), of strings (two identifiers, document, place), of first strings, of texts.
+RUNS, DECIDED, STRINGS, FIRSTS, TEXTS = "u8 u8 di8 du4 u1", "di8 du4 u1 u1", "u8 u4 di8 du4", "di8 du4", "di8 i8"
 _C = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB)]
 
 
@@ -121,22 +124,33 @@ def _text_runs(data: np.ndarray, offsets: np.ndarray) -> Iterator[tuple[np.ndarr
                 yield bucket[own], content[own], np.full(own.sum(), i), lo[own], more[own]
 
 
-def _pack(*columns: np.ndarray) -> bytes:
-    return len(columns[0]).to_bytes(8, "little") + b"".join(np.ascontiguousarray(c).tobytes() for c in columns)
+def _pack(kinds: str, *columns: np.ndarray) -> bytes:
+    """Columns of one length, those marked d as steps from row to row, squeezed together."""
+    import zstandard
+
+    raw = []
+    for kind, c in zip(kinds.split(), columns):
+        c = c.astype(kind[1:] if kind[0] == "d" else kind)
+        raw.append((np.diff(c, prepend=c.dtype.type(0)) if kind[0] == "d" else c).tobytes())
+    return len(columns[0]).to_bytes(8, "little") + zstandard.ZstdCompressor(level=1).compress(b"".join(raw))
 
 
-def _unpack(blob: memoryview, kinds: str) -> list[np.ndarray]:
-    n, at, out = int.from_bytes(blob[:8], "little"), 8, []
+def _unpack(blob: bytes, kinds: str) -> list[np.ndarray]:
+    import zstandard
+
+    n, at, out = int.from_bytes(blob[:8], "little"), 0, []
+    raw = zstandard.ZstdDecompressor().decompress(blob[8:]) if n else b""
     for kind in kinds.split():
-        size = np.dtype(kind).itemsize * n
-        out.append(np.frombuffer(blob, kind, n, at))
-        at += size
+        dtype = np.dtype(kind[1:] if kind[0] == "d" else kind)
+        c = np.frombuffer(raw, dtype, n, at) if n else np.zeros(0, dtype)
+        out.append(np.cumsum(c, dtype=dtype) if kind[0] == "d" else c)
+        at += dtype.itemsize * n
     return out
 
 
 def _gather(blobs: list, kinds: str) -> list[np.ndarray]:
-    parts = [_unpack(memoryview(b), kinds) for b in blobs]
-    return [np.concatenate([p[k] for p in parts]) if parts else np.zeros(0, kind) for k, kind in enumerate(kinds.split())]
+    parts = [_unpack(b, kinds) for b in blobs]
+    return [np.concatenate([p[k] for p in parts]) if parts else np.zeros(0, kind[-2:]) for k, kind in enumerate(kinds.split())]
 
 
 def _part(x: np.ndarray, parts: int) -> np.ndarray:
@@ -147,7 +161,7 @@ def _doc_part(doc: np.ndarray, parts: int) -> np.ndarray:
     return _part(_mix(doc.astype(np.int64).view(np.uint64) * _C[0] + _C[5]), parts)
 
 
-def _deal(part: np.ndarray, kind: int, *columns: np.ndarray) -> Iterator[pa.RecordBatch]:
+def _deal(kinds: str, part: np.ndarray, kind: int, *columns: np.ndarray) -> Iterator[pa.RecordBatch]:
     """A packed row for each part."""
     order = np.argsort(part, kind="stable")
     part = part[order]
@@ -156,7 +170,7 @@ def _deal(part: np.ndarray, kind: int, *columns: np.ndarray) -> Iterator[pa.Reco
     ids = [int(part[a]) for a in cuts[:-1]] if len(part) else []
     for k in range(0, len(ids), 64):
         some = range(k, min(k + 64, len(ids)))
-        blobs = [_pack(*[c[cuts[x] : cuts[x + 1]] for c in columns]) for x in some]
+        blobs = [_pack(kinds, *[c[cuts[x] : cuts[x + 1]] for c in columns]) for x in some]
         yield pa.RecordBatch.from_arrays([pa.array([ids[x] for x in some], pa.int32()), pa.array([kind] * len(blobs), pa.int32()), pa.array(blobs, pa.binary())], ["part", "kind", "blob"])
 
 
@@ -181,8 +195,9 @@ def _anchor_rows(parts: int):
             bucket, content, text, place, more = (np.concatenate([b[k] for b in blocks]) for k in range(5))
             doc, place = ids[text], place - offsets[text]
             order, new = _firsts([bucket, content], doc, place)
-            keep = np.sort(order[new])
-            yield from _deal(_part(bucket[keep], parts), 0, bucket[keep], content[keep], doc[keep], place[keep].astype(np.uint32), more[keep].astype(np.uint8))
+            keep = order[new]
+            keep = keep[np.lexsort((place[keep], doc[keep]))]
+            yield from _deal(RUNS, _part(bucket[keep], parts), 0, bucket[keep], content[keep], doc[keep], place[keep], more[keep])
 
     return kernel
 
@@ -192,14 +207,16 @@ def _decide_runs(parts: int):
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         blobs = [x.as_py() for batch in batches for x in batch.column(2)]
-        bucket, content, doc, place, more = _gather(blobs, "u8 u8 i8 u4 u1")
+        bucket, content, doc, place, more = _gather(blobs, RUNS)
         blobs.clear()
         order, new = _firsts([bucket, content], doc, place)
         keep = order[new]
         b = bucket[keep]
         same = b[1:] == b[:-1]
         several = np.append(same, False) | np.append(False, same)
-        yield from _deal(_doc_part(doc[keep], parts), 0, doc[keep], place[keep], more[keep], several.astype(np.uint8))
+        by_doc = np.lexsort((place[keep], doc[keep]))
+        keep, several = keep[by_doc], several[by_doc]
+        yield from _deal(DECIDED, _doc_part(doc[keep], parts), 0, doc[keep], place[keep], more[keep], several)
 
     return kernel
 
@@ -210,7 +227,7 @@ def _text_rows(parts: int):
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
 
-        squeeze = zstandard.ZstdCompressor(level=1)
+        squeeze = zstandard.ZstdCompressor(level=3)
         for batch in batches:
             ids, (data, offsets) = ids_of(batch.column(0)), utf8(batch.column(1))
             part = _doc_part(ids, parts)
@@ -222,7 +239,8 @@ def _text_rows(parts: int):
                 at = np.concatenate([[0], np.cumsum(sizes)])
                 for a, b in spans(at, 8 * BLOCK_BYTES):
                     text = b"".join(data[offsets[r] : offsets[r + 1]].tobytes() for r in rows[a:b])
-                    blob = _pack(ids[rows[a:b]], sizes[a:b]) + squeeze.compress(text)
+                    head = _pack(TEXTS, ids[rows[a:b]], sizes[a:b])
+                    blob = len(head).to_bytes(8, "little") + head + squeeze.compress(text)
                     yield pa.RecordBatch.from_arrays([pa.array([p], pa.int32()), pa.array([1], pa.int32()), pa.array([blob], pa.binary())], ["part", "kind", "blob"])
 
     return kernel
@@ -233,8 +251,9 @@ def _texts(blobs: list) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
     import zstandard
 
     for blob in blobs:
-        ids, sizes = _unpack(memoryview(blob), "i8 i8")
-        data = zstandard.ZstdDecompressor().decompress(blob[8 + 16 * len(ids) :]) if sizes.sum() else b""
+        cut = 8 + int.from_bytes(blob[:8], "little")
+        ids, sizes = _unpack(blob[8:cut], TEXTS)
+        data = zstandard.ZstdDecompressor().decompress(blob[cut:]) if sizes.sum() else b""
         yield ids, np.concatenate([[0], np.cumsum(sizes)]), np.frombuffer(data, np.uint8)
 
 
@@ -258,7 +277,7 @@ def _open_strings(parts: int):
     """Identifiers of the strings of undecided runs, the part's first of each."""
 
     def kernel(table: pa.Table) -> pa.Table:
-        doc, place, more, several = _gather(_kinds(table, 0), "i8 u4 u1 u1")
+        doc, place, more, several = _gather(_kinds(table, 0), DECIDED)
         held = several == 1
         doc, place, more = doc[held], place[held].astype(np.int64), more[held].astype(np.int64)
         order = np.argsort(doc, kind="stable")
@@ -283,7 +302,8 @@ def _open_strings(parts: int):
         full, other, d, s = (np.concatenate([f[k] for f in found]) for k in range(4))
         order, new = _firsts([full, other], d, s)
         keep = order[new]
-        return pa.Table.from_batches(list(_deal(_part(full[keep], parts), 0, full[keep], other[keep], d[keep], s[keep].astype(np.uint32))))
+        keep = keep[np.lexsort((s[keep], d[keep]))]
+        return pa.Table.from_batches(list(_deal(STRINGS, _part(full[keep], parts), 0, full[keep], other[keep], d[keep], s[keep])))
 
     return kernel
 
@@ -291,11 +311,12 @@ def _open_strings(parts: int):
 def _decide_strings(parts: int):
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         blobs = [x.as_py() for batch in batches for x in batch.column(2)]
-        full, other, doc, place = _gather(blobs, "u8 u4 i8 u4")
+        full, other, doc, place = _gather(blobs, STRINGS)
         blobs.clear()
         order, new = _firsts([full, other], doc, place)
         keep = order[new]
-        yield from _deal(_doc_part(doc[keep], parts), 2, doc[keep], place[keep])
+        keep = keep[np.lexsort((place[keep], doc[keep]))]
+        yield from _deal(FIRSTS, _doc_part(doc[keep], parts), 2, doc[keep], place[keep])
 
     return kernel
 
@@ -304,8 +325,8 @@ def _remove(with_text: bool):
     """Cuts the repeated bytes out of every text of a part."""
 
     def kernel(left: pa.Table, right: pa.Table) -> pa.Table:
-        doc, place, more, several = _gather(_kinds(left, 0), "i8 u4 u1 u1")
-        d2, s2 = _gather(_kinds(right, 2), "i8 u4")
+        doc, place, more, several = _gather(_kinds(left, 0), DECIDED)
+        d2, s2 = _gather(_kinds(right, 2), FIRSTS)
         sure = several == 0
         doc = np.concatenate([doc[sure], d2])
         place = np.concatenate([place[sure], s2]).astype(np.int64)

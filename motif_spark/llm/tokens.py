@@ -8,15 +8,32 @@ from __future__ import annotations
 
 import os
 import re
+import unicodedata
 from collections.abc import Callable, Iterator
 
 #: Pieces that a worker remembers; beyond it the cache starts anew.
-CACHE = 600_000
+CACHE = 1_000_000
 FILE = "word_bpe_49k.json"
 
 #: A run of letters and a run of marks are separate words of the tokenizer; an apostrophe may begin a suffix.
 _MARKED = re.compile(rb"([a-z]+)([!-&(-/:-@\[-`{-~]+)|([!-&(-/:-@\[-`{-~]+)([a-z]+)")
 
+# Fixed values of byte-level BPE: printable bytes stand for themselves, the others for code points from 256 on.
+_PRINTED = [*range(33, 127), *range(161, 173), *range(174, 256)]
+_BYTE_CHARS = {b: b for b in _PRINTED} | {b: 256 + k for k, b in enumerate(b for b in range(256) if b not in _PRINTED)}
+
+
+def _word(piece: bytes) -> str:
+    """The model's form of a piece that is one word of letters in normal form; empty for any other piece."""
+    if piece.isalpha():
+        return piece.decode()
+    text = piece.decode()
+    if not text.isalpha() or "\u03a3" in text or "\u0130" in text or not unicodedata.is_normalized("NFC", text):
+        return ""
+    text = text.lower()
+    return text.encode().decode("latin-1").translate(_BYTE_CHARS) if text.isalpha() else ""
+
+
 _coders: dict[str, Callable] = {}
 
 
@@ -31,7 +48,7 @@ def coder(path: str) -> Callable[[list[bytes]], Iterator[bytes]]:
     tok = Tokenizer.from_file(path)
     batch = getattr(tok, "encode_batch_fast", tok.encode_batch)
     pack = lambda ids: np.array(ids, "<u4").tobytes()
-    known: dict[bytes, bytes] = {}
+    model, known = tok.model, {}
 
     def encode(texts: list[bytes]) -> Iterator[bytes]:
         for text in texts:
@@ -48,6 +65,9 @@ def coder(path: str) -> Callable[[list[bytes]], Iterator[bytes]]:
                     new = set(pieces)
                 halves = {x: (m[1] or m[3], m[2] or m[4]) for x in new if (m := _MARKED.fullmatch(x))}
                 plain = list((new - halves.keys()).union(y for h in halves.values() for y in h if y not in known))
+                words = {x: w for x in plain if (w := _word(x))}
+                known.update({x: pack([t.id for t in model.tokenize(w)]) for x, w in words.items()})
+                plain = [x for x in plain if x not in words]
                 for k in range(0, len(plain), 4096):
                     some = plain[k : k + 4096]
                     known.update(zip(some, (pack(e.ids) for e in batch([x.decode() for x in some], add_special_tokens=False))))

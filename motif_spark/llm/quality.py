@@ -99,7 +99,9 @@ def keep_documents(docs: DataFrame) -> DataFrame:
     """The documents that pass, with their clean text; the columns stay those of the input."""
     held = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")
     # A filter on a plain column would be pushed below the array expressions and repeat them for each element;
-    # it is not pushed below a column with rand(), which is never negative.
-    judged = assess(docs.select(held, "text"), "_row").withColumn("_kept", F.when(F.rand(1) >= 0, F.col("kept"))).filter("_kept")
-    new = {"text": F.col("clean_text"), "n_chars": F.length("clean_text").cast("long")}
-    return judged.select(*[new[c].alias(c) if c in new else F.col("doc_id")[c].alias(c) for c in docs.columns])
+    # a filter on what an outer generator makes stays above it.
+    one = F.array(F.struct(F.col("doc_id").alias("row"), "clean_text"))
+    judged = assess(docs.select(held, "text"), "_row").withColumn("_one", F.explode_outer(F.when(F.col("kept"), one))).filter("_one is not null")
+    r = lambda c: F.col("_one.row")[c]
+    new = {"text": F.col("_one.clean_text"), "n_chars": F.length("_one.clean_text").cast("long")}
+    return judged.select(*[new[c].alias(c) if c in new else r(c).alias(c) for c in docs.columns])

@@ -163,7 +163,7 @@ def op_udf(spark, sf_dir):
 
     register_all(spark)
     rows = induce(_graphs(spark, sf_dir).withColumn("members", F.array(F.lit(0), F.lit(1), F.lit(2))))
-    return rows.select("graph_id", F.call_function("motif_code", F.col("labels"), F.col("bits")).alias("code"))
+    return spark.sql("SELECT graph_id, motif_code(labels, bits) AS code FROM {rows}", rows=rows)
 
 
 @frame("SELECT label, count(*) AS n FROM embeddings GROUP BY 1")

@@ -5,13 +5,17 @@ from __future__ import annotations
 import numpy as np
 
 
+#: Training may use single precision; gradients are checked in double.
+DTYPE = np.float64
+
+
 class Tensor:
     """An array that remembers how it was made."""
 
     __slots__ = ("value", "grad", "parents", "back")
 
     def __init__(self, value, parents=(), back=None):
-        self.value = np.asarray(value, np.float64)
+        self.value = np.asarray(value, DTYPE)
         self.grad, self.parents, self.back = None, parents, back
 
     def backward(self) -> None:

@@ -97,6 +97,26 @@ def bucket_of(bounds: np.ndarray):
     return bucket
 
 
+def release() -> None:
+    """Give freed memory back to the system: workers are kept for later stages, whose share it would be."""
+    import ctypes
+
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
+def freeing(kernel):
+    """The kernel over batches, with its memory released at the end of each task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from kernel(batches)
+        release()
+
+    return run
+
+
 NO_ID = -(2**63)
 
 

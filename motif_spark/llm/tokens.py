@@ -9,14 +9,16 @@ from __future__ import annotations
 import os
 import re
 import unicodedata
+from array import array
 from collections.abc import Callable, Iterator
+from itertools import islice
 
-#: Pieces that a worker remembers; beyond it the cache starts anew.
-CACHE = 1_000_000
+#: Pieces that a worker remembers, in two generations: when the younger is half of it, the older goes.
+CACHE = 600_000
 FILE = "word_bpe_49k.json"
 
 #: A run of letters and a run of marks are separate words of the tokenizer; an apostrophe may begin a suffix.
-_MARKED = re.compile(rb"([a-z]+)([!-&(-/:-@\[-`{-~]+)|([!-&(-/:-@\[-`{-~]+)([a-z]+)")
+_MARKED = re.compile(rb"([a-z\x80-\xff]+)([!-&(-/:-@\[-`{-~]+)|([!-&(-/:-@\[-`{-~]+)([a-z\x80-\xff]+)")
 
 # Fixed values of byte-level BPE: printable bytes stand for themselves, the others for code points from 256 on.
 _PRINTED = [*range(33, 127), *range(161, 173), *range(174, 256)]
@@ -42,38 +44,55 @@ def coder(path: str) -> Callable[[list[bytes]], Iterator[bytes]]:
     if path in _coders:
         return _coders[path]
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    import numpy as np
     from tokenizers import Tokenizer
 
     tok = Tokenizer.from_file(path)
-    batch = getattr(tok, "encode_batch_fast", tok.encode_batch)
-    pack = lambda ids: np.array(ids, "<u4").tobytes()
-    model, known = tok.model, {}
+    pack = lambda ids: array("I", ids).tobytes()  # noqa: E731  little-endian as is every machine that Spark runs on
+    tokenize, marked, young, old = tok.model.tokenize, _MARKED.fullmatch, {}, {}
+
+    def make(piece: bytes) -> bytes:
+        if piece.isalpha():
+            return pack([t.id for t in tokenize(piece.decode())])
+        if m := marked(piece):
+            word, mark = (m[1], m[2]) if m[1] else (m[4], m[3])
+            a = young.get(word) or old.get(word)
+            if a is None and (form := _word(word)):
+                a = young[word] = pack([t.id for t in tokenize(form)])
+            if a is not None:
+                b = young.get(mark) or old.get(mark)
+                if b is None:
+                    b = young[mark] = pack(tok.encode(mark.decode(), add_special_tokens=False).ids)
+                return a + b if m[1] else b + a
+        elif form := _word(piece):
+            return pack([t.id for t in tokenize(form)])
+        return pack(tok.encode(piece.decode(), add_special_tokens=False).ids)
+
+    def learn(pieces: set[bytes]) -> None:
+        """Ids of pieces that the younger generation lacks."""
+        for x in pieces:
+            young[x] = old.get(x) or make(x)
 
     def encode(texts: list[bytes]) -> Iterator[bytes]:
+        nonlocal young, old
         for text in texts:
             if b"<|" in text:
                 yield pack(tok.encode(text.decode(), add_special_tokens=False).ids)
                 continue
             pieces = text.lower().split()
             try:
-                yield b"".join(map(known.__getitem__, pieces))
+                yield b"".join(map(young.__getitem__, pieces))
             except KeyError:
-                new = set(pieces).difference(known)
-                if len(known) + 2 * len(new) > CACHE:
-                    known.clear()
-                    new = set(pieces)
-                halves = {x: (m[1] or m[3], m[2] or m[4]) for x in new if (m := _MARKED.fullmatch(x))}
-                plain = list((new - halves.keys()).union(y for h in halves.values() for y in h if y not in known))
-                words = {x: w for x in plain if (w := _word(x))}
-                known.update({x: pack([t.id for t in model.tokenize(w)]) for x, w in words.items()})
-                plain = [x for x in plain if x not in words]
-                for k in range(0, len(plain), 4096):
-                    some = plain[k : k + 4096]
-                    known.update(zip(some, (pack(e.ids) for e in batch([x.decode() for x in some], add_special_tokens=False))))
-                known.update({x: known[a] + known[b] for x, (a, b) in halves.items()})
-                yield b"".join(map(known.__getitem__, pieces))
+                if len(young) > CACHE // 2:
+                    young, old = {}, young
+                learn(set(pieces).difference(young))
+                yield b"".join(map(young.__getitem__, pieces))
 
+    def shrink(keep: int) -> None:
+        """Keep the oldest entries, which are mostly frequent pieces."""
+        nonlocal young, old
+        young, old = dict(islice(young.items(), keep)), {}
+
+    encode.shrink = shrink
     _coders[path] = encode
     return encode
 

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import NO_ID, cuts, ids, known_ids, parts_for, shared_folder, utf8
+from .common import NO_ID, cuts, freeing, ids, known_ids, parts_for, shared_folder, utf8
 from .tokens import coder
 
 END = 1
@@ -144,9 +144,10 @@ def _encode(path: str, end_id: int):
             shard = batch.column(0)[0].as_py()
             keys.append(ids(batch.column(1)))
             data, at = utf8(batch.column(2))
-            own = [np.frombuffer(x + end, "<u4") for x in encode([data[at[k] : at[k + 1]].tobytes() for k in range(batch.num_rows)])]
-            sizes += [len(x) for x in own]
-            parts.append(np.concatenate(own).astype(np.uint16 if all(x.max() < 1 << 16 for x in own) else np.uint32))
+            own = list(encode([data[at[k] : at[k + 1]].tobytes() for k in range(batch.num_rows)]))
+            sizes += [len(x) // 4 + 1 for x in own]
+            values = np.frombuffer(end.join([*own, b""]), "<u4")
+            parts.append(values.astype(np.uint16 if values.max() < 1 << 16 else np.uint32))
         if shard is None:
             return
         matrix = WaveletMatrix.build(np.concatenate(parts))
@@ -163,7 +164,7 @@ def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int = END, id_co
     bounds = cuts(df, "doc_id", parts_for(df, SHARD_BYTES))
     shard = F.pandas_udf(lambda key: __import__("pandas").Series(np.searchsorted(bounds, key.to_numpy(), "right")), "int")
     dealt = df.withColumn("shard", shard("doc_id")).select("shard", "doc_id", "text").repartitionById(len(bounds) + 1, "shard")
-    dealt.sortWithinPartitions("doc_id", "text").mapInArrow(_encode(tokenizer, end_id), FILE).write.parquet(folder)
+    dealt.sortWithinPartitions("doc_id", "text").mapInArrow(freeing(_encode(tokenizer, end_id)), FILE).write.parquet(folder)
 
 
 def read(spark: SparkSession, folder: str) -> DataFrame:

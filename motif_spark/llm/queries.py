@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, classifier, fingerprint, license, mixing, packing, quality, simhash, suffix_dedup, wavelet
+from . import chat, classifier, fingerprint, license, mixing, packing, quality, simhash, sql, suffix_dedup, wavelet
 from .common import table
 from .tokens import tokenizer_path
 
@@ -58,4 +58,4 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_bucket_digest, op2_bucket_refinement, op3_line_rules, op4_perspective_rotation, op5_license_index, op6_wavelet_shards, op7_bin_completion, op8_source_mix, op9_covering_simhash, op10_weak_label_quality, pipeline)}
-SQL: dict[str, str] = {"op4_perspective_rotation": chat.ROTATE_SQL}
+SQL: dict[str, str] = {"op3_line_rules": sql.QUALITY, "op4_perspective_rotation": chat.ROTATE_SQL, "op5_license_index": sql.LICENSE, "op8_source_mix": sql.MIX}

@@ -5,7 +5,7 @@ an odd inner product with v. Any r places span less than the whole space, so for
 some v is orthogonal to all the places that differ: the pair meets in that table, with certainty.
 
 Defined cases: null, empty and wordless texts have fingerprint zero and are linked like any other;
-repeated rows and ids are kept, each with its component; an empty table gives an empty result.
+repeated rows and ids are kept, each with its component; null ids are passed over for the smallest id; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checkpoint, spans, utf8
+from .common import checkpoint, freeing, spans, utf8
 
 RADIUS = 3
 #: Buckets of more fingerprints are divided by a second covering of the places that the first left out.
@@ -78,7 +78,7 @@ def fingerprints(docs: DataFrame, width: int = 3, id_col: str = "doc_id", text_c
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out.view(np.int64))], ["doc_id", "fp"])
 
     kind = dict(docs.dtypes)[id_col]
-    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col)).mapInArrow(kernel, f"doc_id {kind}, fp bigint")
+    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col)).mapInArrow(freeing(kernel), f"doc_id {kind}, fp bigint")
 
 
 def _tables(df: DataFrame, masks: list[int]) -> DataFrame:
@@ -203,8 +203,9 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS, width: int = 3, id_co
 
 
 def one_of_each(docs: DataFrame, **options) -> DataFrame:
-    """The documents whose id is their component's smallest; of repeated ids one row stays."""
-    keep = near_duplicates(docs, **options).filter(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
-    kept = docs.join(keep, "doc_id", "left_semi")
+    """The documents whose id is their component's smallest; of rows that share an id, null included, one stays."""
+    found = near_duplicates(docs.select("doc_id", "text"), **options)
+    keep = found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__kept")).distinct()
+    kept = docs.join(keep, F.col("doc_id").eqNullSafe(F.col("__kept")), "left_semi")
     first = F.row_number().over(Window.partitionBy("doc_id").orderBy(F.xxhash64(F.coalesce("text", F.lit("")))))
-    return kept.withColumn("_first", first).filter("_first = 1").select(*docs.columns)
+    return kept.withColumn("__first", first).filter("__first = 1").drop("__first")

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NO_ID, parts_for, spans, utf8
+from .common import NO_ID, freeing, parts_for, release, spans, utf8
 from .common import ids as ids_of
 
 LENGTH = 100
@@ -222,7 +222,7 @@ def _decide_runs(parts: int):
 
 
 def _text_rows(parts: int):
-    """Compressed blocks of texts by document part."""
+    """Compressed blocks of texts by document part, with the columns after the text."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
@@ -239,22 +239,29 @@ def _text_rows(parts: int):
                 at = np.concatenate([[0], np.cumsum(sizes)])
                 for a, b in spans(at, 8 * BLOCK_BYTES):
                     text = b"".join(data[offsets[r] : offsets[r + 1]].tobytes() for r in rows[a:b])
-                    head = _pack(TEXTS, ids[rows[a:b]], sizes[a:b])
-                    blob = len(head).to_bytes(8, "little") + head + squeeze.compress(text)
+                    head, other = _pack(TEXTS, ids[rows[a:b]], sizes[a:b]), b""
+                    if batch.num_columns > 2:
+                        sink = pa.BufferOutputStream()
+                        held = pa.record_batch([c.take(pa.array(rows[a:b])) for c in batch.columns[2:]], names=batch.schema.names[2:])
+                        with pa.ipc.new_stream(sink, held.schema) as stream:
+                            stream.write_batch(held)
+                        other = squeeze.compress(sink.getvalue().to_pybytes())
+                    blob = b"".join([len(head).to_bytes(8, "little"), head, len(other).to_bytes(8, "little"), other, squeeze.compress(text)])
                     yield pa.RecordBatch.from_arrays([pa.array([p], pa.int32()), pa.array([1], pa.int32()), pa.array([blob], pa.binary())], ["part", "kind", "blob"])
 
     return kernel
 
 
-def _texts(blobs: list) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    """(ids, offsets, bytes) of each block of _text_rows."""
+def _texts(blobs: list) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, bytes]]:
+    """(ids, offsets, bytes, other columns) of each block of _text_rows."""
     import zstandard
 
     for blob in blobs:
         cut = 8 + int.from_bytes(blob[:8], "little")
+        last = cut + 8 + int.from_bytes(blob[cut : cut + 8], "little")
         ids, sizes = _unpack(blob[8:cut], TEXTS)
-        data = zstandard.ZstdDecompressor().decompress(blob[cut:]) if sizes.sum() else b""
-        yield ids, np.concatenate([[0], np.cumsum(sizes)]), np.frombuffer(data, np.uint8)
+        data = zstandard.ZstdDecompressor().decompress(blob[last:]) if sizes.sum() else b""
+        yield ids, np.concatenate([[0], np.cumsum(sizes)]), np.frombuffer(data, np.uint8), blob[cut + 8 : last]
 
 
 def _kinds(table: pa.Table, kind: int) -> list[bytes]:
@@ -283,7 +290,7 @@ def _open_strings(parts: int):
         order = np.argsort(doc, kind="stable")
         doc, place, more = doc[order], place[order], more[order]
         found = []
-        for ids, offsets, data in _texts(_kinds(table, 1)):
+        for ids, offsets, data, _ in _texts(_kinds(table, 1)):
             a, n = _of_ids(doc, ids)
             rows = _spread(a, n)
             text = np.repeat(np.arange(len(ids)), n)
@@ -303,6 +310,7 @@ def _open_strings(parts: int):
         order, new = _firsts([full, other], d, s)
         keep = order[new]
         keep = keep[np.lexsort((s[keep], d[keep]))]
+        release()
         return pa.Table.from_batches(list(_deal(STRINGS, _part(full[keep], parts), 0, full[keep], other[keep], d[keep], s[keep])))
 
     return kernel
@@ -321,10 +329,13 @@ def _decide_strings(parts: int):
     return kernel
 
 
-def _remove(with_text: bool):
-    """Cuts the repeated bytes out of every text of a part."""
+def _remove(carried: list[str]):
+    """Cuts the repeated bytes out of every text of a part: its figures, or its rest with the carried columns."""
 
     def kernel(left: pa.Table, right: pa.Table) -> pa.Table:
+        import zstandard
+
+        tables: list[pa.Table] = []
         doc, place, more, several = _gather(_kinds(left, 0), DECIDED)
         d2, s2 = _gather(_kinds(right, 2), FIRSTS)
         sure = several == 0
@@ -333,8 +344,8 @@ def _remove(with_text: bool):
         size = np.concatenate([more[sure].astype(np.int64) + 1, np.ones(len(d2), np.int64)])
         order = np.argsort(doc, kind="stable")
         doc, place, size = doc[order], place[order], size[order]
-        out: list[list] = [[], [], [], [], [], []]
-        for ids, offsets, data in _texts(_kinds(left, 1)):
+        out: list[list] = [[], [], [], [], []]
+        for ids, offsets, data, other in _texts(_kinds(left, 1)):
             a, n = _of_ids(doc, ids)
             rows, text = _spread(a, n), np.repeat(np.arange(len(ids)), n)
             total, last = int(offsets[-1]), offsets[text + 1]
@@ -358,40 +369,56 @@ def _remove(with_text: bool):
             full = offsets[:-1][offsets[:-1] < offsets[1:]]
             begin[full] = gone[full]
             spans_ = np.concatenate([[0], np.cumsum(begin)])
+            rest = []
             for k, doc_id in enumerate(ids):
                 x, y = offsets[k], offsets[k + 1]
                 kept = data[x:y] if count[y] == count[x] else data[x:y][~gone[x:y]]
                 kept = kept.tobytes()
+                if carried:
+                    rest.append(kept.decode("utf-8", "ignore"))
+                    continue
                 out[0].append(None if doc_id == NO_ID else int(doc_id))
                 out[1].append(int(y - x))
                 out[2].append(int(count[y] - count[x]))
                 out[3].append(int(spans_[y] - spans_[x]))
                 out[4].append(hashlib.sha256(kept).hexdigest())
-                if with_text:
-                    out[5].append(kept.decode("utf-8", "ignore"))
-        arrays = [pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.int64()), pa.array(out[3], pa.int64()), pa.array(out[4], pa.string())]
-        names_ = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"]
-        return pa.table(arrays + [pa.array(out[5], pa.string())] * with_text, names=names_ + ["kept_text"] * with_text)
+            if carried:
+                held = pa.ipc.open_stream(zstandard.ZstdDecompressor().decompress(other)).read_all()
+                tables.append(held.append_column("kept_text", pa.array(rest, pa.string())))
+        release()
+        if carried:
+            return pa.concat_tables(tables) if tables else pa.table({c: pa.nulls(0) for c in [*carried, "kept_text"]})
+        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string())
+        return pa.table([pa.array(x, t) for x, t in zip(out, kinds)], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
     return kernel
 
 
-def remove_repeats(docs: DataFrame, with_text: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and kept_text) for every row."""
-    df = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+def _plan(df: DataFrame, carried: list[str], schema) -> DataFrame:
     parts = parts_for(df, PART_BYTES)
-    runs = df.mapInArrow(_anchor_rows(parts), BLOB).repartitionById(parts, "part")
-    decided = runs.mapInArrow(_decide_runs(parts), BLOB)
-    held = df.mapInArrow(_text_rows(parts), BLOB).unionByName(decided)
+    keys = df.select("doc_id", "text")
+    runs = keys.mapInArrow(freeing(_anchor_rows(parts)), BLOB).repartitionById(parts, "part")
+    decided = runs.mapInArrow(freeing(_decide_runs(parts)), BLOB)
+    held = df.mapInArrow(freeing(_text_rows(parts)), BLOB).unionByName(decided)
     strings = held.groupBy("part").applyInArrow(_open_strings(parts), BLOB).repartitionById(parts, "part")
-    firsts = strings.mapInArrow(_decide_strings(parts), BLOB)
-    schema = "doc_id bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string" + ", kept_text string" * with_text
-    return held.groupBy("part").cogroup(firsts.groupBy("part")).applyInArrow(_remove(with_text), schema)
+    firsts = strings.mapInArrow(freeing(_decide_strings(parts)), BLOB)
+    return held.groupBy("part").cogroup(firsts.groupBy("part")).applyInArrow(_remove(carried), schema)
+
+
+def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for every row."""
+    df = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    return _plan(df, [], "doc_id bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string")
 
 
 def cleaned_documents(docs: DataFrame) -> DataFrame:
-    """The documents with their repeated bytes cut out; cut characters go whole. Other columns are kept."""
-    kept = remove_repeats(docs, True).select(F.col("doc_id").alias("_id"), F.col("kept_text")).dropDuplicates(["_id"])
-    df = docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_id")))
-    new = {"text": F.col("kept_text"), "n_chars": F.length("kept_text").cast("long")}
-    return df.select(*[new[c].alias(c) if c in new else F.col(f"`{c}`") for c in docs.columns])
+    """The documents with their repeated bytes cut out; cut characters go whole. Other columns travel with the text."""
+    from pyspark.sql import types as T
+
+    other = [c for c in docs.columns if c not in ("text", "n_chars")]
+    carried = [f"c{k}" for k in range(len(other))]
+    df = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("text"), *[F.col(f"`{c}`").alias(n) for c, n in zip(other, carried)])
+    schema = T.StructType([T.StructField(n, df.schema[n].dataType) for n in carried] + [T.StructField("kept_text", T.StringType())])
+    got = _plan(df, carried, schema)
+    new = {"text": F.col("kept_text"), "n_chars": F.length("kept_text").cast("long")} | {c: F.col(n) for c, n in zip(other, carried)}
+    return got.select(*[new[c].alias(c) for c in docs.columns])

@@ -20,10 +20,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checkpoint, utf8
+from .common import checkpoint, release, spans, utf8
 from .tokens import coder
 
 CAPACITY = 2048
+#: Pieces of text whose ids a worker holds, and those it keeps between tasks.
+HELD_PIECES, KEPT_PIECES = 250_000, 60_000
 END = 0
 #: Nodes that the search for one filling may visit, and items besides the largest.
 NODES, DEPTH = 20_000, 12
@@ -163,17 +165,20 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end_id: in
     """doc_id, piece, start, length, ids_crc32 for every piece of every row; no shuffle."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode, end = coder(tokenizer), np.array([end_id], "<u4").tobytes()
+        encode, end = coder(tokenizer, HELD_PIECES), np.array([end_id], "<u4").tobytes()
         for batch in batches:
             data, at = utf8(batch.column(1))
-            row, piece, start, length, crc = [], [], [], [], []
-            for k, x in enumerate(encode([data[at[k] : at[k + 1]].tobytes() for k in range(batch.num_rows)])):
-                x += end
-                for p, a in enumerate(range(0, len(x), 4 * capacity)):
-                    part = x[a : a + 4 * capacity]
-                    row.append(k), piece.append(p), start.append(a // 4), length.append(len(part) // 4), crc.append(zlib.crc32(part))
-            cols = [batch.column(0).take(pa.array(row, pa.int64())), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64())]
-            yield pa.RecordBatch.from_arrays(cols, ["doc_id", "piece", "start", "length", "ids_crc32"])
+            for first, last in spans(at, 1 << 20):
+                row, piece, start, length, crc = [], [], [], [], []
+                for k, x in enumerate(encode([data[at[r] : at[r + 1]].tobytes() for r in range(first, last)]), first):
+                    x += end
+                    for p, a in enumerate(range(0, len(x), 4 * capacity)):
+                        part = x[a : a + 4 * capacity]
+                        row.append(k), piece.append(p), start.append(a // 4), length.append(len(part) // 4), crc.append(zlib.crc32(part))
+                cols = [batch.column(0).take(pa.array(row, pa.int64())), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64())]
+                yield pa.RecordBatch.from_arrays(cols, ["doc_id", "piece", "start", "length", "ids_crc32"])
+        encode.shrink(KEPT_PIECES)
+        release()
 
     kind = dict(docs.dtypes)[id_col]
     return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col)).mapInArrow(kernel, f"doc_id {kind}, piece int, start bigint, length bigint, ids_crc32 bigint")

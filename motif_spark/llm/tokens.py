@@ -39,16 +39,17 @@ def _word(piece: bytes) -> str:
 _coders: dict[str, Callable] = {}
 
 
-def coder(path: str) -> Callable[[list[bytes]], Iterator[bytes]]:
+def coder(path: str, cache: int = CACHE) -> Callable[[list[bytes]], Iterator[bytes]]:
     """A function from texts (UTF-8) to their ids as little-endian unsigned 32-bit integers; kept by the worker."""
     if path in _coders:
+        _coders[path].hold(cache)
         return _coders[path]
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
     from tokenizers import Tokenizer
 
     tok = Tokenizer.from_file(path)
     pack = lambda ids: array("I", ids).tobytes()  # noqa: E731  little-endian as is every machine that Spark runs on
-    tokenize, marked, young, old = tok.model.tokenize, _MARKED.fullmatch, {}, {}
+    tokenize, marked, young, old, most = tok.model.tokenize, _MARKED.fullmatch, {}, {}, cache
 
     def make(piece: bytes) -> bytes:
         if piece.isalpha():
@@ -82,7 +83,7 @@ def coder(path: str) -> Callable[[list[bytes]], Iterator[bytes]]:
             try:
                 yield b"".join(map(young.__getitem__, pieces))
             except KeyError:
-                if len(young) > CACHE // 2:
+                if len(young) > most // 2:
                     young, old = {}, young
                 learn(set(pieces).difference(young))
                 yield b"".join(map(young.__getitem__, pieces))
@@ -92,7 +93,11 @@ def coder(path: str) -> Callable[[list[bytes]], Iterator[bytes]]:
         nonlocal young, old
         young, old = dict(islice(young.items(), keep)), {}
 
-    encode.shrink = shrink
+    def hold(cache: int) -> None:
+        nonlocal most
+        most = cache
+
+    encode.shrink, encode.hold = shrink, hold
     _coders[path] = encode
     return encode
 

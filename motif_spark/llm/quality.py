@@ -92,16 +92,16 @@ def assess(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
         "clean_text": F.when(F.col("n_failed_lines") == 0, F.col("_t")).otherwise(F.array_join(F.transform(F.filter("_judged", lambda j: j["ok"]), lambda j: j["x"]), "\n")),
     })
     kept = ~F.col("base_failed") & (F.col("lost") <= MAX_LOST) & (F.size(words(F.col("clean_text"))) >= MIN_WORDS)
-    return df.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", kept.alias("kept"), "n_failed_lines", "lost", "clean_text")
+    out = F.struct("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", kept.alias("kept"), "n_failed_lines", "lost", "clean_text")
+    # A filter on these columns would be pushed below the array expressions and repeat them for each element; one
+    # on what an outer generator makes stays above it.
+    return df.select(F.explode_outer(F.array(out)).alias("_r")).select("_r.*")
 
 
 def keep_documents(docs: DataFrame) -> DataFrame:
     """The documents that pass, with their clean text; the columns stay those of the input."""
     held = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")
-    # A filter on a plain column would be pushed below the array expressions and repeat them for each element;
-    # a filter on what an outer generator makes stays above it.
-    one = F.array(F.struct(F.col("doc_id").alias("row"), "clean_text"))
-    judged = assess(docs.select(held, "text"), "_row").withColumn("_one", F.explode_outer(F.when(F.col("kept"), one))).filter("_one is not null")
-    r = lambda c: F.col("_one.row")[c]
-    new = {"text": F.col("_one.clean_text"), "n_chars": F.length("_one.clean_text").cast("long")}
+    judged = assess(docs.select(held, "text"), "_row").filter("kept")
+    r = lambda c: F.col("doc_id")[c]
+    new = {"text": F.col("clean_text"), "n_chars": F.length("clean_text").cast("long")}
     return judged.select(*[new[c].alias(c) if c in new else r(c).alias(c) for c in docs.columns])

@@ -15,7 +15,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import checkpoint, freeing, spans, utf8
@@ -202,10 +202,24 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS, width: int = 3, id_co
     return fps.join(by_fp, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def one_of_each(docs: DataFrame, **options) -> DataFrame:
-    """The documents whose id is their component's smallest; of rows that share an id, null included, one stays."""
-    found = near_duplicates(docs.select("doc_id", "text"), **options)
-    keep = found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__kept")).distinct()
-    kept = docs.join(keep, F.col("doc_id").eqNullSafe(F.col("__kept")), "left_semi")
-    first = F.row_number().over(Window.partitionBy("doc_id").orderBy(F.xxhash64(F.coalesce("text", F.lit("")))))
+def one_of_each(docs: DataFrame, radius: int = RADIUS, width: int = 3) -> DataFrame:
+    """One row of each group of near copies: that of the smallest id (null ids last), then of the smallest text name.
+
+    Groups are of texts, so rows with a null or shared id stay apart unless their texts are near copies.
+    Texts are named by 64 bits of their content.
+    """
+    name = F.xxhash64(F.coalesce("text", F.lit("")))
+    rows = docs.select(F.struct(F.col("doc_id").alias("id"), name.alias("name")).alias("row"), "text")
+    fps = checkpoint(fingerprints(rows, width, "row")).select("doc_id.id", "doc_id.name", "fp")
+    return _first_of_each(docs, name, fps, components(near_links(fps.select("fp").distinct(), radius)))
+
+
+def _first_of_each(docs: DataFrame, name: Column, fps: DataFrame, roots: DataFrame) -> DataFrame:
+    roots = roots.select(F.col("id").alias("fp"), "root")
+    held = fps.join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+    least = held.groupBy("root").agg(F.min(F.struct(F.col("id").isNull().alias("lost"), "id", "name")).alias("x"))
+    keep = least.select(F.col("x.id").alias("__id"), F.col("x.name").alias("__name"))
+    kept = docs.join(keep, F.col("doc_id").eqNullSafe(F.col("__id")) & (name == F.col("__name")), "left_semi")
+    content = [F.col(f"`{c}`") for c, kind in docs.dtypes if "map<" not in kind]
+    first = F.row_number().over(Window.partitionBy("doc_id", name).orderBy(F.xxhash64(*content)))
     return kept.withColumn("__first", first).filter("__first = 1").drop("__first")

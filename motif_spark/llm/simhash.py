@@ -21,6 +21,9 @@ from pyspark.sql import functions as F
 from .common import checkpoint, freeing, spans, utf8
 
 RADIUS = 3
+#: Share of five-word shingles that near copies have in common, and the bands and rows of least hashes that
+#: find candidates: two texts at the share miss all bands with probability (1 - 0.8^5)^24, below 0.0001.
+ALIKE, BANDS, ROWS = 0.8, 24, 5
 #: Buckets of more fingerprints are divided by a second covering of the places that the first left out.
 BUCKET = 2_048
 SPACES = b" \t\n\x0b\x0c\r"
@@ -202,16 +205,141 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS, width: int = 3, id_co
     return fps.join(by_fp, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+_ODD = np.random.default_rng(17).integers(0, 1 << 63, BANDS * ROWS).astype(np.uint64) * np.uint64(2) + np.uint64(1)
+_FLIP = np.random.default_rng(18).integers(0, 1 << 63, BANDS * ROWS).astype(np.uint64)
+_MIX = np.uint64(0x9E3779B97F4A7C15)
+
+
+def shingle_set(words: list[bytes]) -> np.ndarray:
+    """Sorted distinct 64-bit names of the five-word shingles, each made of its first and last three words."""
+    return _fives(_hashes(words, 3)) if len(words) > 4 else np.zeros(0, np.uint64)
+
+
+def _fives(threes: np.ndarray) -> np.ndarray:
+    h = threes[:-2] * _MIX ^ (threes[2:] >> np.uint64(29) | threes[2:] << np.uint64(35))
+    h = (h ^ h >> np.uint64(32)) * _MIX
+    return np.unique(h ^ h >> np.uint64(29))
+
+
+def _bands(shingles: np.ndarray) -> np.ndarray:
+    """A key for each band: that of its least hashes."""
+    least = np.full(BANDS * ROWS, np.iinfo(np.uint64).max, np.uint64)
+    for k in range(0, len(shingles), 2048):
+        least = np.minimum(least, ((shingles[k : k + 2048] ^ _FLIP[:, None]) * _ODD[:, None]).min(1))
+    keys = np.zeros(BANDS, np.uint64)
+    for column in least.reshape(BANDS, ROWS).T:
+        keys = (keys ^ column) * _MIX
+        keys ^= keys >> np.uint64(31)
+    return keys
+
+
+def _texts(batch: pa.RecordBatch) -> Iterator[tuple[int, list[bytes]]]:
+    """Row and lower-case words of each text in column 1."""
+    data, offsets = utf8(batch.column(1))
+    for a, b in spans(offsets, 1 << 20):
+        block = data[offsets[a] : offsets[b]].tobytes().lower()
+        for k in range(a, b):
+            yield k, block[offsets[k] - offsets[a] : offsets[k + 1] - offsets[a]].split()
+
+
+def profiles(rows: DataFrame, width: int = 3) -> DataFrame:
+    """row, fp and the band keys (none below five words) of rows with columns row and text."""
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out, keys, ends = np.zeros(batch.num_rows, np.uint64), [], [0]
+            for k, words in _texts(batch):
+                threes = _hashes(words, 3)
+                out[k] = _bits(threes if width == 3 else _hashes(words, width))
+                if len(words) > 4:
+                    keys.append(_bands(_fives(threes)))
+                ends.append(len(keys) * BANDS)
+            flat = np.concatenate(keys) if keys else np.zeros(0, np.uint64)
+            bands = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat.view(np.int64)))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out.view(np.int64)), bands], ["row", "fp", "bands"])
+
+    return rows.select("row", "text").mapInArrow(freeing(kernel), f"row {dict(rows.dtypes)['row']}, fp bigint, bands array<bigint>")
+
+
+def _shingles(rows: DataFrame) -> DataFrame:
+    """name and shingles (8 bytes each, sorted) of rows with columns name and text."""
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [shingle_set(words).tobytes() for _, words in _texts(batch)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.binary())], ["name", "shingles"])
+
+    return rows.select("name", "text").mapInArrow(freeing(kernel), "name bigint, shingles binary")
+
+
+def alike_forest(sets: list[np.ndarray], share: float = ALIKE) -> list[tuple[int, int]]:
+    """Links that join all and only the sets connected by pairs with at least `share` in common, exactly."""
+    sizes, left, front, links = np.array([len(x) for x in sets]), np.arange(1, len(sets)), [0], []
+    while len(left):
+        if not front:
+            front, left = [int(left[0])], left[1:]
+            continue
+        x = front.pop()
+        near = left[np.minimum(sizes[left], sizes[x]) >= share * np.maximum(sizes[left], sizes[x]) - 1e-9]
+        if not len(near):
+            continue
+        flat = np.concatenate([sets[y] for y in near])
+        at = np.minimum(np.searchsorted(sets[x], flat), sizes[x] - 1)
+        ends = np.concatenate([[0], np.cumsum(sizes[near])[:-1]])
+        common = np.add.reduceat((sets[x][at] == flat).astype(np.int64), ends)
+        got = near[common >= share * (sizes[near] + sizes[x] - common) - 1e-9]
+        if len(got):
+            links += [(x, int(y)) for y in got]
+            front += got.tolist()
+            left = np.setdiff1d(left, got, assume_unique=True)
+    return links
+
+
+def copy_links(texts: DataFrame, rows: DataFrame, share: float = ALIKE) -> DataFrame:
+    """Links (a, b) of fingerprints of texts whose five-word shingles are alike by the share.
+
+    texts has name, fp and bands of distinct texts, rows name and text. Texts that share a band key are
+    compared by their whole shingle sets; of bands with the same texts, one is looked at.
+    """
+    level = texts.select("name", "fp", F.posexplode("bands").alias("t", "key"))
+    shared = level.groupBy("t", "key").agg(F.count(F.lit(1)).alias("n"), F.min("name").alias("lo"), F.max("name").alias("hi"), F.bit_xor(F.xxhash64("name")).alias("x"))
+    chosen = shared.filter("n > 1").groupBy("n", "lo", "hi", "x").agg(F.min(F.struct("t", "key")).alias("b")).select("b.t", "b.key")
+    members = checkpoint(level.join(chosen, ["t", "key"]))
+    sets = _shingles(rows.join(members.select("name").distinct(), "name", "left_semi")).dropDuplicates(["name"])
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, fps, sets = None, [], []
+
+        def out() -> pa.RecordBatch:
+            found = alike_forest(sets, share) if len(sets) > 1 else []
+            cols = [pa.array([fps[link[k]] for link in found], pa.int64()) for k in (0, 1)]
+            return pa.RecordBatch.from_arrays(cols, ["a", "b"])
+
+        for batch in batches:
+            for t, k, fp, data in zip(*[batch.column(c).to_pylist() for c in range(3)], batch.column(3)):
+                if (t, k) != key:
+                    yield out()
+                    key, fps, sets = (t, k), [], []
+                fps.append(fp), sets.append(np.frombuffer(data.as_py(), np.uint64))
+        yield out()
+
+    held = members.join(sets, "name").select("t", "key", "fp", "shingles").repartition("t", "key").sortWithinPartitions("t", "key")
+    return held.mapInArrow(freeing(kernel), "a bigint, b bigint")
+
+
 def one_of_each(docs: DataFrame, radius: int = RADIUS, width: int = 3) -> DataFrame:
     """One row of each group of near copies: that of the smallest id (null ids last), then of the smallest text name.
 
-    Groups are of texts, so rows with a null or shared id stay apart unless their texts are near copies.
-    Texts are named by 64 bits of their content.
+    Near copies are texts with fingerprints within the radius, or with ALIKE of their five-word shingles in
+    common. Groups are of texts, so rows with a null or shared id stay apart unless their texts are near
+    copies. Texts are named by 64 bits of their content.
     """
     name = F.xxhash64(F.coalesce("text", F.lit("")))
     rows = docs.select(F.struct(F.col("doc_id").alias("id"), name.alias("name")).alias("row"), "text")
-    fps = checkpoint(fingerprints(rows, width, "row")).select("doc_id.id", "doc_id.name", "fp")
-    return _first_of_each(docs, name, fps, components(near_links(fps.select("fp").distinct(), radius)))
+    fps = checkpoint(profiles(rows, width)).select("row.id", "row.name", "fp", "bands")
+    texts = checkpoint(fps.filter(F.size("bands") > 0).dropDuplicates(["name"]).select("name", "fp", "bands"))
+    links = near_links(fps.select("fp").distinct(), radius).unionByName(copy_links(texts, docs.select(name.alias("name"), "text")))
+    return _first_of_each(docs, name, fps.select("id", "name", "fp"), components(links))
 
 
 def _first_of_each(docs: DataFrame, name: Column, fps: DataFrame, roots: DataFrame) -> DataFrame:

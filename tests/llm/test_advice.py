@@ -5,7 +5,9 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import functions as F
 
+import corpus_pipeline
 from motif_spark.llm import simhash
+from tests.llm.test_operators import brute_repeats
 
 
 def prose(seed: int, n: int = 80) -> str:
@@ -18,3 +20,55 @@ def test_rows_with_null_or_shared_ids_stay_apart(spark):
     rows = [(None, a), (None, b), (None, a), (5, c), (5, d), (3, d), (7, a)]
     got = simhash.one_of_each(spark.createDataFrame(rows, "doc_id long, text string")).collect()
     assert sorted(((r.doc_id or 0), r.text) for r in got) == sorted([(7, a), (0, b), (5, c), (3, d)])
+
+
+def fives(text: str) -> set[str]:
+    w = (text or "").lower().split()
+    return {" ".join(w[k : k + 5]) for k in range(len(w) - 4)}
+
+
+def alike(a: set, b: set) -> float:
+    return len(a & b) / len(a | b) if a and b else 0.0
+
+
+def test_near_copies_beyond_three_bits_are_one_group(spark, small):
+    docs = spark.read.parquet(f"{small}/documents.parquet").select("doc_id", "text")
+    sets = {r.doc_id: (r.text, fives(r.text)) for r in docs.collect()}
+    pairs = [(a, b) for a in sets for b in sets if a < b and sets[a][0] != sets[b][0] and alike(sets[a][1], sets[b][1]) >= 0.8]
+    kept = {r.doc_id for r in simhash.one_of_each(docs).collect()}
+    assert pairs and not any(a in kept and b in kept for a, b in pairs)
+    plain = {r.doc_id for r in simhash.near_duplicates(docs).filter("doc_id = component_id").collect()}
+    assert kept <= plain
+    for x in plain - kept:  # nothing else goes
+        assert any(x != y and alike(sets[x][1], sets[y][1]) >= 0.8 for y in sets)
+
+
+def test_alike_forest_is_exact():
+    rng = np.random.default_rng(6)
+    base = [np.unique(rng.integers(0, 1 << 60, 60).astype(np.uint64)) for _ in range(6)]
+    sets = [np.unique(np.concatenate([b[rng.random(60) < rng.choice([0.85, 0.95])], rng.integers(0, 1 << 60, 3).astype(np.uint64)])) for b in base for _ in range(12)]
+
+    def groups(links):
+        root = list(range(len(sets)))
+        for _ in sets:
+            for a, b in links:
+                root[a] = root[b] = min(root[a], root[b])
+        return root
+
+    brute = [(a, b) for a in range(len(sets)) for b in range(a) if alike(set(sets[a].tolist()), set(sets[b].tolist())) >= 0.8]
+    found = simhash.alike_forest(sets)
+    assert brute and set(map(tuple, map(sorted, found))) <= set(map(tuple, map(sorted, brute))) and groups(found) == groups(brute)
+
+
+def test_stages_after_near_copies(spark, small, tmp_path):
+    """The checks of test_pipeline.test_stages that follow the near-duplicate stage."""
+    docs, seen = spark.read.parquet(f"{small}/documents.parquet"), {}
+    for name, stage in corpus_pipeline.STAGES:
+        stage(spark, docs, small).write.parquet(str(tmp_path / name))
+        docs = seen[name] = spark.read.parquet(str(tmp_path / name))
+    before = sorted((r.doc_id, r.text) for r in seen["simhash_near_dedup"].collect())
+    gone, after = brute_repeats(before), seen["suffix_array_dedup"].collect()
+    assert sorted(r.doc_id for r in after) == [i for i, _ in before]
+    for r in after:
+        assert abs(len(r.text.encode()) - (gone[r.doc_id][0] - gone[r.doc_id][1])) <= 8 * gone[r.doc_id][2]
+    assert seen["best_fit_packing"].groupBy("sequence_id").agg({"length": "sum"}).filter("`sum(length)` > 2048").count() == 0

@@ -1,10 +1,10 @@
 """Packing of token pieces into sequences by bin completion.
 
 Only lengths matter to a packing, and there are at most `capacity` of them: the plan is made from the
-histogram, so the driver holds no more than that, whatever the corpus. Around the largest length left,
-branch and bound enumerates undominated fillings, pruned by the waste that is still allowed, with the
-best-fit filling as incumbent; a filling is repeated as often as its lengths last. Pieces then find their
-places by their rank among pieces of equal length.
+histogram, so the driver holds no more than that, whatever the corpus. The better of best fit and of
+least-waste fillings is the incumbent. Where it needs more sequences than the lower bound, branch and bound
+goes over undominated fillings around the largest length left, pruned by the waste that is still allowed,
+and back, within a budget of nodes. Pieces then find their places by their rank among pieces of equal length.
 
 Defined cases: a null or empty text has only the end id; repeated rows are packed each on its own; an empty
 table gives an empty result.
@@ -13,6 +13,8 @@ table gives an empty result.
 from __future__ import annotations
 
 import zlib
+from bisect import bisect_right
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,26 +31,51 @@ HELD_PIECES, KEPT_PIECES = 250_000, 60_000
 END = 0
 #: Nodes that the search for one filling may visit, and items besides the largest.
 NODES, DEPTH = 20_000, 12
+#: Nodes that the search over whole packings may visit.
+BUDGET = 200_000
 #: Pieces of one length that are ranked by one task.
 RANK_ROWS = 512
 
 
+def best_fit_fillings(counts: dict[int, int], capacity: int) -> list[tuple[list[int], int]]:
+    """Best-fit decreasing by length classes: each bin takes the longest that fits, again and again."""
+    left, out = dict(counts), []
+    lengths = sorted(left)
+    while lengths:
+        filling, used, room, k = [], {}, capacity, len(lengths) - 1
+        while (k := min(k, bisect_right(lengths, room) - 1)) >= 0:
+            x = lengths[k]
+            n = min(left[x], room // x)
+            used[x] = n
+            filling += [x] * n
+            room -= n * x
+            k -= 1
+        times = min(left[x] // n for x, n in used.items())
+        for x, n in used.items():
+            left[x] -= times * n
+        lengths = [x for x in lengths if left[x]]
+        out.append((filling, times))
+    return out
+
+
 def best_fit(counts: dict[int, int], capacity: int) -> int:
-    """Bins of best-fit decreasing, by length classes: each bin takes the longest that fits, again and again."""
-    left, bins = dict(counts), 0
-    while left:
-        fill, used, most = capacity, {}, capacity
-        while True:
-            fits = [x for x in left if x <= fill and left[x] > used.get(x, 0)]
-            if not fits:
-                break
-            x = max(fits)
-            used[x] = used.get(x, 0) + 1
-            fill -= x
-        most = min(left[x] // n for x, n in used.items())
-        bins += most
-        left = {x: n - most * used.get(x, 0) for x, n in left.items() if n > most * used.get(x, 0)}
-    return bins
+    """Bins of best-fit decreasing."""
+    return sum(times for _, times in best_fit_fillings(counts, capacity))
+
+
+def lower_bound(counts: dict[int, int], capacity: int) -> int:
+    """Bins that no packing goes below: for each k, lengths above capacity - k stand alone, those above half
+    the capacity take a bin each, and lengths from k to half fill what these leave."""
+    n = np.zeros(capacity + 1, np.int64)
+    for x, m in counts.items():
+        n[x] = m
+    number, size = np.cumsum(n), np.cumsum(n * np.arange(capacity + 1))
+    half = capacity // 2
+    k = np.arange(1, half + 1)
+    large = number[-1] - number[half]
+    halves, half_size = number[capacity - k] - number[half], size[capacity - k] - size[half]
+    over = size[half] - size[k - 1] - (halves * capacity - half_size)
+    return int(max([-(-size[-1] // capacity), *(large + np.maximum(0, -(-over // capacity)))]))
 
 
 class _Lengths:
@@ -65,7 +92,7 @@ class _Lengths:
                 yield x
 
 
-def complete(lengths: _Lengths, first: int, capacity: int, allowed: int) -> list[int]:
+def complete(lengths: _Lengths, first: int, capacity: int) -> list[int]:
     """A filling around `first`: least waste, then fewest and longest items.
 
     A filling with an item that could be swapped for a longer one that still fits is dominated, so items go
@@ -76,7 +103,7 @@ def complete(lengths: _Lengths, first: int, capacity: int, allowed: int) -> list
     for x in _greedy(lengths, room, used):
         incumbent.append(x)
     best, waste = incumbent, capacity - sum(incumbent)
-    if waste <= min(allowed, 0) or not room:
+    if not waste:
         return best
     for depth in range(1, DEPTH + 1):
         nodes = [NODES]
@@ -125,25 +152,126 @@ def _search(lengths: _Lengths, room: int, most: int, depth: int, used: dict[int,
     return best
 
 
-def plan(counts: dict[int, int], capacity: int = CAPACITY) -> list[tuple[list[int], int]]:
-    """Fillings and how often each is used, for all lengths."""
+def completions(counts: dict[int, int], capacity: int) -> list[tuple[list[int], int]]:
+    """The least-waste filling around each largest length, as often as it lasts, without a way back."""
     lengths, out = _Lengths(counts, capacity), []
-    total = sum(x * n for x, n in counts.items())
-    allowed = -(-total // capacity) * capacity - total  # what a perfect packing wastes
     for first in range(capacity, 0, -1):
         while lengths.left[first]:
-            filling = complete(lengths, first, capacity, allowed)
-            need: dict[int, int] = {}
-            for x in filling:
-                need[x] = need.get(x, 0) + 1
-            times = min(lengths.left[x] // n for x, n in need.items())
-            for x, n in need.items():
-                lengths.left[x] -= times * n
-            allowed -= times * (capacity - sum(filling))
+            filling = complete(lengths, first, capacity)
+            times = _times(lengths.left, filling)
+            _take(lengths.left, filling, times)
             out.append((filling, times))
     return out
 
 
+def _times(left: list[int], filling: list[int]) -> int:
+    return min(left[x] // n for x, n in Counter(filling).items())
+
+
+def _take(left: list[int], filling: list[int], times: int) -> None:
+    for x in filling:
+        left[x] -= times
+
+
+def _undominated(left: list[int], first: int, capacity: int, allowed: int, nodes: list[int]) -> Iterator[list[int]]:
+    """Fillings around `first` that waste at most `allowed`, from the longest items on, each once.
+
+    No length left over fits into the waste, or in the place of a shorter item.
+    """
+    lengths = [x for x in range(min(first, capacity - first), 0, -1) if left[x] - (x == first) > 0]
+    free = {x: left[x] - (x == first) for x in lengths}
+    # Bytes that lengths from each place on can fill at most: ends branches that must waste too much.
+    rest = [0] * (len(lengths) + 1)
+    for k in range(len(lengths) - 1, -1, -1):
+        rest[k] = rest[k + 1] + lengths[k] * free[lengths[k]]
+
+    def dominated(filling: list[int], room: int) -> bool:
+        used = Counter(filling[1:])
+        spare = [x for x in lengths if free[x] > used[x]]
+        if any(x <= room for x in spare[-1:]):
+            return True
+        return any(0 < y - x <= room for x in used for y in spare)
+
+    stack = [(0, [first], capacity - first)]
+    while stack and nodes[0] > 0:
+        nodes[0] -= 1
+        k, filling, room = stack.pop()
+        while k < len(lengths) and lengths[k] > room:
+            k += 1
+        if room - rest[k] > allowed:
+            continue
+        if k == len(lengths) or room == 0:
+            if room <= allowed and not dominated(filling, room):
+                yield filling
+            continue
+        x = lengths[k]
+        for n in range(min(free[x], room // x) + 1):  # the most of x is looked at first
+            stack.append((k + 1, filling + [x] * n, room - n * x))
+
+
+def _fewer(counts: dict[int, int], capacity: int, bins: int, nodes: list[int]) -> list[tuple[list[int], int]] | None:
+    """A packing into at most `bins`, by branching over fillings and how often each is used; None if none is found.
+
+    What fillings may still waste is what `bins` hold beyond the lengths; a branch ends where it is spent.
+    Each filling is tried as often as it lasts, then by halves down to once, which keeps the search whole.
+    """
+    left = [0] * (capacity + 1)
+    for x, n in counts.items():
+        left[x] = n
+    allowed = bins * capacity - sum(x * n for x, n in counts.items())
+    if allowed < 0:
+        return None
+
+    def options(first: int, allowed: int) -> Iterator[tuple[list[int], int]]:
+        for filling in _undominated(left, first, capacity, allowed, nodes):
+            waste, times = capacity - sum(filling), _times(left, filling)
+            if waste:
+                times = min(times, allowed // waste)
+            while times:
+                yield filling, times
+                times //= 2
+
+    largest = lambda x: next((y for y in range(x, 0, -1) if left[y]), 0)
+    path: list[tuple[list[int], int]] = []
+    if not (first := largest(capacity)):
+        return []
+    turns = [(first, allowed, options(first, allowed))]
+    while turns:
+        first, allowed, more = turns[-1]
+        if len(path) == len(turns):
+            filling, times = path.pop()
+            _take(left, filling, -times)
+        step = next(more, None)
+        if step is None:
+            turns.pop()
+            continue
+        filling, times = step
+        _take(left, filling, times)
+        path.append(step)
+        if not (below := largest(first)):
+            return path
+        allowed -= times * (capacity - sum(filling))
+        turns.append((below, allowed, options(below, allowed)))
+    return None
+
+
+def plan(counts: dict[int, int], capacity: int = CAPACITY, budget: int = BUDGET) -> list[tuple[list[int], int]]:
+    """Fillings and how often each is used, for all lengths.
+
+    The better of completions() and best fit is the incumbent; branch and bound looks for fewer sequences
+    until the lower bound is met, no packing is left, or `budget` nodes are spent.
+    """
+    bins = lambda p: sum(n for _, n in p)
+    best = min(completions(counts, capacity), best_fit_fillings(counts, capacity), key=bins)
+    least, nodes = lower_bound(counts, capacity), [budget]
+    while bins(best) > least and nodes[0] > 0:
+        found = _fewer(counts, capacity, bins(best) - 1, nodes)
+        if found is None:
+            break
+        best = found
+    return best
+
+
 def places(fillings: list[tuple[list[int], int]]) -> dict[str, np.ndarray]:
     """Ranges of ranks of each length with the first sequence and the offset they go to, sorted."""
     seen: dict[int, int] = {}

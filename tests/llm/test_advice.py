@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+from collections import Counter
+from functools import lru_cache
+
 import numpy as np
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from motif_spark.llm import simhash
+from motif_spark.llm import packing, simhash
 from tests.llm.test_operators import brute_repeats
 
 
@@ -72,3 +75,45 @@ def test_stages_after_near_copies(spark, small, tmp_path):
     for r in after:
         assert abs(len(r.text.encode()) - (gone[r.doc_id][0] - gone[r.doc_id][1])) <= 8 * gone[r.doc_id][2]
     assert seen["best_fit_packing"].groupBy("sequence_id").agg({"length": "sum"}).filter("`sum(length)` > 2048").count() == 0
+
+
+def bins(plan):
+    return sum(n for _, n in plan)
+
+
+def packed(plan):
+    used = Counter()
+    for filling, n in plan:
+        for x in filling:
+            used[x] += n
+    return used
+
+
+def test_plan_goes_back_over_its_fillings():
+    counts = Counter([1224, 1088, 816, 816, 816, 748, 680, 680, 544, 408])
+    plan = packing.plan(dict(counts), 2048)
+    assert bins(plan) == 4 and packed(plan) == counts and all(sum(f) <= 2048 for f, _ in plan)
+    many = {x: 1000 * n for x, n in counts.items()}
+    plan = packing.plan(many, 2048)
+    assert bins(plan) <= 4000 and packed(plan) == many and all(sum(f) <= 2048 for f, _ in plan)
+
+
+def fewest(items, capacity):
+    """Fewest bins by trying every bin for every item."""
+
+    @lru_cache(None)
+    def place(k, rooms):
+        if k == len(items):
+            return 0
+        new = place(k + 1, tuple(sorted((*rooms, capacity - items[k])))) + 1
+        return min([new, *(place(k + 1, tuple(sorted((*rooms[:j], r - items[k], *rooms[j + 1 :])))) for j, r in enumerate(rooms) if r >= items[k])])
+
+    return place(0, ())
+
+
+def test_plan_needs_the_fewest_bins():
+    rng = np.random.default_rng(9)
+    for _ in range(150):
+        items = sorted(rng.integers(12, 60, rng.integers(4, 10)).tolist(), reverse=True)
+        best = fewest(tuple(items), 100)
+        assert packing.lower_bound(Counter(items), 100) <= best == bins(packing.plan(Counter(items), 100))

@@ -27,8 +27,8 @@ def suffix_array_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def source_mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as the mix takes them; a partial repeat has the first words."""
-    return mixing.mixed_documents(docs)
+    """Documents as often as the mix takes them, each whole: where a shard's quota ends, a text is taken or left."""
+    return mixing.mixed_documents(docs, whole=True)
 
 
 def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

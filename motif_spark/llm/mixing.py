@@ -97,8 +97,11 @@ def mix_sized(sized: DataFrame, weights, share: float, most: int, block: int, se
     return df.withColumn("taken", taken).drop("_place", "shard", "sid", "seats", "n_shards", "quota", "_all", "_before")
 
 
-def mixed_documents(docs: DataFrame, **options) -> DataFrame:
-    """The mix as documents: a row for each whole repeat, and one with the first words for a partial repeat."""
+def mixed_documents(docs: DataFrame, whole: bool = False, **options) -> DataFrame:
+    """The mix as documents: a row for each whole repeat, and one with the first words for a partial repeat.
+
+    With `whole` no text is cut: a partial repeat of half the text or more is the text, a smaller one nothing.
+    """
     named = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"))
     r = lambda c: F.col("_row")[c]
     sized = checkpoint(named.select(r("doc_id").alias("doc_id"), r("source").alias("source"), F.size(words(r("text"))).cast("long").alias("size")))
@@ -109,8 +112,10 @@ def mixed_documents(docs: DataFrame, **options) -> DataFrame:
     left = turn(named.withColumns({"doc_id": r("doc_id"), "source": r("source"), "size": F.size(words(r("text"))).cast("long")}), ids)
     on = F.col("doc_id").eqNullSafe(F.col("_doc_id")) & F.col("source").eqNullSafe(F.col("_source")) & (F.col("size") == F.col("_size")) & (F.col("_turn") == F.col("_t"))
     df = left.join(taken, on).filter("taken > 0")
-    whole, rest = F.floor(F.col("taken") / F.col("size")).cast("int"), F.col("taken") % F.col("size")
-    lengths = F.concat(F.array_repeat(F.col("size"), whole), F.when(rest > 0, F.array(rest)).otherwise(F.array().cast("array<bigint>")))
+    times, rest = F.floor(F.col("taken") / F.col("size")).cast("int"), F.col("taken") % F.col("size")
+    if whole:
+        times, rest = times + (2 * rest >= F.col("size")).cast("int"), F.lit(0).cast("long")
+    lengths = F.concat(F.array_repeat(F.col("size"), times), F.when(rest > 0, F.array(rest)).otherwise(F.array().cast("array<bigint>")))
     df = df.withColumn("_n", F.explode(lengths))
     first = F.array_join(F.slice(words(r("text")), F.lit(1), F.col("_n").cast("int")), " ")
     text = F.when(F.col("_n") == F.col("size"), r("text")).otherwise(first)

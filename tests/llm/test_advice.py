@@ -9,7 +9,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from motif_spark.llm import packing, simhash
+from motif_spark.llm import mixing, packing, simhash
 from tests.llm.test_operators import brute_repeats
 
 
@@ -117,3 +117,18 @@ def test_plan_needs_the_fewest_bins():
         items = sorted(rng.integers(12, 60, rng.integers(4, 10)).tolist(), reverse=True)
         best = fewest(tuple(items), 100)
         assert packing.lower_bound(Counter(items), 100) <= best == bins(packing.plan(Counter(items), 100))
+
+
+def test_mixing_stage_cuts_no_text(spark, small):
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    text = {r.doc_id: (r.text, r.source, len((r.text or "").split())) for r in docs.collect()}
+    taken, made = Counter(), Counter()
+    for r in mixing.mix(docs).collect():
+        taken[r.source] += r.taken
+    rows = corpus_pipeline.source_mixing(spark, docs, small).collect()
+    for r in rows:
+        assert r.text == text[r.doc_id][0] and r.n_chars == len(r.text)
+        made[r.source] += text[r.doc_id][2]
+    assert max(Counter(r.doc_id for r in rows).values()) <= 2
+    longest = max(n for _, _, n in text.values())
+    assert all(abs(made[s] - taken[s]) <= longest * -(-sum(n for _, t, n in text.values() if t == s) // mixing.SHARD_WORDS) for s in taken)

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from motif_spark.plans import workload_queries, workloads
+from pyspark.sql import functions as F
+
+from motif_spark.plans import graph_queries, workload_queries, workloads
 
 
 def test_ratio_is_over_all_test_graphs(spark, small):
@@ -10,3 +12,9 @@ def test_ratio_is_over_all_test_graphs(spark, small):
     test = workloads.prepare(spark, sf_dir, "session3", [3, 4], valid=0.0)["test"]
     want = test.count()
     assert want > 60 and {(r.k, r.graphs) for r in workload_queries.l_ratio(spark, sf_dir).collect()} == {(3, want), (4, want)}
+
+
+def test_random_baselines_take_all_samples_and_seeds(spark, small):
+    assert {r.seeds for r in workload_queries.w2_random_ratio(spark, small).collect()} == {5}
+    got = graph_queries.QUERIES["r_rollouts"](spark, small).agg(F.max("sample"), F.max("seed")).first()
+    assert tuple(got) == (99, 4)

@@ -90,14 +90,16 @@ def ablations(data: dict, how: L.Training, names: list[str] | None = None, **net
 
 
 def settings(data: dict, runs: dict) -> list[dict]:
-    rows = []
-    test = L.reward_tables(data["test"], data["census"], 10_000)
-    train = L.reward_tables(data["train"], data["census"], 10_000)
+    """Ratios over all graphs of each split; training alone takes at most `most_graphs`."""
+    rows, census = [], data["census"]
+    truth = {split: census.join(data[split].select("graph_id"), "graph_id", "left_semi") for split in ("test", "train")}
     for name, (how, network) in runs.items():
         policy = train_policy(data, how, **network)
-        for split, tables in (("test", test), ("train", train)):
-            for k, ratio in L.mean_ratio(policy.actor, policy.config, *tables, tuple(data["sizes"])).items():
-                rows.append({"setting": name, "split": split, "k": k, "ratio": ratio, "max_over_training": max(c[f"k{k}"] for c in policy.curve), "samples": policy.samples})
+        for split in truth:
+            found = L.mine_all(data[split], data["sizes"], policy).join(census.select("graph_id", "k", "code", "freq"), ["graph_id", "k", "code"])
+            for r in A.avg_ratio(A.approx_ratio(found, truth[split])).orderBy("k").collect():
+                k = r["k"]
+                rows.append({"setting": name, "split": split, "k": k, "ratio": r["ratio"], "graphs": r["graphs"], "max_over_training": max(c[f"k{k}"] for c in policy.curve), "samples": policy.samples})
     return rows
 
 

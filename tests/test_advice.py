@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from motif_spark.operators import learning as L
+from motif_spark.operators import network as net
 from motif_spark.plans import graph_queries, workload_queries, workloads
 
 
@@ -18,3 +20,15 @@ def test_random_baselines_take_all_samples_and_seeds(spark, small):
     assert {r.seeds for r in workload_queries.w2_random_ratio(spark, small).collect()} == {5}
     got = graph_queries.QUERIES["r_rollouts"](spark, small).agg(F.max("sample"), F.max("seed")).first()
     assert tuple(got) == (99, 4)
+
+
+def test_settings_evaluate_every_graph(spark, small, monkeypatch):
+    data = workloads.with_census(workloads.prepare(spark, small, "session3", [3], valid=0.0))
+    config = net.Config(labels=data["labels"], k_max=3, width=8, layers=1)
+    policy = L.Policy(config, net.init(config, "actor", 1), [{"k3": 0.0}])
+    want = {s: L.mean_ratio(policy.actor, config, *L.reward_tables(data[s], data["census"], 1 << 30), (3,))[3] for s in ("test", "train")}
+    monkeypatch.setattr(workloads, "train_policy", lambda *a, **k: policy)
+    tables = L.reward_tables
+    monkeypatch.setattr(L, "reward_tables", lambda graphs, census, most: tables(graphs, census, min(most, 1)))  # a suite beyond the bound
+    got = workloads.settings(data, {"x": (L.Training(), {})})
+    assert {r["split"]: round(r["ratio"], 9) for r in got} == {s: round(x, 9) for s, x in want.items()}

@@ -16,13 +16,14 @@ import zlib
 from bisect import bisect_right
 from collections import Counter
 from collections.abc import Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checkpoint, release, spans, utf8
+from .common import checkpoint, release
 from .tokens import coder
 
 CAPACITY = 2048
@@ -293,18 +294,21 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end_id: in
     """doc_id, piece, start, length, ids_crc32 for every piece of every row; no shuffle."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode, end = coder(tokenizer, HELD_PIECES), np.array([end_id], "<u4").tobytes()
+        encode, end = coder(tokenizer, HELD_PIECES), np.array([end_id], "<u4")
         for batch in batches:
-            data, at = utf8(batch.column(1))
-            for first, last in spans(at, 1 << 20):
+            rows, done = encode(batch.column(1)), 0
+            while some := [*islice(rows, 4096)]:
+                at = done
                 row, piece, start, length, crc = [], [], [], [], []
-                for k, x in enumerate(encode([data[at[r] : at[r + 1]].tobytes() for r in range(first, last)]), first):
-                    x += end
-                    for p, a in enumerate(range(0, len(x), 4 * capacity)):
-                        part = x[a : a + 4 * capacity]
-                        row.append(k), piece.append(p), start.append(a // 4), length.append(len(part) // 4), crc.append(zlib.crc32(part))
+                for x in some:
+                    x = np.concatenate([x, end])
+                    for p, a in enumerate(range(0, len(x), capacity)):
+                        part = x[a : a + capacity]
+                        row.append(at), piece.append(p), start.append(a), length.append(len(part)), crc.append(zlib.crc32(part))
+                    at += 1
                 cols = [batch.column(0).take(pa.array(row, pa.int64())), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64())]
                 yield pa.RecordBatch.from_arrays(cols, ["doc_id", "piece", "start", "length", "ids_crc32"])
+                done = at
         encode.shrink(KEPT_PIECES)
         release()
 

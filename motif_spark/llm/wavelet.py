@@ -20,11 +20,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import NO_ID, cuts, freeing, ids, known_ids, parts_for, shared_folder, utf8
+from .common import NO_ID, cuts, freeing, ids, known_ids, parts_for, shared_folder
 from .tokens import coder
 
 END = 1
-SHARD_BYTES = 4 << 20
+SHARD_BYTES = 16 << 20
 SAMPLE = 512
 FILE = "shard int, n bigint, zeros array<bigint>, planes array<binary>, samples array<binary>, doc_ids binary, doc_tokens binary"
 
@@ -136,18 +136,16 @@ def load(row: dict) -> tuple[WaveletMatrix, np.ndarray, np.ndarray]:
 
 def _encode(path: str, end_id: int):
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode, end = coder(path), np.array([end_id], "<u4").tobytes()
+        encode, end = coder(path), np.array([end_id], "<u4")
         shard, keys, sizes, parts = None, [], [], []
         for batch in batches:
             if not batch.num_rows:
                 continue
             shard = batch.column(0)[0].as_py()
             keys.append(ids(batch.column(1)))
-            data, at = utf8(batch.column(2))
-            own = list(encode([data[at[k] : at[k + 1]].tobytes() for k in range(batch.num_rows)]))
-            sizes += [len(x) // 4 + 1 for x in own]
-            values = np.frombuffer(end.join([*own, b""]), "<u4")
-            parts.append(values.astype(np.uint16 if values.max() < 1 << 16 else np.uint32))
+            for own in encode(batch.column(2)):
+                sizes.append(len(own) + 1)
+                parts += [own, end.astype(own.dtype)] if end_id < 1 << 16 else [own, end]
         if shard is None:
             return
         matrix = WaveletMatrix.build(np.concatenate(parts))

@@ -4,9 +4,11 @@ Targets come from weights by water filling under a repetition limit. Equal block
 sources by highest quotients, each source's blocks to its shards in the same way, and a seeded order
 fills each shard's quota.
 
-Defined cases: a null text has size 0 and is taken 0 times; a null source is a source of its own, last in
-order; repeated rows count each on its own; an empty table gives an empty result; documents with a null id
-share one place in the seeded order, told apart by size.
+Defined cases: a null or empty text has size 0 and is taken 0 times; a null source is a source of its own, last
+in order; repeated rows count each on its own; an empty table gives an empty result; a very long text is one
+document like any other, taken in part where a quota ends; rows with equal or null ids share one place in the
+seeded order (null ids one for each text), told apart by size and then by a hash of the text or row, so reruns
+and any partitioning agree. Extra columns are carried; names that clash with those used inside start with `_`.
 """
 
 from __future__ import annotations
@@ -18,8 +20,9 @@ from .common import checkpoint, words
 
 #: Words in a block, the unit that is apportioned.
 BLOCK = 64
-#: Words in a shard, and the most shards that a source is dealt into.
-SHARD_WORDS, MOST_SHARDS = 16_384, 4_096
+#: Words in a shard. Shards grow in number with their source; a task apportions to at most FAN of them, and
+#: larger sources go down a tree of that width.
+SHARD_WORDS, FAN = 16_384, 4_096
 #: Above so many sources their table is joined by shuffle.
 BROADCAST_SOURCES = 10_000
 
@@ -64,32 +67,53 @@ def source_targets(sized: DataFrame, weights=(3, 1, 2), share: float = 1.5, most
     return df.withColumn("target", F.when(full, F.col("limit")).otherwise(F.least("limit", level * F.col("weight")))).select("source", "sid", "source_size", "target")
 
 
-def place(seed: int, key: Column) -> Column:
-    return F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(key.cast("string"), F.lit("null"))).cast("binary"))
+def place(seed: int, key: Column, ties: tuple[str, ...] = ()) -> Column:
+    """Seeded order of rows: by key, and by `ties` where it is null, so that such rows are spread."""
+    lost = F.concat_ws(":", F.lit("null"), *[F.col(c).cast("string") for c in ties])
+    return F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(key.cast("string"), lost)).cast("binary"))
 
 
 def mix(docs: DataFrame, weights=(3, 1, 2), share: float = 1.5, most: int = 2, block: int = BLOCK, seed: int = 7, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
     """doc_id, source, size, source_size, target, taken for every row; taken counts words, repeats included."""
-    sized = docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), F.size(words(F.col(text_col))).cast("long").alias("size"))
-    return mix_sized(checkpoint(sized), weights, share, most, block, seed)
+    sized = docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), F.size(words(F.col(text_col))).cast("long").alias("size"), F.xxhash64(text_col).alias("_hash"))
+    return mix_sized(checkpoint(sized), weights, share, most, block, seed, ties=("_hash",)).drop("_hash")
 
 
-def mix_sized(sized: DataFrame, weights, share: float, most: int, block: int, seed: int, key: str = "doc_id") -> DataFrame:
-    """mix() from rows with doc_id, source and size; other columns are carried. Twice read, so keep it saved."""
+def _quotas(votes: DataFrame, levels: int) -> DataFrame:
+    """sid, shard, seats_won: each source's seats to its shards, in one step or down a tree of groups of shards."""
+    leaves, above = votes, None
+    for level in range(levels - 1, -1, -1):
+        group = F.floor(F.col("shard") / FAN**level).cast("long")
+        own = leaves.groupBy("sid", group.alias("party")).agg(F.sum("votes").alias("votes"), F.first("seats").alias("seats"))
+        if above is not None:
+            own = own.drop("seats").withColumn("up", F.floor(F.col("party") / FAN).cast("long")).join(above, ["sid", "up"])
+        won = sainte_lague(own, ["sid"] if above is None else ["sid", "up"])
+        above = won.select("sid", F.col("party").alias("up"), F.col("seats_won").alias("seats"))
+    return above.select("sid", F.col("up").alias("shard"), F.col("seats").alias("seats_won"))
+
+
+def mix_sized(sized: DataFrame, weights, share: float, most: int, block: int, seed: int, key: str = "doc_id", ties: tuple[str, ...] = ()) -> DataFrame:
+    """mix() from rows with doc_id, source and size; other columns are carried. Twice read, so keep it saved.
+
+    `ties` are columns that order rows of one place and size.
+    """
     sources = source_targets(sized, weights, share, float(most))
     n_blocks = F.round(F.sum("target").over(Window.partitionBy()) / block).cast("long")
     parties = sources.select(F.lit(0).alias("g"), F.col("sid").alias("party"), F.col("target").alias("votes"), n_blocks.alias("seats"))
-    shards = F.least(F.lit(MOST_SHARDS), F.greatest(F.lit(1), F.ceil(F.col("source_size") / SHARD_WORDS))).cast("long")
+    shards = F.greatest(F.lit(1), F.ceil(F.col("source_size") / SHARD_WORDS)).cast("long")
     sources = checkpoint(sources.join(sainte_lague(parties, ["g"]).select(F.col("party").alias("sid"), F.col("seats_won").alias("seats")), "sid").withColumn("n_shards", shards))
     small = sources.limit(BROADCAST_SOURCES + 1).count() <= BROADCAST_SOURCES
+    largest, levels = sources.agg(F.max("n_shards")).first()[0] or 1, 1
+    while FAN**levels < largest:
+        levels += 1
     right = sources.withColumnRenamed("source", "_source")
     held = sized.join(F.broadcast(right) if small else right, F.col("source").eqNullSafe(F.col("_source"))).drop("_source")
-    held = held.withColumn("_place", place(seed, F.col(key)))
+    held = held.withColumn("_place", place(seed, F.col(key), ties))
     held = held.withColumn("shard", F.conv(F.substring("_place", 1, 8), 16, 10).cast("long") % F.col("n_shards"))
-    votes = held.groupBy("sid", "shard", "seats").agg(F.sum("size").alias("votes")).withColumnRenamed("shard", "party")
-    quota = sainte_lague(votes, ["sid"]).select("sid", F.col("party").alias("shard"), (F.col("seats_won") * block).alias("quota"))
+    votes = held.groupBy("sid", "shard", "seats").agg(F.sum("size").alias("votes"))
+    quota = _quotas(votes, levels).select("sid", "shard", (F.col("seats_won") * block).alias("quota"))
     own = Window.partitionBy("sid", "shard")
-    before = F.sum("size").over(own.orderBy("_place", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("size")
+    before = F.sum("size").over(own.orderBy("_place", "size", *ties).rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("size")
     df = held.join(quota, ["sid", "shard"]).withColumns({"_all": F.sum("size").over(own), "_before": before})
     rounds = F.when(F.col("_all") > 0, F.least(F.lit(most), F.floor(F.col("quota") / F.col("_all")))).otherwise(0).cast("long")
     part = F.greatest(F.lit(0).cast("long"), F.least(F.col("size"), F.col("quota") - rounds * F.col("_all") - F.col("_before")))
@@ -102,15 +126,20 @@ def mixed_documents(docs: DataFrame, whole: bool = False, **options) -> DataFram
 
     With `whole` no text is cut: a partial repeat of half the text or more is the text, a smaller one nothing.
     """
-    named = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"))
+    content = [F.col(f"`{c}`") for c, kind in docs.dtypes if "map<" not in kind]
+    named = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), F.xxhash64(*content).alias("_hash"))
     r = lambda c: F.col("_row")[c]
-    sized = checkpoint(named.select(r("doc_id").alias("doc_id"), r("source").alias("source"), F.size(words(r("text"))).cast("long").alias("size")))
+    own = {"doc_id": r("doc_id"), "source": r("source"), "size": F.size(words(r("text"))).cast("long")}
+    sized = checkpoint(named.select(*[x.alias(c) for c, x in own.items()], "_hash"))
     opts = {"weights": (3, 1, 2), "share": 1.5, "most": 2, "block": BLOCK, "seed": 7} | options
-    ids = ["doc_id", "source", "size"]
-    turn = lambda df, cols: df.withColumn("_turn", F.row_number().over(Window.partitionBy(*cols).orderBy(cols[0])))
-    taken = turn(mix_sized(sized, **opts).select(*ids, "taken"), ids).withColumnsRenamed({c: f"_{c}" for c in ids} | {"_turn": "_t"})
-    left = turn(named.withColumns({"doc_id": r("doc_id"), "source": r("source"), "size": F.size(words(r("text"))).cast("long")}), ids)
-    on = F.col("doc_id").eqNullSafe(F.col("_doc_id")) & F.col("source").eqNullSafe(F.col("_source")) & (F.col("size") == F.col("_size")) & (F.col("_turn") == F.col("_t"))
+    # Rows of one id and hash are alike, so their turns may be dealt in any order; what is taken counts down by turn.
+    ids = ["doc_id", "source", "size", "_hash"]
+    turn = lambda df, by: df.withColumn("_turn", F.row_number().over(Window.partitionBy(*ids).orderBy(by)))
+    mixed = turn(mix_sized(sized, **opts, ties=("_hash",)).select(*ids, "taken"), F.desc("taken"))
+    taken = mixed.withColumnsRenamed({c: f"_{c}" for c in ids} | {"_turn": "_t"})
+    left = turn(named.withColumns(own), "_hash")
+    on = F.col("doc_id").eqNullSafe(F.col("_doc_id")) & F.col("source").eqNullSafe(F.col("_source"))
+    on = on & (F.col("size") == F.col("_size")) & (F.col("_hash") == F.col("__hash")) & (F.col("_turn") == F.col("_t"))
     df = left.join(taken, on).filter("taken > 0")
     times, rest = F.floor(F.col("taken") / F.col("size")).cast("int"), F.col("taken") % F.col("size")
     if whole:

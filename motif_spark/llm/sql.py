@@ -72,7 +72,7 @@ s AS (SELECT *, (1.5::DOUBLE * sum(source_size) OVER () - coalesce(sum(lim) OVER
 t AS (SELECT *, CASE WHEN sum(lim) OVER () <= 1.5 * sum(source_size) OVER () THEN lim ELSE least(lim, max(level) OVER () * weight) END AS target FROM s),
 a AS (SELECT 0 AS g, sid AS party, target AS votes, CAST(round(sum(target) OVER () / {mixing.BLOCK}) AS BIGINT) AS seats FROM t),
 b AS ({_lague('a', 'g')}),
-c AS (SELECT t.*, won AS seats, greatest(1, least({mixing.MOST_SHARDS}, CAST(ceil(source_size / {mixing.SHARD_WORDS}) AS BIGINT))) AS shards FROM t JOIN b ON party = sid),
+c AS (SELECT t.*, won AS seats, greatest(1, CAST(ceil(source_size / {mixing.SHARD_WORDS}) AS BIGINT)) AS shards FROM t JOIN b ON party = sid),
 h AS (SELECT *, CAST('0x' || substr(place, 1, 8) AS BIGINT) % shards AS shard FROM (SELECT d.*, c.source_size, c.target, c.sid, c.seats, c.shards, md5('7:' || doc_id) AS place FROM d JOIN c ON d.source IS NOT DISTINCT FROM c.source)),
 v AS (SELECT sid, shard AS party, seats, sum(size) AS votes FROM h GROUP BY 1, 2, 3),
 w AS ({_lague('v', 'sid')}),

@@ -2,7 +2,8 @@
 
 A set is grown only from its smallest node: a child takes one node of the frontier, keeps the frontier after
 it, and adds that node's neighbours that are larger than the root and were not yet seen. The unit of work is
-(graph, root), so a hub's load is dealt out; counts of raw keys are summed before codes are made.
+a block of a graph's roots, so a hub's load is dealt out; whole arrays of sets are grown and keyed at once, and
+counts are summed in the unit before they are shuffled.
 """
 
 from __future__ import annotations
@@ -10,19 +11,20 @@ from __future__ import annotations
 from collections import Counter
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import vector as V
 from .canonical import add_codes, canonical_of
 from .graphs import saved
+from .vector import SearchSpaceTooLarge
 
-#: Sets that one graph may have before the census stops with an error.
-GUARD = 5_000_000
-
-
-class SearchSpaceTooLarge(RuntimeError):
-    """More connected sets in a unit than the guard allows."""
+#: Sets that one unit of work may have before the census stops with an error.
+GUARD = 50_000_000
+#: Squared degrees, times the largest size, that one unit of work takes on.
+UNIT = 1_024
 
 
 def masks(nbrs: list[list[int]]) -> list[int]:
@@ -60,51 +62,85 @@ def raw_key(members: tuple[int, ...], labels: list[int], near: list[int]) -> tup
     return tuple(labels[x] for x in order), bits
 
 
-def work_units(graphs: DataFrame) -> DataFrame:
-    """One row for each root, dealt by hash so that a large graph's roots are spread."""
-    units = graphs.select("graph_id", "label_ids", "nbrs", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("root"))
-    return units.repartition(F.xxhash64("graph_id", "root"))
+def work_units(graphs: DataFrame, k_max: int = 1) -> DataFrame:
+    """Rows with every units-th root of a graph from `unit` on, dealt by hash so that a large graph is spread.
+
+    The number of units follows the graph's squared degrees and the size; a graph has at most a unit for each node.
+    """
+    work = F.aggregate("nbrs", F.lit(0).cast("long"), lambda a, x: a + F.size(x) * F.size(x)) * k_max
+    units = F.least(F.col("n"), F.greatest(F.lit(1), F.ceil(work / UNIT))).cast("int")
+    df = graphs.filter("n > 0").select("graph_id", "label_ids", "nbrs", units.alias("units"))
+    df = df.select("*", F.explode(F.sequence(F.lit(0), F.col("units") - 1)).alias("unit"))
+    return df.repartition(F.xxhash64("graph_id", "unit"))
+
+
+def _blocks(row: dict, k_max: int, guard: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Labels, adjacency and an array of sets, again and again, for one unit of work."""
+    near, labels = V.adjacency(row["nbrs"]), np.array(row["label_ids"], np.int64)
+    for members in V.connected_sets(near, k_max, np.arange(row["unit"], len(labels), row["units"]), guard):
+        yield labels, near, members
+
+
+def _by_size(row: dict, sizes: set[int], guard: int) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """size, labels, bits, counts and least sets of the distinct keys of one unit, summed in blocks."""
+    held: dict[int, list[np.ndarray]] = {k: [] for k in sizes}
+    rows = dict.fromkeys(sizes, 0)
+    labels = near = None
+    for labels, near, members in _blocks(row, max(sizes), guard):
+        k = members.shape[1]
+        if k in sizes:
+            held[k].append(members)
+            rows[k] += len(members)
+            if rows[k] > 200_000:
+                yield k, *V.counted(np.concatenate(held[k]), labels, near)
+                held[k], rows[k] = [], 0
+    for k, parts in held.items():
+        if parts:
+            yield k, *V.counted(np.concatenate(parts), labels, near)
 
 
 RAW = "graph_id bigint, k int, labels array<int>, bits bigint, cnt bigint, sample array<int>"
 
 
+def _lists(x: np.ndarray) -> pa.Array:
+    return pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1) * x.shape[1], pa.int32()), pa.array(x.ravel(), pa.int32()))
+
+
 def raw_counts(graphs: DataFrame, sizes: list[int], guard: int = GUARD) -> DataFrame:
-    """Counts of (labels, bits) by graph and size, partly summed by the kernel."""
-    wanted, k_max = set(sizes), max(sizes)
+    """Counts of (labels, bits) by graph and size, with the least set of each, partly summed by the kernel."""
+    wanted = set(sizes)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            counts: Counter = Counter()
-            sample: dict = {}
             for row in batch.to_pylist():
-                near, labels, g = masks(row["nbrs"]), row["label_ids"], row["graph_id"]
-                for s in enumerate_sets(near, k_max, row["root"], guard):
-                    if len(s) in wanted:
-                        key = (g, *raw_key(s, labels, near))
-                        counts[key] += 1
-                        if key not in sample:
-                            sample[key] = sorted(s)
-                if len(counts) > 200_000:
-                    yield _batch(counts, sample)
-                    counts, sample = Counter(), {}
-            yield _batch(counts, sample)
-
-    raw = work_units(graphs).mapInArrow(kernel, RAW)
+                for k, labels, bits, cnt, sample in _by_size(row, wanted, guard):
+                    cols = [pa.array(np.full(len(bits), row["graph_id"])), pa.array(np.full(len(bits), k), pa.int32()), _lists(labels), pa.array(bits), pa.array(cnt), _lists(sample)]
+                    yield pa.RecordBatch.from_arrays(cols, ["graph_id", "k", "labels", "bits", "cnt", "sample"])
+
+    raw = work_units(graphs, max(wanted)).mapInArrow(kernel, RAW)
     return raw.groupBy("graph_id", "k", "labels", "bits").agg(F.sum("cnt").alias("cnt"), F.min("sample").alias("sample"))
 
 
-def _batch(counts: Counter, sample: dict) -> pa.RecordBatch:
-    keys = list(counts)
-    return pa.RecordBatch.from_arrays([
-        pa.array([g for g, _, _ in keys], pa.int64()), pa.array([len(x) for _, x, _ in keys], pa.int32()), pa.array([list(x) for _, x, _ in keys], pa.list_(pa.int32())),
-        pa.array([b for _, _, b in keys], pa.int64()), pa.array([counts[x] for x in keys], pa.int64()), pa.array([sample[x] for x in keys], pa.list_(pa.int32())),
-    ], ["graph_id", "k", "labels", "bits", "cnt", "sample"])
+CODED = "graph_id bigint, k int, code string, cnt bigint, n_aut bigint, sample array<int>"
 
 
 def exact_census(graphs: DataFrame, sizes: list[int], guard: int = GUARD) -> DataFrame:
-    """graph_id, k, code, freq, n_aut, sample for every class of every graph."""
-    coded = add_codes(raw_counts(graphs, sizes, guard))
+    """graph_id, k, code, freq, n_aut, sample (the least set) for every class of every graph."""
+    wanted = set(sizes)
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                for k, labels, bits, cnt, sample in _by_size(row, wanted, guard):
+                    kinds = V.Classes(labels, bits)
+                    first, which = V.alike(kinds.labels, kinds.form)
+                    order = np.lexsort([*sample.T[::-1], which])
+                    least = order[np.flatnonzero(np.diff(which[order], prepend=-1))]
+                    total = np.bincount(which, cnt, len(first)).astype(np.int64)
+                    cols = [pa.array(np.full(len(first), row["graph_id"])), pa.array(np.full(len(first), k), pa.int32()), pa.array(kinds.texts(first), pa.string()), pa.array(total), pa.array(kinds.automorphisms[first]), _lists(sample[least])]
+                    yield pa.RecordBatch.from_arrays(cols, ["graph_id", "k", "code", "cnt", "n_aut", "sample"])
+
+    coded = work_units(graphs, max(wanted)).mapInArrow(kernel, CODED)
     return coded.groupBy("graph_id", "k", "code").agg(F.sum("cnt").alias("freq"), F.first("n_aut").alias("n_aut"), F.min("sample").alias("sample"))
 
 
@@ -122,12 +158,12 @@ def search_space(graphs: DataFrame, sizes: list[int], guard: int = GUARD) -> Dat
         for batch in batches:
             counts: Counter = Counter()
             for row in batch.to_pylist():
-                for s in enumerate_sets(masks(row["nbrs"]), k_max, row["root"], guard):
-                    counts[row["graph_id"], len(s)] += 1
+                for _, _, members in _blocks(row, k_max, guard):
+                    counts[row["graph_id"], members.shape[1]] += len(members)
             keys = [x for x in counts if x[1] in wanted]
             yield pa.RecordBatch.from_arrays([pa.array([g for g, _ in keys], pa.int64()), pa.array([k for _, k in keys], pa.int32()), pa.array([counts[x] for x in keys], pa.int64())], ["graph_id", "k", "sets"])
 
-    return work_units(graphs).mapInArrow(kernel, "graph_id bigint, k int, sets bigint").groupBy("graph_id", "k").agg(F.sum("sets").alias("sets"))
+    return work_units(graphs, k_max).mapInArrow(kernel, "graph_id bigint, k int, sets bigint").groupBy("graph_id", "k").agg(F.sum("sets").alias("sets"))
 
 
 def enumerate_rows(graphs: DataFrame, k: int) -> DataFrame:
@@ -167,10 +203,11 @@ def dataset_support(census: DataFrame, least: int = 1) -> DataFrame:
 
 
 def two_stage(graphs: DataFrame, k: int) -> DataFrame:
-    """The slow check: list the classes of each graph, then count each class by matching it."""
+    """The slow check: a miner with threshold one lists the classes of each graph, then each is counted by matching it."""
     from .match import frequency_many
+    from .mni import mine
 
-    listed = saved(exact_census(graphs, [k]).select("graph_id", "k", "code"))
+    listed = saved(mine(graphs, k, 1).filter(F.col("k") == k).select("graph_id", "k", "code"))
     return frequency_many(graphs, listed)
 
 

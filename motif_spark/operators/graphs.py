@@ -15,10 +15,13 @@ LITERAL_LABELS = 1_000
 
 
 def saved(df: DataFrame) -> DataFrame:
-    """Cut the lineage in the folder of spark.checkpoint.dir, or in one of our own where none is set."""
+    """Cut the lineage in the folder of spark.checkpoint.dir; only a local master may do without that setting."""
     sc = df.sparkSession.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoint-"))
+        folder = sc.getConf().get("spark.checkpoint.dir")
+        if not folder and not (sc.master.startswith("local") and "cluster" not in sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="checkpoint-"))
     return df.checkpoint()
 
 
@@ -100,6 +103,8 @@ def connected_components(nodes: DataFrame, edges: DataFrame, rounds: int = 60) -
         if now == before:
             break
         before = now
+    else:
+        raise RuntimeError(f"components did not settle in {rounds} rounds")
     found = links.select("graph_id", F.col("a").alias("node"), F.col("b").alias("comp"))
     return nodes.select("graph_id", "node").join(found, ["graph_id", "node"], "left").withColumn("comp", F.coalesce("comp", "node"))
 
@@ -113,12 +118,6 @@ def split_components(nodes: DataFrame, edges: DataFrame) -> tuple[DataFrame, Dat
     return index_graphs(parts, ends)
 
 
-def is_connected(nbrs, n):
-    """Native test for small graphs: the reach of node 0 grown n times as an array of nodes."""
-    grow = lambda reach, _: F.array_distinct(F.concat(reach, F.flatten(F.transform(reach, lambda x: F.element_at(nbrs, x + 1)))))
-    return F.size(F.aggregate(F.sequence(F.lit(1), n), F.array(F.lit(0)), grow)) == n
-
-
 def filter_targets(graphs: DataFrame, above: int = 10, below: int = 500, connected: bool = True) -> DataFrame:
     """Graphs with above < n < below that are connected."""
     kept = graphs.filter((F.col("n") > above) & (F.col("n") < below))
@@ -145,7 +144,9 @@ def _connected(graphs: DataFrame) -> DataFrame:
 
 def split_targets(graphs: DataFrame, train: float = 0.8, valid: float = 0.0, seed: int = 1) -> DataFrame:
     """Adds split by a hash of the id, the same at any parallelism."""
-    at = F.pmod(F.xxhash64("graph_id", F.lit(seed)), F.lit(10_000)) / 10_000
+    from .process import chance
+
+    at = chance("graph_id", F.lit(seed))
     return graphs.withColumn("split", F.when(at < train * (1 - valid), "train").when(at < train, "valid").otherwise("test"))
 
 
@@ -169,8 +170,17 @@ def permute_graph(graphs: DataFrame, seed: int = 1) -> DataFrame:
 
 
 def union_graphs(nodes: DataFrame, edges: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """All graphs as one disconnected graph with id 0; nodes are numbered in order of graph and node."""
-    ext = F.concat_ws(":", F.lpad(F.col("graph_id").cast("string"), 20, "0"), F.lpad(F.col("node").cast("string"), 10, "0"))
-    name = lambda c: F.concat_ws(":", F.lpad(F.col("graph_id").cast("string"), 20, "0"), F.lpad(F.col(c).cast("string"), 10, "0"))
-    whole = nodes.select(F.lit(0).cast("long").alias("graph_id"), ext.alias("ext_id"), *[c for c in ("label", "label_id") if c in nodes.columns])
-    return index_graphs(whole, edges.select(F.lit(0).cast("long").alias("graph_id"), name("u").alias("u"), name("v").alias("v")))
+    """All graphs as one disconnected graph with id 0; nodes are numbered in order of graph and node.
+
+    Only sizes of graphs are summed up: first within ranges of graph ids, then over the ranges.
+    """
+    sizes = nodes.groupBy("graph_id").agg(F.count(F.lit(1)).alias("size"))
+    ranged = saved(sizes.repartitionByRange("graph_id").withColumn("range", F.spark_partition_id()))
+    before = lambda w: F.coalesce(F.sum("size").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    starts = ranged.groupBy("range").agg(F.sum("size").alias("size")).select("range", before(Window.orderBy("range")).alias("start"))
+    own = ranged.withColumn("own", before(Window.partitionBy("range").orderBy("graph_id")))
+    at = own.join(starts, "range").select("graph_id", (F.col("start") + F.col("own")).alias("first"))
+    whole = F.lit(0).cast("long").alias("graph_id")
+    number = lambda c: (F.col("first") + F.col(c)).cast("int").alias(c)
+    labels = [c for c in ("label", "label_id") if c in nodes.columns]
+    return nodes.join(at, "graph_id").select(whole, number("node"), *labels), edges.join(at, "graph_id").select(whole, number("u"), number("v"))

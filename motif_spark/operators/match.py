@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import lru_cache
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .canonical import canonical_of, parse_code, rows_of_bits
+from .canonical import parse_code, rows_of_bits
 
 
 def _order(labels: tuple[int, ...], adj: list[int], have: dict[int, int]) -> list[int]:
@@ -21,37 +22,73 @@ def _order(labels: tuple[int, ...], adj: list[int], have: dict[int, int]) -> lis
     return order
 
 
-def mappings(code: str, labels: list[int], nbrs: list[list[int]]) -> Iterator[tuple[int, ...]]:
-    """Every isomorphism of the pattern onto an induced subgraph, as nodes in pattern order."""
+@lru_cache(maxsize=50_000)
+def breaking(code: str) -> tuple[tuple[int, int], ...]:
+    """Pairs (a, b) of places; with node(a) < node(b) for all of them, one mapping of each node set is left.
+
+    The place with the widest orbit is held to the least node of its orbit, then those that leave it in place go on.
+    """
+    want, bits = parse_code(code)
+    adj = rows_of_bits(len(want), bits)
+    group = list(mappings(code, list(want), [[j for j in range(len(want)) if a >> j & 1] for a in adj]))
+    pairs: list[tuple[int, int]] = []
+    while len(group) > 1:
+        orbits = [{g[i] for g in group} for i in range(len(want))]
+        lead = max(range(len(want)), key=lambda i: len(orbits[i]))
+        pairs += [(lead, x) for x in sorted(orbits[lead] - {lead})]
+        group = [g for g in group if g[lead] == lead]
+    return tuple(pairs)
+
+
+def mappings(code: str, labels: list[int], nbrs: list[list[int]], below: tuple[tuple[int, int], ...] = ()) -> Iterator[tuple[int, ...]]:
+    """Every isomorphism of the pattern onto an induced subgraph, as nodes in pattern order, that meets the pairs `below`."""
     want, bits = parse_code(code)
     adj, k = rows_of_bits(len(want), bits), len(want)
-    have: dict[int, int] = {}
-    for x in labels:
-        have[x] = have.get(x, 0) + 1
+    have: dict[int, list[int]] = {}
+    for node, x in enumerate(labels):
+        have.setdefault(x, []).append(node)
     near = [set(r) for r in nbrs]
-    order = _order(want, adj, have)
-
-    def grow(at: int, got: dict[int, int]) -> Iterator[tuple[int, ...]]:
+    order = _order(want, adj, {x: len(nodes) for x, nodes in have.items()})
+    got = [0] * k
+    # What is asked of each place, given the places before it.
+    steps = []
+    for at, p in enumerate(order):
+        linked, apart = ([q for q in order[:at] if (adj[p] >> q & 1) == bit] for bit in (1, 0))
+        steps.append((p, linked, apart, [a for a, b in below if b == p and a in order[:at]], [b for a, b in below if a == p and b in order[:at]]))
+
+    def grow(at: int) -> Iterator[tuple[int, ...]]:
         if at == k:
-            yield tuple(got[i] for i in range(k))
+            yield tuple(got)
             return
-        p = order[at]
-        options = range(len(labels)) if not at else set.intersection(*[near[got[q]] for q in order[:at] if adj[p] >> q & 1])
+        p, linked, apart, above, under = steps[at]
+        options = have.get(want[p], ()) if not at else set.intersection(*[near[got[q]] for q in linked])
         for x in options:
-            if labels[x] == want[p] and x not in got.values() and all((x in near[got[q]]) == bool(adj[p] >> q & 1) for q in order[:at]):
-                yield from grow(at + 1, got | {p: x})
+            if labels[x] != want[p] or any(x <= got[q] for q in above) or any(x >= got[q] for q in under):
+                continue
+            if any(x == got[q] or x in near[got[q]] for q in apart) or any(x == got[q] for q in linked):
+                continue
+            got[p] = x
+            yield from grow(at + 1)
+
+    yield from grow(0)
 
-    yield from grow(0, {})
 
+def label_counts(graphs: DataFrame, labels: set[int]) -> dict[int, int]:
+    """Nodes of each of a pattern's labels: at most as many rows as labels."""
+    each = graphs.select(F.explode("label_ids").alias("l")).filter(F.col("l").isin(*labels)).groupBy("l").count()
+    return {r["l"]: r["count"] for r in each.collect()}
 
-def match_pattern(graphs: DataFrame, code: str) -> DataFrame:
-    """graph_id, mapping for every isomorphism, from joins of nodes and edges in a connected order.
 
-    Labels, edges and non-edges are tested on packed neighbour lists, so each step is a narrow explode.
+def match_pattern(graphs: DataFrame, code: str, once: bool = False, have: dict[int, int] | None = None) -> DataFrame:
+    """graph_id, mapping for every isomorphism, or with `once` for one of each node set.
+
+    Nodes are placed in a connected order from the rarest label on (by `have`, nodes of each label). Labels,
+    edges and non-edges are tested on packed neighbour lists, so each step is a narrow explode.
     """
     want, bits = parse_code(code)
     adj = rows_of_bits(len(want), bits)
-    order = _order(want, adj, {})
+    order = _order(want, adj, have or {})
+    pairs = breaking(code) if once else ()
     label = lambda x: F.element_at("label_ids", x + 1)
     near = lambda x: F.element_at("nbrs", x + 1)
     df = graphs.select("graph_id", "label_ids", "nbrs", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias(f"p{order[0]}"))
@@ -62,12 +99,15 @@ def match_pattern(graphs: DataFrame, code: str) -> DataFrame:
         for q in order[:at]:
             held = F.array_contains(near(F.col(f"p{q}")), F.col(f"p{p}"))
             df = df.filter((F.col(f"p{p}") != F.col(f"p{q}")) & (held if adj[p] >> q & 1 else ~held))
+        for a, b in pairs:
+            if p in (a, b) and {a, b} <= set(order[: at + 1]):
+                df = df.filter(F.col(f"p{a}") < F.col(f"p{b}"))
     return df.select("graph_id", F.array(*[F.col(f"p{i}") for i in range(len(want))]).alias("mapping"))
 
 
 def frequency(graphs: DataFrame, code: str) -> DataFrame:
     """graph_id, freq: different node sets that induce the pattern."""
-    sets = match_pattern(graphs, code).select("graph_id", F.array_sort("mapping").alias("members")).distinct()
+    sets = match_pattern(graphs, code, True, label_counts(graphs, set(parse_code(code)[0])))
     return sets.groupBy("graph_id").agg(F.count(F.lit(1)).alias("freq"))
 
 
@@ -77,20 +117,36 @@ def mapping_count(census: DataFrame) -> DataFrame:
 
 
 def frequency_many(graphs: DataFrame, patterns: DataFrame) -> DataFrame:
-    """Adds freq to rows with graph_id, k and code, by matching each pattern in its graph."""
+    """Adds freq to rows with graph_id, k and code, by matching each pattern in its graph, each node set once."""
     held = patterns.join(graphs.select("graph_id", "label_ids", "nbrs"), "graph_id").select("graph_id", "k", "code", "label_ids", "nbrs")
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            freq = []
-            for row in batch.to_pylist():
-                found = sum(1 for _ in mappings(row["code"], row["label_ids"], row["nbrs"]))
-                freq.append(found // canonical_of(*parse_code(row["code"]))[1])
+            freq = [sum(1 for _ in mappings(r["code"], r["label_ids"], r["nbrs"], breaking(r["code"]))) for r in batch.to_pylist()]
             yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(freq, pa.int64())], ["graph_id", "k", "code", "freq"])
 
     return held.mapInArrow(kernel, "graph_id bigint, k int, code string, freq bigint")
 
 
+#: Patterns for each graph and size from which one census of the graph is cheaper than matching each.
+MANY = 24
+
+
+def frequencies(graphs: DataFrame, patterns: DataFrame) -> DataFrame:
+    """frequency_many() or a census lookup, by how many patterns a graph and size has on average."""
+    from .census import exact_census
+
+    load = patterns.groupBy("graph_id", "k").agg(F.count(F.lit(1)).alias("n")).groupBy("k").agg(F.avg("n").alias("n"))
+    many = {r["k"]: r["n"] for r in load.collect()}  # one row for each size
+    dense = [k for k, n in many.items() if n >= MANY]
+    if not dense:
+        return frequency_many(graphs, patterns)
+    wanted = graphs.join(patterns.select("graph_id").distinct(), "graph_id", "left_semi")
+    found = frequency_lookup(patterns.filter(F.col("k").isin(dense)).select("graph_id", "k", "code"), exact_census(wanted, dense))
+    rest = [k for k in many if k not in dense]
+    return found.unionByName(frequency_many(graphs, patterns.filter(F.col("k").isin(rest)))) if rest else found
+
+
 def frequency_lookup(found: DataFrame, census: DataFrame) -> DataFrame:
     """Adds freq from a census to rows with graph_id, k and code."""
     return found.join(census.select("graph_id", "k", "code", "freq"), ["graph_id", "k", "code"])

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from hashlib import md5
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
@@ -49,20 +50,31 @@ def reward(kind: str = "best") -> Column:
     return F.when(F.col("done"), value).otherwise(0.0)
 
 
-def sample_action(actions: Column, seed: Column, *keys: str) -> Column:
-    """One of an action array by a hash of the row's keys, whatever the partitioning."""
-    return F.element_at(actions, (F.pmod(F.xxhash64(seed, *keys), F.size(actions)) + 1).cast("int"))
+def chance(*key: Column | str) -> Column:
+    """A number in [0, 1) from a hash of the key, the same at any partitioning; equals uniform()."""
+    joined = F.concat_ws(":", *[(F.col(k) if isinstance(k, str) else k).cast("string") for k in key])
+    return F.conv(F.substring(F.md5(joined.cast("binary")), 1, 13), 16, 10).cast("long") / F.lit(float(1 << 52))
+
+
+def sample_action(rows: DataFrame, *key: str) -> DataFrame:
+    """Rows graph_id, action, key columns: one node of each graph drawn by the probabilities of graph_id, node, prob."""
+    w = Window.partitionBy("graph_id", *key).orderBy("node").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    whole = Window.partitionBy("graph_id", *key)
+    drawn = chance("graph_id", *key) * F.sum("prob").over(whole)
+    df = rows.filter("prob > 0").withColumns({"_upto": F.sum("prob").over(w), "_u": drawn, "_last": F.max("node").over(whole)})
+    hit = df.filter((F.col("_upto") > F.col("_u")) | (F.col("node") == F.col("_last")))
+    return hit.groupBy("graph_id", *key).agg(F.min("node").alias("action"))
+
+
+def greedy_action(rows: DataFrame, *key: str) -> DataFrame:
+    """Rows graph_id, action, key columns: the most probable node, the smallest among equals; none where none is valid."""
+    best = rows.filter("prob > 0").groupBy("graph_id", *key).agg(F.min(F.struct(-F.col("prob"), F.col("node").alias("node"))).alias("x"))
+    return best.select("graph_id", *key, F.col("x.node").alias("action"))
 
 
 def uniform(*key: int) -> float:
     """A number in [0, 1) from a hash of the key, the same at any parallelism."""
-    x = 0x9E3779B97F4A7C15
-    for part in key:
-        x = ((x ^ (part & 0xFFFFFFFFFFFFFFFF)) * 0xBF58476D1CE4E5B9) & 0xFFFFFFFFFFFFFFFF
-        x ^= x >> 29
-        x = (x * 0x94D049BB133111EB) & 0xFFFFFFFFFFFFFFFF
-        x ^= x >> 32
-    return x / 2**64
+    return int(md5(":".join(map(str, key)).encode(), usedforsecurity=False).hexdigest()[:13], 16) / (1 << 52)
 
 
 def walk(near: list[int], k: int, key: tuple[int, ...]) -> tuple[int, ...] | None:
@@ -105,10 +117,10 @@ def random_rollouts(graphs: DataFrame, sizes: list[int], n_samples: int = 100, s
 
 def random_baseline(graphs: DataFrame, rollouts: DataFrame, census: DataFrame | None = None) -> DataFrame:
     """graph_id, k, seed, code, freq: the most frequent sampled class. Each class is counted once for a graph."""
-    from .match import frequency_lookup, frequency_many
+    from .match import frequencies, frequency_lookup
 
     classes = rollouts.select("graph_id", "k", "code").distinct()
-    counted = frequency_lookup(classes, census) if census is not None else frequency_many(graphs, classes)
+    counted = frequency_lookup(classes, census) if census is not None else frequencies(graphs, classes)
     seen = rollouts.select("graph_id", "k", "seed", "code").distinct().join(counted, ["graph_id", "k", "code"])
     w = Window.partitionBy("graph_id", "k", "seed").orderBy(F.desc("freq"), "code")
     return seen.withColumn("_r", F.row_number().over(w)).filter("_r = 1").select("graph_id", "k", "seed", "code", "freq")
@@ -127,11 +139,11 @@ def sample_enumeration(graphs: DataFrame, k: int, keep: list[float], seed: int =
         for batch in batches:
             counts: dict = {}
             for g in batch.to_pylist():
-                near, r = masks(g["nbrs"]), g["root"]
-                above = ~((1 << (r + 1)) - 1)
-                stack = [((r,), near[r] & above, near[r] | 1 << r)]
+                near = masks(g["nbrs"])
+                stack = [((r,), near[r] & ~((1 << (r + 1)) - 1), near[r] | 1 << r) for r in range(g["unit"], len(near), g["units"])]
                 while stack:
                     members, frontier, seen = stack.pop()
+                    above = ~((1 << (members[0] + 1)) - 1)
                     if uniform(seed, g["graph_id"], *members) >= keep[len(members) - 1]:
                         continue
                     if len(members) == k:
@@ -148,4 +160,4 @@ def sample_enumeration(graphs: DataFrame, k: int, keep: list[float], seed: int =
 
     from .census import work_units
 
-    return work_units(graphs).mapInArrow(kernel, "graph_id bigint, code string, freq double").groupBy("graph_id", "code").agg(F.sum("freq").alias("freq")).withColumn("k", F.lit(k))
+    return work_units(graphs, k).mapInArrow(kernel, "graph_id bigint, code string, freq double").groupBy("graph_id", "code").agg(F.sum("freq").alias("freq")).withColumn("k", F.lit(k))

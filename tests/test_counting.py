@@ -165,7 +165,7 @@ def test_support_shrinks_as_patterns_grow(session):
 
 def test_plain_support(worked):
     got = {(r.k, r.code): r.mni for r in N.mine(worked, 3, 1, induced=False).collect()}
-    assert got[2, "0.0:1"] == 4 or got[2, "0.0:1"] == 3
+    assert got[2, "0.0:1"] == 3  # nodes 1, 2 and 3 of the triangle are all edges between two A
     assert got[3, "0.0.0:7"] == 3 and any(k == 3 for k, _ in got)
 
 

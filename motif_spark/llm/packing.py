@@ -6,8 +6,10 @@ least-waste fillings is the incumbent. Where it needs more sequences than the lo
 goes over undominated fillings around the largest length left, pruned by the waste that is still allowed,
 and back, within a budget of nodes. Pieces then find their places by their rank among pieces of equal length.
 
-Defined cases: a null or empty text has only the end id; repeated rows are packed each on its own; an empty
-table gives an empty result.
+Defined cases: a null or empty text has only the end id; repeated rows are packed each on its own, spread like
+any others; an empty table gives an empty result; a very long text is cut into pieces of `capacity` ids; among
+pieces of one length any order is as good, and it is that of a hash of their place in the saved table; extra
+columns are left out, so their names do not matter.
 """
 
 from __future__ import annotations
@@ -36,6 +38,7 @@ NODES, DEPTH = 20_000, 12
 BUDGET = 200_000
 #: Pieces of one length that are ranked by one task.
 RANK_ROWS = 512
+PIECE = ["doc_id", "piece", "start", "length", "ids_crc32"]
 
 
 def best_fit_fillings(counts: dict[int, int], capacity: int) -> list[tuple[list[int], int]]:
@@ -319,17 +322,22 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end_id: in
 def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end_id: int = END) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset for every piece."""
     cut = checkpoint(pieces(docs, tokenizer, capacity, end_id))
+    # Rows keep their numbers, as the saved table's partitions stay; so repeated rows are spread, too.
+    cut = cut.withColumn("_u", F.monotonically_increasing_id())
+    # A full piece is a sequence of its own, numbered below zero: most pieces of long texts need no rank.
+    alone = cut.filter(F.col("length") == capacity).select(*PIECE, (-1 - F.col("_u")).alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
+    cut = cut.filter(F.col("length") < capacity)
     counts = {r["length"]: r["n"] for r in cut.groupBy("length").agg(F.count(F.lit(1)).alias("n")).collect()}  # at most `capacity` rows
     slots = places(plan(counts, capacity))
     groups = np.ones(capacity + 1, np.int64)
     for x, n in counts.items():
         groups[x] = -(-n // RANK_ROWS)
     n_groups = F.get(F.array(*[F.lit(int(g)) for g in groups]), F.col("length").cast("int"))
-    dealt = cut.withColumn("_g", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), n_groups))
+    dealt = cut.withColumn("_g", F.pmod(F.xxhash64("_u"), n_groups))
     sizes = dealt.groupBy("length", "_g").agg(F.count(F.lit(1)).alias("_n"))
     before = F.sum("_n").over(Window.partitionBy("length").orderBy("_g").rowsBetween(Window.unboundedPreceding, -1))
     sizes = sizes.select("length", "_g", F.coalesce(before, F.lit(0)).alias("_before"))
-    ranked = dealt.withColumn("_r", F.row_number().over(Window.partitionBy("length", "_g").orderBy("doc_id", "piece")))
+    ranked = dealt.withColumn("_r", F.row_number().over(Window.partitionBy("length", "_g").orderBy("doc_id", "piece", "_u")))
     ranked = ranked.join(sizes, ["length", "_g"]).withColumn("_rank", F.col("_before") + F.col("_r") - 1)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -340,5 +348,5 @@ def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end_id: int
             yield pa.RecordBatch.from_arrays(cols, ["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"])
 
     kind = dict(cut.dtypes)["doc_id"]
-    own = ranked.select("doc_id", "piece", "start", "length", "ids_crc32", "_rank")
-    return own.mapInArrow(kernel, f"doc_id {kind}, piece int, start bigint, length bigint, ids_crc32 bigint, sequence_id bigint, offset bigint")
+    placed = ranked.select(*PIECE, "_rank").mapInArrow(kernel, f"doc_id {kind}, piece int, start bigint, length bigint, ids_crc32 bigint, sequence_id bigint, offset bigint")
+    return placed.unionByName(alone)

@@ -144,9 +144,9 @@ def exact_census(graphs: DataFrame, sizes: list[int], guard: int = GUARD) -> Dat
     return coded.groupBy("graph_id", "k", "code").agg(F.sum("cnt").alias("freq"), F.first("n_aut").alias("n_aut"), F.min("sample").alias("sample"))
 
 
-def most_frequent(census: DataFrame, ties: bool = False) -> DataFrame:
-    """The most frequent class of each graph and size, by code among equals; or all equals."""
-    w = Window.partitionBy("graph_id", "k").orderBy(F.desc("freq"), *([] if ties else ["code"]))
+def most_frequent(census: DataFrame, ties: bool = False, then: str = "code") -> DataFrame:
+    """The most frequent class of each graph and size, by `then` (code or sample) among equals; or all equals."""
+    w = Window.partitionBy("graph_id", "k").orderBy(F.desc("freq"), *([] if ties else [then]))
     return census.withColumn("_r", F.rank().over(w)).filter("_r = 1").drop("_r")
 
 

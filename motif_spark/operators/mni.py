@@ -72,7 +72,7 @@ def _levels(row: dict, sizes: set[int], guard: int) -> Iterator[Level]:
             yield Level(np.concatenate(parts), labels, near)
 
 
-def mni_census(graphs: DataFrame, sizes: list[int], guard: int = GUARD) -> DataFrame:
+def mni_census(graphs: DataFrame, sizes: list[int], guard: int = GUARD, whole_units: int = WHOLE) -> DataFrame:
     """graph_id, k, code, freq, mni for every class. Large graphs are dealt out by roots and their images merged."""
     wanted = set(sizes)
 
@@ -91,8 +91,8 @@ def mni_census(graphs: DataFrame, sizes: list[int], guard: int = GUARD) -> DataF
                     yield level.masks(row["graph_id"])
 
     units = work_units(graphs, max(wanted))
-    once = units.filter(f"units <= {WHOLE} and unit = 0").withColumn("units", F.lit(1)).mapInArrow(whole, CENSUS)
-    masks = units.filter(f"units > {WHOLE}").mapInArrow(parts, MASKS)
+    once = units.filter(f"units <= {whole_units} and unit = 0").withColumn("units", F.lit(1)).mapInArrow(whole, CENSUS)
+    masks = units.filter(f"units > {whole_units}").mapInArrow(parts, MASKS)
     words = masks.groupBy("graph_id", "k", "code", "place", "word").agg(F.sum("cnt").alias("cnt"), F.bit_or("mask").alias("mask"))
     places = words.groupBy("graph_id", "k", "code", "place").agg(F.sum("cnt").alias("cnt"), F.sum(F.bit_count("mask")).alias("image"))
     return once.unionByName(places.groupBy("graph_id", "k", "code").agg(F.sum("cnt").alias("freq"), F.min("image").alias("mni")))

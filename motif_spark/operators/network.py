@@ -18,7 +18,10 @@ MASKED = -1e8
 
 @dataclass(frozen=True)
 class Config:
-    """Sizes and variants. skip: gated, plain, none; state: message, concat, none; task: embed, separate, none."""
+    """Sizes and variants. skip: gated, plain, none; state: message, concat, none; task: embed, separate, none.
+
+    residual adds a node's own representation to what attention gives it, which the published heads do not.
+    """
 
     labels: int = 5
     width: int = 32
@@ -32,6 +35,7 @@ class Config:
     pooling: str = "attention"
     dueling: bool = True
     reward_head: bool = True
+    residual: bool = False
 
 
 def init(config: Config, kind: str, seed: int) -> dict[str, np.ndarray]:
@@ -133,7 +137,8 @@ def attention(p: dict, h: Tensor, b: Batch, config: Config) -> Tensor:
     """Every node compared with every other of its graph."""
     if not config.attention:
         return h
-    return h + _attend(h @ p["att.q"], h @ p["att.k"], h @ p["att.v"], b.real, config.heads) @ p["att.o"]
+    seen = _attend(h @ p["att.q"], h @ p["att.k"], h @ p["att.v"], b.real, config.heads) @ p["att.o"]
+    return h + seen if config.residual else seen
 
 
 def scores(p: dict, h: Tensor, prefix: str = "head") -> Tensor:

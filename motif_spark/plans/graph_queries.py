@@ -245,7 +245,7 @@ def _space(k: int) -> None:
 ) SELECT graph_id, CAST(k AS INT) AS k, CAST(sum(c) AS BIGINT) AS sets FROM w WHERE k = {k} GROUP BY 1, 2"""
 
 
-for _k in (5, 6, 7):
+for _k in (5, 6, 7, 8, 9):
     _space(_k)
 
 
@@ -316,11 +316,6 @@ def n_disagree_k3(spark, sf_dir):
     return N.disagreement(N.mni_census(_session(spark, sf_dir), [3]))
 
 
-@query()
-def n_descent_k5(spark, sf_dir):
-    return N.baseline(N.descent(_session(spark, sf_dir), [3, 4, 5]))
-
-
 @query(f"WITH {SESSION} SELECT graph_id, count(*) AS actions FROM s GROUP BY 1")
 def p_valid_actions_t0(spark, sf_dir):
     return P.reset(_session(spark, sf_dir), [3]).select("graph_id", F.size(P.valid_actions()).cast("long").alias("actions"))
@@ -408,19 +403,6 @@ def h_dueling(spark, sf_dir):
     return L.dueling(rows).select("graph_id", "node", F.round("q", 6).alias("q"))
 
 
-@query()
-def r_rollouts(spark, sf_dir):
-    return P.random_rollouts(_session(spark, sf_dir), [3, 5]).select("graph_id", "k", "seed", "sample", F.array_join(F.transform("members", lambda x: x.cast("string")), ",").alias("members"), "code")
-
-
-@query()
-def r_best(spark, sf_dir):
-    g = G.saved(_session(spark, sf_dir))
-    census = G.saved(C.exact_census(g, [3, 5]))
-    found = P.random_baseline(g, P.random_rollouts(g, [3, 5]), census)
-    return A.average_over_seeds(A.approx_ratio(found, census))
-
-
 @query()
 def r_enumeration_estimate(spark, sf_dir):
     est = P.sample_enumeration(_session(spark, sf_dir), 4, [1.0, 0.7, 0.7, 0.7])

@@ -46,15 +46,6 @@ def w4_mni_disagreement_purchase(spark, sf_dir):
     return N.disagreement(N.mni_census(G.filter_targets(graphs), [3]))
 
 
-@_keep
-def w2_random_ratio(spark, sf_dir):
-    """Random sampler on folded session graphs: its ratio falls with the size."""
-    g = G.saved(G.pack_graphs(*S.session(spark, sf_dir, True), labels=["browse", "convert", "error"]))
-    census = G.saved(C.exact_census(g, [3, 5]))
-    found = P.random_baseline(g, P.random_rollouts(g, [3, 5]), census)
-    return A.average_over_seeds(A.approx_ratio(found, census))
-
-
 @_keep
 def w8_search_space(spark, sf_dir):
     """Connected sets of all session graphs for each size."""

@@ -18,6 +18,25 @@ class EnumerateSubgraphs:
             yield len(s), sorted(s), code_of(list(s), label_ids, nbrs)
 
 
+@F.udtf(returnType="graph_id bigint, k int, sets bigint")
+class CountSubgraphs:
+    """Connected sets by size of the packed rows of a table argument, partition by partition."""
+
+    def __init__(self):
+        self.counts = {}
+
+    def eval(self, row, k_max):
+        from motif_spark.operators.census import enumerate_sets, masks
+
+        for s in enumerate_sets(masks(row["nbrs"]), k_max):
+            key = (row["graph_id"], len(s))
+            self.counts[key] = self.counts.get(key, 0) + 1
+
+    def terminate(self):
+        for (graph, k), sets in self.counts.items():
+            yield graph, k, sets
+
+
 @F.udtf(returnType="node int, parent int, tag string")
 class HtmlTree:
     """Elements of a page with their parents."""
@@ -41,8 +60,19 @@ def mine_udtf(policy):
     return Mine
 
 
+#: A SQL function, so it stays in the plan: pairs of members in the order given, first pair highest.
+INDUCED_BITS = """
+CREATE OR REPLACE TEMPORARY FUNCTION induced_bits(nbrs ARRAY<ARRAY<INT>>, members ARRAY<INT>) RETURNS BIGINT RETURN
+aggregate(
+  flatten(transform(sequence(1, greatest(size(members) - 1, 1)), i -> transform(slice(members, i + 1, size(members)), y -> array_contains(element_at(nbrs, element_at(members, i) + 1), y)))),
+  0L, (a, b) -> a * 2 + CAST(b AS BIGINT))
+"""
+
+
 def register_all(spark: SparkSession, policy=None) -> None:
-    """motif_code(labels, bits), motif_isomorphic(a, b), vec_sum(array), enumerate_subgraphs, html_tree, mine."""
+    """motif_code(labels, bits), motif_isomorphic(a, b), induced_bits(nbrs, members), vec_sum(array), enumerate_subgraphs,
+    count_subgraphs, html_tree, mine."""
+
     @F.pandas_udf(T.StringType())
     def motif_code(labels: pd.Series, bits: pd.Series) -> pd.Series:
         from motif_spark.operators.canonical import canonical_of
@@ -61,7 +91,9 @@ def register_all(spark: SparkSession, policy=None) -> None:
 
     for name, f in (("motif_code", motif_code), ("motif_isomorphic", motif_isomorphic), ("vec_sum", vec_sum)):
         spark.udf.register(name, f)
+    spark.sql(INDUCED_BITS)
     spark.udtf.register("enumerate_subgraphs", EnumerateSubgraphs)
+    spark.udtf.register("count_subgraphs", CountSubgraphs)
     spark.udtf.register("html_tree", HtmlTree)
     if policy is not None:
         spark.udtf.register("mine", mine_udtf(policy))

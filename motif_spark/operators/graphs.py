@@ -7,21 +7,27 @@ from __future__ import annotations
 
 import tempfile
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 #: Dictionaries up to this size are put into the plan; larger ones are joined.
 LITERAL_LABELS = 1_000
 
 
-def saved(df: DataFrame) -> DataFrame:
-    """Cut the lineage in the folder of spark.checkpoint.dir; only a local master may do without that setting."""
-    sc = df.sparkSession.sparkContext
+def shared_folder(spark: SparkSession) -> str:
+    """The checkpoint folder; only a local master may do without spark.checkpoint.dir."""
+    sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
         folder = sc.getConf().get("spark.checkpoint.dir")
         if not folder and not (sc.master.startswith("local") and "cluster" not in sc.master):
             raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="checkpoint-"))
+    return sc._jsc.sc().getCheckpointDir().get()
+
+
+def saved(df: DataFrame) -> DataFrame:
+    """Cut the lineage in the shared folder."""
+    shared_folder(df.sparkSession)
     return df.checkpoint()
 
 
@@ -159,6 +165,14 @@ def induce(graphs: DataFrame, members: str = "members") -> DataFrame:
     return graphs.withColumns({"labels": labels, "bits": bits})
 
 
+def induce_rows(nodes: DataFrame, edges: DataFrame, sets: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Nodes and edges of the subgraphs induced by rows graph_id, set_id, node, by joins; set_id is the new key."""
+    chosen = sets.select("graph_id", "set_id", "node").distinct()
+    start = edges.join(chosen.withColumnRenamed("node", "u"), ["graph_id", "u"])
+    inside = start.join(chosen.withColumnRenamed("node", "v"), ["graph_id", "set_id", "v"])
+    return nodes.join(chosen, ["graph_id", "node"]), inside.select("graph_id", "set_id", "u", "v")
+
+
 def permute_graph(graphs: DataFrame, seed: int = 1) -> DataFrame:
     """Renumbers the nodes of every graph by a seeded order."""
     nodes, edges = unpack_graphs(graphs)

@@ -57,3 +57,9 @@ def slope(xs: list[float], ys: list[float]) -> float:
     """Least-squares slope, for the growth of time with k."""
     mx, my = sum(xs) / len(xs), sum(ys) / len(ys)
     return sum((x - mx) * (y - my) for x, y in zip(xs, ys)) / sum((x - mx) ** 2 for x in xs)
+
+
+def growth(rows: DataFrame, by: str, x: str, y: str) -> DataFrame:
+    """slope of the line through y against x, and bend: the share of y's variance that is beside the line."""
+    fit = rows.groupBy(by).agg(F.regr_slope(y, x).alias("slope"), F.regr_r2(y, x).alias("r2"))
+    return fit.select(by, "slope", (1 - F.col("r2")).alias("bend"))

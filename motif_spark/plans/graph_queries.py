@@ -152,11 +152,6 @@ def g_label_hist(spark, sf_dir):
     return S.purchase(spark, sf_dir)[0].groupBy("label").agg(F.count(F.lit(1)).alias("nodes"))
 
 
-@query()
-def g_split(spark, sf_dir):
-    return G.split_targets(_session(spark, sf_dir), 0.8, 0.1).select("graph_id", "split")
-
-
 @query()
 def g_dom_stats(spark, sf_dir):
     return G.graph_stats(S.packed(spark, sf_dir, "dom"))

@@ -144,45 +144,9 @@ def op_agg_approx(spark, sf_dir):
     return _t(spark, sf_dir, "lineitem").groupBy("l_returnflag").agg(F.approx_count_distinct("l_orderkey", 0.02).alias("orders"), F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey")).alias("parts"))
 
 
-@frame()
+@frame("SELECT event_id FROM events WHERE CAST('0x' || substr(md5(CAST(user_id AS VARCHAR)), 1, 13) AS BIGINT) / 4503599627370496.0 < 0.1")
 def op_sample(spark, sf_dir):
-    return _t(spark, sf_dir, "events").filter(F.pmod(F.xxhash64("user_id"), F.lit(10)) == 0).select("event_id")
-
-
-def _graphs(spark, sf_dir):
-    from .graph_queries import _session
-
-    return _session(spark, sf_dir)
-
-
-@frame()
-def op_udf(spark, sf_dir):
-    """Codes of each session graph's first three nodes by the registered function."""
-    from ..functions.register import register_all
-    from ..operators.graphs import induce
-
-    register_all(spark)
-    rows = induce(_graphs(spark, sf_dir).withColumn("members", F.array(F.lit(0), F.lit(1), F.lit(2))))
-    return spark.sql("SELECT graph_id, motif_code(labels, bits) AS code FROM {rows}", rows=rows)
-
-
-@frame("SELECT label, count(*) AS n FROM embeddings GROUP BY 1")
-def op_udaf(spark, sf_dir):
-    from ..functions.register import register_all
-
-    register_all(spark)
-    e = _t(spark, sf_dir, "embeddings").select("label", F.col("embedding").cast("array<double>").alias("v"))
-    return e.groupBy("label").agg(F.call_function("vec_sum", F.col("v")).alias("s")).join(e.groupBy("label").agg(F.count(F.lit(1)).alias("n")), "label").filter(F.size("s") == 64).select("label", "n")
-
-
-@frame("SELECT graph_id, CAST(4 AS INT) AS k, count(*) AS sets FROM (SELECT 1 AS graph_id WHERE false) GROUP BY 1")
-def op_udtf(spark, sf_dir):
-    """Sets of every size by the table function."""
-    from ..functions.register import register_all
-
-    register_all(spark)
-    g = _graphs(spark, sf_dir)
-    return spark.sql("SELECT graph_id, t.k, count(*) AS sets FROM {g}, LATERAL enumerate_subgraphs(label_ids, nbrs, 3) t GROUP BY graph_id, t.k", g=g)
-
+    """A tenth of the users, the same at any partitioning."""
+    from ..operators.process import chance
 
-del SQL["op_udtf"]
+    return _t(spark, sf_dir, "events").filter(chance("user_id") < 0.1).select("event_id")

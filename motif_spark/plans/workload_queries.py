@@ -80,16 +80,7 @@ def l_ratio(spark, sf_dir):
     return A.avg_ratio(A.approx_ratio(found, truth))
 
 
-@_keep
-def a_cost_model(spark, sf_dir):
-    """Operations of one search of size 5 by graph, from the cost formulas."""
-    d, k = 32, 5
-    step = F.col("n") * d * d + F.col("m") * d + F.col("n") * F.col("n") * d + F.col("n") * d * d
-    return _session(spark, sf_dir).select("graph_id", (step * k).cast("long").alias("operations"))
-
-
 from .graph_queries import SESSION  # noqa: E402
 
-SQL["a_cost_model"] = f"WITH {SESSION}, n AS (SELECT graph_id, count(*) AS n FROM s GROUP BY 1), m AS (SELECT graph_id, count(*) AS m FROM e GROUP BY 1) SELECT graph_id, CAST((n * 1024 + m * 32 + n * n * 32 + n * 1024) * 5 AS BIGINT) AS operations FROM n JOIN m USING (graph_id)"
 SQL["w8_search_space"] = f"""WITH RECURSIVE {SESSION}, w AS (SELECT graph_id, n, node AS last, 1 AS k FROM s UNION ALL SELECT graph_id, n, last + d, k + 1 FROM w, (VALUES (1), (2)) AS t(d) WHERE k < 6 AND last + d < n)
 SELECT CAST(k AS INT) AS k, count(*) AS sets FROM w WHERE k >= 3 GROUP BY 1"""

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -34,8 +35,11 @@ def once(events: DataFrame) -> DataFrame:
 
 
 def with_labels(events: DataFrame, dictionary: DataFrame) -> DataFrame:
-    """Stream-static join to a small label dictionary."""
-    return events.join(F.broadcast(dictionary), "event_type")
+    """Stream-static join to a label dictionary, broadcast if it is small."""
+    from ..operators.graphs import LITERAL_LABELS
+
+    small = dictionary.limit(LITERAL_LABELS + 1).count() <= LITERAL_LABELS
+    return events.join(F.broadcast(dictionary) if small else dictionary, "event_type")
 
 
 def purchase_then_error(events: DataFrame, errors: DataFrame, within: str = "1 hour") -> DataFrame:
@@ -52,11 +56,11 @@ class MotifCounter(StatefulProcessor):
     an event closes at most 2^(k-1) sets. Rows are the classes closed by each batch with their counts.
     """
 
-    def __init__(self, k: int):
-        self.k = k
+    def __init__(self, k: int, forget_ms: int = 0):
+        self.k, self.forget_ms = k, forget_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.recent = handle.getListState("recent", "label string")
+        self.recent = handle.getListState("recent", "label string", ttlDurationMs=self.forget_ms or None)
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer_values=None) -> Iterator[pd.DataFrame]:
         recent = [r[0] for r in self.recent.get()] if self.recent.exists() else []
@@ -96,10 +100,15 @@ def closed(recent: list[str], k: int) -> Iterator[str]:
         yield canonical_of(tuple(names.get(recent[p], len(names)) for p in places), bits)[0]
 
 
-def count_motifs(events: DataFrame, k: int = 3) -> DataFrame:
-    """user_id, code, closed, as updates; needs the RocksDB state store."""
+def count_motifs(events: DataFrame, k: int = 3, forget_ms: int = 0) -> DataFrame:
+    """user_id, code, closed, as updates; needs the RocksDB state store.
+
+    With forget_ms the last events of a user who is silent for that long (by the clock) are dropped, so state is
+    bounded by active users; sets across such a silence are then not counted.
+    """
     rows = events.select("user_id", "event_id", "ts", "event_type")
-    return rows.groupBy("user_id").transformWithStateInPandas(MotifCounter(k), "user_id long, code string, closed long", "Append", "None")
+    mode = "ProcessingTime" if forget_ms else "None"
+    return rows.groupBy("user_id").transformWithStateInPandas(MotifCounter(k, forget_ms), "user_id long, code string, closed long", "Append", mode)
 
 
 def run_once(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
@@ -109,17 +118,40 @@ def run_once(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
     return df.sparkSession.table(name)
 
 
-def mine_closed_sessions(events: DataFrame, policy, sizes: list[int], sink) -> object:
-    """Greedy search on the session graph of each batch's users; sink(DataFrame, batch id) takes the answers."""
-    from pyspark.sql import Window
+def run_to_files(df: DataFrame, folder: str | None = None) -> DataFrame:
+    """Runs a stream over what is there now into Parquet files, exactly once, in a folder that all executors share."""
+    from ..operators.graphs import shared_folder
 
-    from ..operators.graphs import pack_graphs
-    from ..operators.learning import mine_all
+    spark = df.sparkSession
+    folder = folder or f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+    sink = df.writeStream.format("parquet").option("path", f"{folder}/rows").option("checkpointLocation", f"{folder}/progress")
+    sink.outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(df.schema).parquet(f"{folder}/rows")
+
+
+def mine_closed_sessions(events: DataFrame, policy, sizes: list[int], gap: str = "6 hours", folder: str | None = None) -> DataFrame:
+    """Greedy search in the graph of every closed session: user_id, start, k, nodes, members.
 
-    def batch(df: DataFrame, number: int) -> None:
-        w = Window.partitionBy("user_id")
-        nodes = df.select(F.col("user_id").alias("graph_id"), (F.row_number().over(w.orderBy("ts", "event_id")) - 1).cast("int").alias("node"), F.col("event_type").alias("label"), F.count(F.lit(1)).over(w).alias("_n"))
-        edges = nodes.select("graph_id", F.col("node").alias("u"), F.explode(F.array(F.col("node") + 1, F.col("node") + 2)).alias("v"), "_n").filter("v < _n")
-        sink(mine_all(pack_graphs(nodes.drop("_n"), edges.drop("_n")), sizes, policy), number)
+    A session's events are gathered by the stream and given out once the watermark has passed its end, so no
+    batch sees a part of it and sessions that are still open give no row yet; a session is bounded by its user's
+    events without a break. Sessions of fewer than k nodes have no answer.
+    """
+    w = F.session_window("ts", gap)
+    item = F.struct("ts", "event_id", "event_type")
+    closed_rows = events.groupBy(w.alias("w"), "user_id").agg(F.sort_array(F.collect_list(item)).alias("e"))
+    rows = run_to_files(closed_rows.select("user_id", F.col("w.start").alias("start"), F.col("e.event_type").alias("labels")), folder)
+    return mine_sessions(rows, policy, sizes)
+
+
+def mine_sessions(rows: DataFrame, policy, sizes: list[int]) -> DataFrame:
+    """Greedy search in the graphs of rows user_id, start, labels (in time order), batch by batch."""
+    from ..operators.learning import mine_all
 
-    return events.writeStream.foreachBatch(batch).trigger(availableNow=True).start()
+    names = F.array(*[F.lit(x) for x in sorted(("click", "error", "purchase", "signup", "view"))])
+    n = F.size("labels")
+    near = F.transform(F.sequence(F.lit(0), n - 1), lambda i: F.filter(F.array(i - 2, i - 1, i + 1, i + 2), lambda j: (j >= 0) & (j < n)))
+    labels = F.transform("labels", lambda x: (F.array_position(names, x) - 1).cast("int"))
+    key = F.xxhash64("user_id", "start")
+    graphs = rows.filter(n >= min(sizes)).select(key.alias("graph_id"), "user_id", "start", n.alias("nodes"), labels.alias("label_ids"), near.alias("nbrs"))
+    found = mine_all(graphs, sizes, policy).filter("not dead")
+    return graphs.select("graph_id", "user_id", "start", "nodes").join(found, "graph_id").select("user_id", "start", "k", F.col("nodes").cast("long").alias("nodes"), "members")

@@ -2,20 +2,34 @@
 
 from __future__ import annotations
 
+from contextlib import contextmanager
+
 import numpy as np
 
 
-#: Training may use single precision; gradients are checked in double.
+#: Training and search use single precision; gradients are checked in double.
 DTYPE = np.float64
 
 
+@contextmanager
+def precision(kind):
+    """Within it, tensors hold numbers of this kind."""
+    global DTYPE
+    before, DTYPE = DTYPE, kind
+    try:
+        yield
+    finally:
+        DTYPE = before
+
+
 class Tensor:
     """An array that remembers how it was made."""
 
-    __slots__ = ("value", "grad", "parents", "back")
+    __slots__ = ("value", "grad", "parents", "back", "needs")
 
-    def __init__(self, value, parents=(), back=None):
+    def __init__(self, value, parents=(), back=None, needs=False):
         self.value = np.asarray(value, DTYPE)
+        self.needs = needs or any(p.needs for p in parents)
         self.grad, self.parents, self.back = None, parents, back
 
     def backward(self) -> None:
@@ -28,12 +42,12 @@ class Tensor:
             elif id(t) not in seen:
                 seen.add(id(t))
                 todo.append((t, True))
-                todo.extend((p, False) for p in t.parents)
+                todo.extend((p, False) for p in t.parents if p.needs)
         self.grad = np.ones_like(self.value)
         for t in reversed(order):
             if t.back is not None and t.grad is not None:
                 for p, g in zip(t.parents, t.back(t.grad)):
-                    if g is not None:
+                    if g is not None and p.needs:
                         g = _fit(g, p.value.shape)
                         p.grad = g if p.grad is None else p.grad + g
 
@@ -47,12 +61,24 @@ class Tensor:
 
     def __mul__(self, o):
         o = tensor(o)
-        return Tensor(self.value * o.value, (self, o), lambda g: (g * o.value, g * self.value))
+        return Tensor(self.value * o.value, (self, o), lambda g: (g * o.value if self.needs else None, g * self.value if o.needs else None))
 
     def __matmul__(self, o):
         o = tensor(o)
+        if self.value.ndim > 2 and o.value.ndim == 2:
+            return self._times_table(o)
         turn = lambda x: np.swapaxes(x, -1, -2)
-        return Tensor(self.value @ o.value, (self, o), lambda g: (g @ turn(o.value), turn(self.value) @ g))
+        return Tensor(self.value @ o.value, (self, o), lambda g: (g @ turn(o.value) if self.needs else None, turn(self.value) @ g if o.needs else None))
+
+    def _times_table(self, o: Tensor) -> Tensor:
+        """A stack of matrices times one matrix, as one flat product."""
+        lead, flat = self.value.shape[:-1], self.value.reshape(-1, self.value.shape[-1])
+
+        def back(g):
+            g = g.reshape(-1, g.shape[-1])
+            return (g @ o.value.T).reshape(self.value.shape) if self.needs else None, flat.T @ g if o.needs else None
+
+        return Tensor((flat @ o.value).reshape(*lead, -1), (self, o), back)
 
     __radd__, __rmul__ = __add__, __mul__
 

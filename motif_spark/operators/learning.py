@@ -121,37 +121,45 @@ def _sample(probs: np.ndarray, rng: np.random.Generator) -> np.ndarray:
     return np.minimum((probs.cumsum(1) < rng.random((len(probs), 1)) * probs.sum(1, keepdims=True)).sum(1), probs.shape[1] - 1)
 
 
-def rollout(actor: dict[str, np.ndarray], config: net.Config, graphs: list, sizes: list[int], rng: np.random.Generator | None = None) -> list[list[int]]:
-    """Nodes picked for each graph and size; greedy without a generator, ties to the smallest node.
+def walks(actor: dict[str, np.ndarray], config: net.Config, pool: net.Pool, rows: np.ndarray, sizes: np.ndarray, rng: np.random.Generator | None = None) -> np.ndarray:
+    """Nodes picked in the pool's graphs at `rows`, a line for each; greedy without a generator, ties to the smallest node.
 
-    A graph whose component is too small stops early with fewer nodes.
+    Where a component is too small a line ends early with -1.
     """
-    picked: list[list[int]] = [[] for _ in graphs]
-    for t in range(max(sizes)):
-        live = [i for i, k in enumerate(sizes) if t < k and len(picked[i]) == t]
-        for part in _parts(live, graphs, sizes, config):
-            b = net.pad([graphs[i] for i in part], [picked[i] for i in part], [sizes[i] - t for i in part], [sizes[i] for i in part])
-            probs = net.actor_probs(net.tensors(actor), b, config).value
+    held = net.tensors(actor)
+    picked = np.full((len(rows), int(sizes.max(initial=0))), -1)
+    selected = np.zeros((len(rows), int(pool.sizes[rows].max(initial=0))), bool)
+    alive = np.ones(len(rows), bool)
+    for t in range(picked.shape[1]):
+        live = np.flatnonzero(alive & (sizes > t))
+        for part in _parts(live, pool.sizes[rows], sizes, config):
+            b = pool.batch(rows[part], selected[part], sizes[part] - t, sizes[part])
+            probs = net.actor_probs(held, b, config).value
             some = probs.sum(1) > 0
             choice = _sample(probs, rng) if rng else probs.argmax(1)
-            for i, x, ok in zip(part, choice, some):
-                if ok:
-                    picked[i].append(int(x))
+            alive[part] = some
+            picked[part[some], t] = choice[some]
+            selected[part[some], choice[some]] = True
     return picked
 
 
-def _parts(live: list[int], graphs: list, sizes: list[int], config: net.Config, cells: int = 1 << 18) -> Iterator[list[int]]:
+def rollout(actor: dict[str, np.ndarray], config: net.Config, graphs: list, sizes: list[int], rng: np.random.Generator | None = None) -> list[list[int]]:
+    """walks() over a list of graphs, as lists of nodes."""
+    got = walks(actor, config, net.Pool(graphs), np.arange(len(graphs)), np.array(sizes, int), rng)
+    return [[x for x in line if x >= 0] for line in got.tolist()]
+
+
+def _parts(live: np.ndarray, nodes: np.ndarray, sizes: np.ndarray, config: net.Config, cells: int = 1 << 18) -> Iterator[np.ndarray]:
     """Groups of graphs of like size, so that padding stays small and attention fits in memory."""
-    live = sorted(live, key=lambda i: (sizes[i] if config.task == "separate" else 0, len(graphs[i][0])))
-    part: list[int] = []
-    for i in live:
-        split = part and ((len(part) + 1) * len(graphs[i][0]) ** 2 > cells or config.task == "separate" and sizes[part[0]] != sizes[i])
-        if split:
-            yield part
-            part = []
-        part.append(i)
-    if part:
-        yield part
+    apart = sizes[live] if config.task == "separate" else np.zeros(len(live), int)
+    live = live[np.lexsort((nodes[live], apart))]
+    a = 0
+    while a < len(live):
+        b = a + 1
+        while b < len(live) and (b + 1 - a) * nodes[live[b]] ** 2 <= cells and (config.task != "separate" or sizes[live[b]] == sizes[live[a]]):
+            b += 1
+        yield live[a:b]
+        a = b
 
 
 def reward_tables(graphs: DataFrame, census: DataFrame, most: int) -> tuple[dict, dict, dict]:
@@ -177,11 +185,22 @@ def train(graphs: DataFrame, census: DataFrame, config: net.Config, how: Trainin
     held, freq, best = reward_tables(graphs, census, how.most_graphs)
     checks = reward_tables(valid, valid_census, how.most_graphs) if valid is not None else (held, freq, best)
     rng, ids = np.random.default_rng(how.seed), sorted(held)
+    pool, at = net.Pool([held[g] for g in ids]), {g: i for i, g in enumerate(ids)}
+    widest = int(pool.sizes.max(initial=0))
+
+    def marks(rows: list[list[int]]) -> np.ndarray:
+        out = np.zeros((len(rows), widest), bool)
+        for i, nodes in enumerate(rows):
+            out[i, list(nodes)] = True
+        return out
+
     actor = net.init(config, "actor", how.seed)
     critics = [net.init(config, "critic", how.seed + 1 + i) for i in range(2)]
     targets = [{k: x.copy() for k, x in c.items()} for c in critics]
     steps = [Adam(p, how.rate) for p in (actor, *critics)]
     memory: list[tuple] = []
+    heat = {"log": np.array([np.log(how.alpha)])}
+    warmth = Adam(heat, how.rate * 10)
     alpha, policy, top = how.alpha, Policy(config, {k: x.copy() for k, x in actor.items()}), -1.0
     for epoch in range(how.epochs):
         chosen = [ids[i] for i in rng.integers(len(ids), size=how.episodes)]
@@ -197,12 +216,13 @@ def train(graphs: DataFrame, census: DataFrame, config: net.Config, how: Trainin
             policy.samples += 1
             memory += [(g, k, tuple(nodes[:t]), nodes[t], r if t == k - 1 else 0.0, t == k - 1) for t in range(k)]
         memory = memory[-how.capacity :]
-        pool = [m for m in memory if m[1] == sizes[0]] if config.task == "separate" else memory
-        for _ in range(how.updates if len(pool) >= how.batch else 0):
-            rows = [pool[i] for i in rng.integers(len(pool), size=how.batch)]
-            own = [held[r[0]] for r in rows]
-            now = net.pad(own, [list(r[2]) for r in rows], [r[1] - len(r[2]) for r in rows], [r[1] for r in rows])
-            after = net.pad(own, [[*r[2], r[3]] for r in rows], [r[1] - len(r[2]) - 1 for r in rows], [r[1] for r in rows])
+        past = [m for m in memory if m[1] == sizes[0]] if config.task == "separate" else memory
+        for _ in range(how.updates if len(past) >= how.batch else 0):
+            rows = [past[i] for i in rng.integers(len(past), size=how.batch)]
+            own, k = np.array([at[r[0]] for r in rows]), np.array([r[1] for r in rows])
+            left = k - np.array([len(r[2]) for r in rows])
+            now = pool.batch(own, marks([r[2] for r in rows]), left, k)
+            after = pool.batch(own, marks([(*r[2], r[3]) for r in rows]), left - 1, k)
             action, reward, done = np.array([r[3] for r in rows]), np.array([r[4] for r in rows]), np.array([r[5] for r in rows])
             goal = soft_target(actor, targets, after, config, reward, done, how.discount, alpha)
             for c, s in zip(critics, steps[1:]):
@@ -212,7 +232,10 @@ def train(graphs: DataFrame, census: DataFrame, config: net.Config, how: Trainin
             probs = net.actor_probs(net.tensors(actor), now, config).value
             spread = -(probs * np.log(np.maximum(probs, 1e-12))).sum(1)
             wanted = how.entropy * np.log(np.maximum(now.valid.sum(1), 1)) * (1 - epoch / how.epochs)
-            alpha = float(np.clip(alpha * np.exp(0.01 * np.clip((wanted - spread).mean(), -1, 1)), 1e-4, 1.0))
+            # Temperature: one step down the loss alpha * (entropy - wanted entropy), taken on its logarithm.
+            warmth.step(heat, {"log": np.array([np.exp(heat["log"][0]) * (spread - wanted).mean()])})
+            heat["log"] = np.clip(heat["log"], np.log(1e-4), 0.0)
+            alpha = float(np.exp(heat["log"][0]))
             for t, c in zip(targets, critics):
                 for k in t:
                     t[k] += how.target_rate * (c[k] - t[k])
@@ -245,12 +268,17 @@ def mine_all(graphs: DataFrame, sizes: list[int], policy: Policy, width: int = 1
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             rows = batch.to_pylist()
-            work = [(r["graph_id"], (r["label_ids"], r["nbrs"]), k) for r in rows for k in sizes]
+            pool = net.Pool([(r["label_ids"], r["nbrs"]) for r in rows])
+            which, wanted = np.repeat(np.arange(len(rows)), len(sizes)), np.tile(np.array(sizes, int), len(rows))
             out = []
             for turn in range(width):
                 rng = np.random.default_rng([seed, turn]) if turn else None
-                for (g, graph, k), nodes in zip(work, rollout(actor, config, [w[1] for w in work], [w[2] for w in work], rng)):
-                    out.append((g, k, "learned", sorted(nodes), code_of(nodes, *graph) if len(nodes) == k else None, len(nodes) < k))
+                with ag.precision(np.float32):
+                    lines = walks(actor, config, pool, which, wanted, rng).tolist()
+                for i, k, line in zip(which.tolist(), wanted.tolist(), lines):
+                    nodes, row = sorted(x for x in line if x >= 0), rows[i]
+                    code = code_of(nodes, row["label_ids"], row["nbrs"]) if len(nodes) == k else None
+                    out.append((row["graph_id"], k, "learned", nodes, code, len(nodes) < k))
             cols = list(zip(*out)) if out else [[]] * 6
             kinds = (pa.int64(), pa.int32(), pa.string(), pa.list_(pa.int32()), pa.string(), pa.bool_())
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], ["graph_id", "k", "method", "members", "code", "dead"])

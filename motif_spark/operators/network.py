@@ -73,6 +73,26 @@ class Batch:
         return (start | reach) & (self.selected == 0) & (self.real > 0)
 
 
+class Pool:
+    """Graphs of which padded batches are made again and again."""
+
+    def __init__(self, graphs: list[tuple[list[int], list[list[int]]]]):
+        self.sizes = np.array([len(g[0]) for g in graphs], int)
+        self.labels = [np.asarray(g[0], int) for g in graphs]
+        self.ends = [(np.repeat(np.arange(len(r)), [len(x) for x in r]), np.array([j for x in r for j in x], int)) for _, r in graphs]
+
+    def batch(self, rows: np.ndarray, selected: np.ndarray, left: np.ndarray, k: np.ndarray) -> Batch:
+        """The graphs at `rows`; selected has a line of marks for each, at least as wide as the largest graph."""
+        n, b = int(self.sizes[rows].max()), len(rows)
+        labels, near = np.zeros((b, n), int), np.zeros((b, n, n), np.float32)
+        for i, row in enumerate(rows):
+            labels[i, : self.sizes[row]] = self.labels[row]
+            u, v = self.ends[row]
+            near[i, u, v] = 1
+        real = (np.arange(n) < self.sizes[rows][:, None]).astype(np.float32)
+        return Batch(labels, near, real, selected[:, :n].astype(np.float32), left, k)
+
+
 def pad(graphs: list[tuple[list[int], list[list[int]]]], selected: list[list[int]], left: list[int], k: list[int]) -> Batch:
     n = max(len(g[0]) for g in graphs)
     b = len(graphs)
@@ -184,4 +204,4 @@ def q_values(p: dict, b: Batch, config: Config, action: np.ndarray | None = None
 
 
 def tensors(params: dict[str, np.ndarray]) -> dict[str, Tensor]:
-    return {name: Tensor(x) for name, x in params.items()}
+    return {name: Tensor(x, needs=True) for name, x in params.items()}

@@ -3,9 +3,14 @@
 Lines are judged one by one (punctuation, navigation, boilerplate); failing lines go, and a document
 that loses too large a share of its text, or keeps too few words, is rejected.
 
-Defined cases: a null or empty text has no words and is rejected; lines without a word are neutral and
-stay; rows are judged alone, so repeated rows get equal verdicts; columns of the input whose names clash
-with result columns are not carried.
+A line is navigation if separators stand between too many of its words, if it is one of a run of short lines
+without sentence marks (a menu written downwards), or if it is a short line with a menu word at the top or the
+bottom of the text. Boilerplate phrases and menu words are those of four languages.
+
+Defined cases: a null or empty text has no words and is rejected; lines without a word are neutral, stay, and end
+a run; rows are judged alone, so repeated rows get equal verdicts; a very long text is judged as any other, and
+one long line as one line; a word count at a limit passes; columns of the input whose names clash with result
+columns are not carried.
 """
 
 from __future__ import annotations
@@ -27,8 +32,19 @@ BARS_PER_WORD = 0.2
 #: A boilerplate phrase fails only short lines.
 SHORT_LINE = 14
 MAX_LOST = 0.3
+#: So many consecutive lines of at most so many words and no sentence mark are a menu.
+RUN_LINES, RUN_WORDS = 4, 4
+#: A menu word fails a line of at most so many words among so many first or last lines.
+EDGE_LINES, EDGE_WORDS = 3, 6
+# Sentence marks, phrases of boilerplate and words of menus in English, French, German and Spanish.
 MARKS = ".!?:;,…\"'»”)。！？"
-BOILERPLATE = r"(?i)\b(cookies? policy|privacy policy|terms of (service|use)|all rights reserved|enable javascript|click here|sign up|log ?in|subscribe (now|to)|back to top|skip to content|read more)\b"
+BOILERPLATE = (
+    r"(?i)\b(cookies? policy|privacy policy|terms of (service|use)|all rights reserved|enable javascript|click here|sign up|log ?in|subscribe (now|to)|back to top|skip to content|read more"
+    r"|tous droits r.serv.s|politique de confidentialit|conditions d.utilisation|en savoir plus|lire la suite"
+    r"|alle rechte vorbehalten|datenschutzerkl.rung|nutzungsbedingungen|mehr erfahren|weiterlesen"
+    r"|todos los derechos reservados|pol.tica de privacidad|t.rminos de uso|leer m.s)"
+)
+MENU = r"(?i)(^|[^a-z])(home|about us|contact( us)?|site ?map|menu|accueil|plan du site|startseite|impressum|kontakt|inicio|aviso legal|mapa del sitio|contacto)([^a-z]|$)"
 
 
 def _strip(text: Column, chars: str) -> Column:
@@ -61,15 +77,28 @@ def _same(p: Column, j: Column) -> Column:
     return F.coalesce(p["h"] == F.get("_p", j)["h"], F.lit(False))
 
 
-def line_passes(line: Column, n: Column) -> Column:
-    """Verdict on one line of n words; true for lines without a word."""
-    marks, bars, symbols = _strip(line, MARKS), _strip(line, "|•›»"), _strip(line, SYMBOLS)
+def line_passes(line: Column, n: Column, marks: Column, in_run: Column, at_edge: Column) -> Column:
+    """Verdict on one line of n words and so many marks; true for lines without a word."""
+    bars, symbols = _strip(line, "|•›»"), _strip(line, SYMBOLS)
     punctuation = ((n < LONG_LINE) | (marks > 0)) & (marks + symbols <= F.greatest(F.lit(4.0), n * MARKS_PER_WORD))
-    navigation = bars <= n * BARS_PER_WORD
+    menu = (n <= EDGE_WORDS) & (marks == 0) & at_edge & line.rlike(MENU)
+    navigation = (bars <= n * BARS_PER_WORD) & ~in_run & ~menu
     boilerplate = (n > SHORT_LINE) | ~line.rlike(BOILERPLATE)
     return (n == 0) | (punctuation & navigation & boilerplate)
 
 
+def _in_run(lines: str, j: Column, i: Column) -> Column:
+    """Whether line i is short and one of RUN_LINES such lines in a row."""
+    short = lambda d: F.coalesce(F.get(lines, i + d)["short"], F.lit(False)) if d else F.lit(True)
+    runs = F.lit(False)
+    for first in range(1 - RUN_LINES, 1):
+        whole = F.lit(True)
+        for d in range(first, first + RUN_LINES):
+            whole = whole & short(d)
+        runs = runs | whole
+    return j["short"] & runs
+
+
 def assess(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per input row: counts, base verdict, the method's verdict, and the text that passing lines leave.
 
@@ -80,8 +109,11 @@ def assess(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     df = df.withColumns({"_w": words(F.col("_t")), "_lines": F.split("_t", "\n")})
     df = with_repeat_words(df.withColumns({"n_words": F.size("_w").cast("long"), "n_symbols": _strip(F.col("_t"), SYMBOLS).cast("long")}))
     dense = lambda line: F.length(F.translate(line, " \t\n\v\f\r", ""))
-    counted = F.transform("_lines", lambda x: F.struct(x.alias("x"), F.size(words(x)).alias("n")))
-    df = df.withColumn("_judged", F.transform(counted, lambda j: F.struct(j["x"].alias("x"), dense(j["x"]).alias("c"), line_passes(j["x"], j["n"]).alias("ok"))))
+    counted = F.transform("_lines", lambda x: F.struct(x.alias("x"), F.size(words(x)).alias("n"), _strip(x, MARKS).alias("marks")))
+    df = df.withColumn("_counted", F.transform(counted, lambda j: j.withField("short", (j["n"] > 0) & (j["n"] <= RUN_WORDS) & (j["marks"] == 0))))
+    edge = lambda i: (i < EDGE_LINES) | (i >= F.size("_counted") - EDGE_LINES)
+    passes = lambda j, i: line_passes(j["x"], j["n"], j["marks"], _in_run("_counted", j, i), edge(i))
+    df = df.withColumn("_judged", F.transform("_counted", lambda j, i: F.struct(j["x"].alias("x"), dense(j["x"]).alias("c"), passes(j, i).alias("ok"))))
     full = F.transform(F.filter("_judged", lambda j: j["c"] > 0), lambda j: j["x"])
     total = lambda ok: F.aggregate(F.filter("_judged", lambda j: j["ok"] if ok else F.lit(True)), F.lit(0).cast("long"), lambda a, j: a + j["c"])
     df = df.withColumns({"_full": full, "word_chars": total(False), "_left": total(True), "n_failed_lines": F.size(F.filter("_judged", lambda j: ~j["ok"])).cast("long")})

@@ -18,9 +18,14 @@ WITH d AS (SELECT doc_id, coalesce(text, '') AS t, {_WORDS} AS w FROM documents)
 win AS (SELECT doc_id, i, hash(w[i], w[i + 1], w[i + 2], w[i + 3], w[i + 4]) AS h FROM (SELECT doc_id, w, unnest(range(1, len(w) - {quality.WINDOW - 2})) AS i FROM d)),
 dup AS (SELECT doc_id, i FROM (SELECT *, count(*) OVER (PARTITION BY doc_id, h) AS c FROM win) WHERE c > 1),
 rep AS (SELECT doc_id, count(DISTINCT i + k) AS n FROM dup, range({quality.WINDOW}) AS r(k) GROUP BY 1),
-l AS (SELECT doc_id, x, len(list_filter(string_split_regex(x, '[\\x20\\x09-\\x0D]+'), lambda y: y <> '')) AS n FROM (SELECT doc_id, unnest(string_split(t, chr(10))) AS x FROM d)),
-j AS (SELECT *, {_DENSE} AS c, n = 0 OR ((n < {quality.LONG_LINE} OR {_count('x', quality.MARKS)} > 0) AND {_count('x', quality.MARKS)} + {_count('x', quality.SYMBOLS)} <= greatest(4.0, n * {quality.MARKS_PER_WORD})
-  AND {_count('x', '|•›»')} <= n * {quality.BARS_PER_WORD} AND (n > {quality.SHORT_LINE} OR NOT regexp_matches(x, '{quality.BOILERPLATE}'))) AS ok FROM l),
+l AS (SELECT doc_id, x, i, count(*) OVER (PARTITION BY doc_id) AS lines, len(list_filter(string_split_regex(x, '[\\x20\\x09-\\x0D]+'), lambda y: y <> '')) AS n, {_count('x', quality.MARKS)} AS marks
+  FROM (SELECT doc_id, unnest(string_split(t, chr(10))) AS x, unnest(range(len(string_split(t, chr(10))))) AS i FROM d)),
+sh AS (SELECT *, n > 0 AND n <= {quality.RUN_WORDS} AND marks = 0 AS short FROM l),
+rn AS (SELECT *, sum(CASE WHEN short THEN 0 ELSE 1 END) OVER (PARTITION BY doc_id ORDER BY i) AS part FROM sh),
+ru AS (SELECT *, short AND count(CASE WHEN short THEN 1 END) OVER (PARTITION BY doc_id, part) >= {quality.RUN_LINES} AS in_run FROM rn),
+j AS (SELECT *, {_DENSE} AS c, n = 0 OR ((n < {quality.LONG_LINE} OR marks > 0) AND marks + {_count('x', quality.SYMBOLS)} <= greatest(4.0, n * {quality.MARKS_PER_WORD})
+  AND {_count('x', '|•›»')} <= n * {quality.BARS_PER_WORD} AND NOT in_run AND NOT (n <= {quality.EDGE_WORDS} AND marks = 0 AND (i < {quality.EDGE_LINES} OR i >= lines - {quality.EDGE_LINES}) AND regexp_matches(x, '{quality.MENU}'))
+  AND (n > {quality.SHORT_LINE} OR NOT regexp_matches(x, '{quality.BOILERPLATE}'))) AS ok FROM ru),
 s AS (SELECT doc_id, CAST(sum(c) AS BIGINT) AS word_chars, sum(CASE WHEN ok THEN c ELSE 0 END) AS kept_chars, sum(CASE WHEN ok THEN n ELSE 0 END) AS kept_words, CAST(sum(CASE WHEN ok THEN 0 ELSE 1 END) AS BIGINT) AS n_failed_lines,
   CAST(count(CASE WHEN n > 0 THEN 1 END) - count(DISTINCT CASE WHEN n > 0 THEN x END) AS BIGINT) AS n_dup_lines FROM j GROUP BY 1),
 a AS (SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, word_chars, CAST({_count('t', quality.SYMBOLS)} AS BIGINT) AS n_symbols, n_dup_lines, CAST(coalesce(rep.n, 0) AS BIGINT) AS n_repeat_words,
@@ -34,7 +39,7 @@ def _license() -> str:
     index = license.rare_index()
     total = {t: sum(x[1] == t for x in index) for t in range(len(license.NOTICES))}
     postings = ", ".join(f"('{w}', {t}, {k})" for w, t, k in index)
-    notices = ", ".join(f"({t}, '{label}', {total[t]}, ' {phrases[0]} ')" for t, (label, _, phrases) in enumerate(license.NOTICES))
+    notices = ", ".join(f"({t}, '{label}', {total[t]}, ' {phrase} ')" for t, (label, _, phrase) in enumerate(license.NOTICES))
     base = ", ".join(f"('{label}', {len(p.split())}, '{p}')" for label, p in license.BASE)
     return f"""
 WITH d AS (SELECT doc_id, list_filter(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{license.NO_WORD}'), lambda x: x <> '') AS w FROM documents),

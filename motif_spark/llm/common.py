@@ -72,6 +72,21 @@ def spans(offsets: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
         k = end
 
 
+def slices(data: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
+    """Consecutive slices of about `most` bytes that end after white space; one without any is whole."""
+    a, n = 0, len(data)
+    while a < n:
+        b = a + most
+        while b < n:
+            blank = np.flatnonzero((data[b : b + most] == 32) | (data[b : b + most] - 9 < 5))
+            if len(blank):
+                b += int(blank[0]) + 1
+                break
+            b += most
+        yield a, min(b, n)
+        a = min(b, n)
+
+
 def cuts(df: DataFrame, key: str, parts: int) -> np.ndarray:
     """At most parts - 1 ascending bounds that deal the rows about evenly by key. Only bounds reach the driver."""
     probs = [k / parts for k in range(1, parts)]
@@ -81,22 +96,6 @@ def cuts(df: DataFrame, key: str, parts: int) -> np.ndarray:
     return np.unique(np.array([x for x in found or [] if x is not None], np.int64))
 
 
-def bucket_of(bounds: np.ndarray):
-    """Pandas UDF: how many bounds are not above the key; -1 for null, which sorts before all."""
-
-    @F.pandas_udf("int")
-    def bucket(key):
-        import numpy as np
-        import pandas as pd
-
-        empty = key.isna().to_numpy()
-        out = np.searchsorted(bounds, key.fillna(0).to_numpy().astype(np.int64), "right").astype(np.int32)
-        out[empty] = -1
-        return pd.Series(out)
-
-    return bucket
-
-
 def release() -> None:
     """Give freed memory back to the system: workers are kept for later stages, whose share it would be."""
     import ctypes
@@ -137,8 +136,11 @@ def parts_for(docs: DataFrame, part_bytes: int, text_col: str = "text") -> int:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The checkpoint folder, which all executors share; made if none is set."""
+    """The checkpoint folder, which all executors share; only a local master may do without spark.checkpoint.dir."""
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoint-"))
+        folder = sc.getConf().get("spark.checkpoint.dir")
+        if not folder and not (sc.master.startswith("local") and "cluster" not in sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="checkpoint-"))
     return sc._jsc.sc().getCheckpointDir().get()

@@ -6,7 +6,9 @@ digests differ by a sum of bucket steps, length and ratio steps, bounded by MOST
 
 Defined cases: a null or empty text has no triplets and the digest of zeros; texts under three bytes likewise
 but for their length; rows that repeat an id follow each other ordered by text; a null id comes after all
-others in descending order; an empty table gives an empty result; a lone document is its own successor.
+others in descending order; an empty table gives an empty result; a lone document is its own successor; a very
+long text is counted in slices; counts at a quartile fall below it; extra columns are left out, so their names do
+not matter.
 """
 
 from __future__ import annotations
@@ -29,27 +31,43 @@ MOST = 416
 STEPS = np.array([0, 1, 2, 6], np.int64)
 PART_BYTES = 8 << 20
 BLOCK_BYTES = 1 << 20
+#: A longer text is gone through in slices of this size.
+SLICE_BYTES = 4 << 20
 
 
-def digests(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Header (length code, two ratio codes) and bucket codes 0..3 of each text."""
+def _counts(data: np.ndarray, offsets: np.ndarray, whole: int) -> np.ndarray:
+    """Bucket counts of the triplets that begin among the first `whole` bytes and stay in their text."""
     n = len(offsets) - 1
     counts = np.zeros(n * BUCKETS, np.int64)
-    if len(data) >= 3:
-        wide = data.astype(np.uint32)
+    wide = data.astype(np.uint32)
+    if n > 1:
         text = np.repeat(np.arange(n, dtype=np.int64) * BUCKETS, np.diff(offsets))
         end = np.repeat(offsets[1:], np.diff(offsets))
-        for salt, (a, b, c) in enumerate(SHAPES):
-            m = len(data) - c
-            if m <= 0:
-                continue
-            x = wide[a : m + a] | wide[b : m + b] << np.uint32(8) | wide[c : m + c] << np.uint32(16)
-            x *= np.uint32(0x9E3779B1)
-            x ^= x >> np.uint32(15)
-            x *= np.uint32(0x85EBCA77 + 2 * salt)
-            x >>= np.uint32(24)
-            inside = np.arange(m) + c < end[:m]
-            counts += np.bincount((text[:m] + x)[inside], minlength=n * BUCKETS)
+    for salt, (a, b, c) in enumerate(SHAPES):
+        m = min(whole, len(data) - c)
+        if m <= 0:
+            continue
+        x = wide[a : m + a] | wide[b : m + b] << np.uint32(8) | wide[c : m + c] << np.uint32(16)
+        x *= np.uint32(0x9E3779B1)
+        x ^= x >> np.uint32(15)
+        x *= np.uint32(0x85EBCA77 + 2 * salt)
+        x >>= np.uint32(24)
+        if n > 1:
+            x = (text[:m] + x)[np.arange(m) + c < end[:m]]
+        counts += np.bincount(x, minlength=n * BUCKETS)
+    return counts
+
+
+def digests(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Header (length code, two ratio codes) and bucket codes 0..3 of each text; a lone long text in slices."""
+    n = len(offsets) - 1
+    if n == 1 and len(data) > SLICE_BYTES:
+        reach = max(c for _, _, c in SHAPES)
+        starts = range(0, len(data), SLICE_BYTES)
+        parts = ((data[a : a + SLICE_BYTES + reach], min(SLICE_BYTES, len(data) - a)) for a in starts)
+        counts = sum(_counts(x, np.array([0, len(x)]), m) for x, m in parts)
+    else:
+        counts = _counts(data, offsets, len(data))
     counts = counts.reshape(n, BUCKETS)
     ordered = np.sort(counts, axis=1)
     q1, q2, q3 = (ordered[:, k * BUCKETS // 4 - 1] for k in (1, 2, 3))

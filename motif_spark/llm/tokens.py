@@ -20,7 +20,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-from .common import spans, utf8
+from .common import slices, spans, utf8
 
 #: Words that a worker remembers; beyond it, those of the last block stay.
 CACHE = 600_000
@@ -194,7 +194,7 @@ class Coder:
             elif len(part) > BLOCK and b"<|" in (raw := part.tobytes()):
                 yield self.library(raw)
             elif len(part) > BLOCK:
-                yield np.concatenate([self._block(part[x:y], np.array([0, y - x]))[0] for x, y in _slices(part, BLOCK)])
+                yield np.concatenate([self._block(part[x:y], np.array([0, y - x]))[0] for x, y in slices(part, BLOCK)])
             else:
                 ids, sizes = self._block(part, at[a : b + 1] - at[a])
                 ends = np.cumsum(sizes).tolist()
@@ -212,21 +212,6 @@ def _ranges(begin: np.ndarray, size: np.ndarray) -> np.ndarray:
     return np.repeat(begin - ends + size, size) + np.arange(ends[-1] if len(ends) else 0)
 
 
-def _slices(data: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
-    """Consecutive slices of about `most` bytes that end after white space; one without any is whole."""
-    a, n = 0, len(data)
-    while a < n:
-        b = a + most
-        while b < n:
-            blank = np.flatnonzero((data[b : b + most] == 32) | (data[b : b + most] - 9 < 5))
-            if len(blank):
-                b += int(blank[0]) + 1
-                break
-            b += most
-        yield a, min(b, n)
-        a = min(b, n)
-
-
 _coders: dict[str, Coder] = {}
 
 

@@ -7,7 +7,9 @@ and text statistics is fitted to them on a bounded sample and scores every docum
 
 Defined cases: a null or empty text is voted bad by the length labeller and is scored like any other; rows
 are scored alone, so repeated rows get equal scores; an empty table gives an empty result; where all
-documents have one pattern the scorer returns that posterior's side.
+documents have one pattern the scorer returns that posterior's side; a very long text is gone through in slices
+and judged whole; a score at the threshold is kept; rows of one id are ordered by their features where the sample
+is drawn; extra columns are left out, so their names do not matter.
 """
 
 from __future__ import annotations
@@ -19,75 +21,92 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import spans, utf8
+from .common import slices, spans, utf8
 
 #: The scorer is fitted to at most this many documents, those with the smallest hashes; scores cover all.
 SAMPLE = 4_096
 HASHED = 2_048
 PATTERNS = 3**9
-LABELLERS = ("length", "repetition", "marks", "case", "bars", "sentences", "word_length", "lines", "prose")
+LABELLERS = ("length", "repetition", "marks", "case", "bars", "variety", "shape", "body", "prose")
 BLOCK_BYTES = 1 << 20
+#: A longer text is gone through in slices of this size.
+SLICE_BYTES = 4 << 20
 ABSTAIN, BAD, GOOD = 0, 1, 2
 _STATS = 8
 
 
-def statistics(data: np.ndarray, at: np.ndarray) -> np.ndarray:
-    """Eight statistics of each text: words, share of distinct word hashes, and rates of marks, capitals, bars,
-    sentence ends, word bytes and line breaks."""
+def _raw(data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Counts of words, marks, capitals, small letters, bars, sentence ends, solid bytes and line breaks of each
+    text; the hash of every word and its text."""
     n = len(at) - 1
-    out = np.zeros((n, _STATS))
-    if not len(data):
-        return out
     space = (data == 32) | ((data >= 9) & (data <= 13))
     text = np.repeat(np.arange(n), np.diff(at))
     begin = ~space
     first = np.zeros(len(data), bool)
     first[at[:-1][at[:-1] < at[1:]]] = True
     begin[1:] &= space[:-1] | first[1:]
-    count = lambda mask: np.bincount(text[mask], minlength=n).astype(float)
-    words = count(begin)
     starts = np.flatnonzero(begin)
     # A word's hash: the sum of its bytes' hashes, each weighted by its place in the word.
     weight = (data.astype(np.uint64) + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15)
     origin = np.zeros(len(data), np.int64)
     origin[starts] = starts
-    place = np.arange(len(data)) - np.maximum.accumulate(origin)
+    place = np.arange(len(data)) - np.maximum.accumulate(origin) if len(data) else origin
     weight ^= weight >> np.uint64(29)
     turn = (place.astype(np.uint64) + np.uint64(1)) * np.uint64(0xD6E8FEB86659FD93)
     weight *= turn ^ turn >> np.uint64(32) | np.uint64(1)
     weight[space] = 0
-    distinct = np.zeros(n)
-    if len(starts):
-        hashes = np.add.reduceat(weight, starts) ^ (text[starts].astype(np.uint64) * np.uint64(0x165667B19E3779F9))
-        _, index = np.unique(hashes, return_index=True)
-        distinct = np.bincount(text[starts[index]], minlength=n).astype(float)
-    solid = np.maximum(count(~space), 1)
-    per_word = np.maximum(words, 1)
+    hashes = np.add.reduceat(weight, starts) if len(starts) else np.zeros(0, np.uint64)
+    count = lambda mask: np.bincount(text[mask], minlength=n).astype(float)
     mark = np.isin(data, np.frombuffer(b"#*$%&<>!@^~=+_\\{}[]", np.uint8))
-    end = np.isin(data, np.frombuffer(b".?", np.uint8))
     capital, letter = (data >= 65) & (data <= 90), (data >= 97) & (data <= 122)
-    out[:, 0] = words
-    out[:, 1] = distinct / per_word
-    out[:, 2] = count(mark) / per_word
-    out[:, 3] = count(capital) / np.maximum(count(capital) + count(letter), 1)
-    out[:, 4] = count(data == ord("|")) / per_word
-    out[:, 5] = count(end) / per_word
-    out[:, 6] = solid / per_word
-    out[:, 7] = count(data == 10) / per_word
-    return out
+    end = (data == ord(".")) | (data == ord("?"))
+    counts = np.stack([count(x) for x in (begin, mark, capital, letter, data == ord("|"), end, ~space, data == 10)], 1)
+    return counts, hashes, text[starts]
+
+
+def statistics(data: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Eight statistics of each text: words, share of distinct word hashes, and rates of marks, capitals, bars,
+    sentence ends, word bytes and line breaks. A long text that is alone is gone through slice by slice."""
+    n = len(at) - 1
+    if n == 1 and len(data) > SLICE_BYTES:
+        counts, seen = np.zeros((1, 8)), np.zeros(0, np.uint64)
+        for a, b in slices(data, SLICE_BYTES):
+            got, hashes, _ = _raw(data[a:b], np.array([0, b - a]))
+            counts, seen = counts + got, np.unique(np.concatenate([seen, hashes]))
+        distinct = np.array([len(seen)], float)
+    else:
+        counts, hashes, text = _raw(data, at)
+        _, index = np.unique(hashes ^ (text.astype(np.uint64) * np.uint64(0x165667B19E3779F9)), return_index=True)
+        distinct = np.bincount(text[index], minlength=n).astype(float)
+    words, marks, capitals, letters, bars, ends, solid, breaks = counts.T
+    per_word = np.maximum(words, 1)
+    shares = [words, distinct / per_word, marks / per_word, capitals / np.maximum(capitals + letters, 1), bars / per_word]
+    return np.stack([*shares, ends / per_word, np.maximum(solid, 1) / per_word, breaks / per_word], 1)
 
 
 def votes(stats: np.ndarray) -> np.ndarray:
-    """Votes of the labellers (columns) on each text (rows). A labeller that looks for one fault has nothing to
-    say where the fault is absent; only the one for plain prose votes good."""
+    """Votes of the labellers (columns) on each text (rows).
+
+    Five look for one fault each and have nothing to say where it is absent. Four judge several traits that
+    overlap, and vote good, bad or, in between, nothing.
+    """
     words, distinct, marks, capitals, bars, ends, size, lines = stats.T
     long = words >= 20
     spread = np.where(words > 400, 0.12, 0.3)
-    clean = (words >= 10) & (marks < 0.1) & (capitals < 0.2) & (bars < 0.02) & (ends < 0.6) & (size >= 2.5) & (size <= 15) & (~long | (distinct >= spread))
-    bad = [words < 6, long & (distinct < spread * 0.7), marks > 0.4, capitals > 0.5, bars > 0.2, long & ((ends < 0.005) | (ends > 0.7)), (size < 2) | (size > 20), lines > 0.5]
-    faults = np.sum(bad, 0)
-    prose = np.where(clean, GOOD, np.where(faults >= 2, BAD, ABSTAIN))
-    return np.stack([*(np.where(b, BAD, ABSTAIN) for b in bad), prose], 1).astype(np.int64)
+    varied, dull = ~long | (distinct >= spread), long & (distinct < spread * 0.7)
+    odd, far = long & ((ends < 0.005) | (ends > 0.7)), (size < 2) | (size > 20)
+    tidy = varied & (marks < 0.1) & (capitals < 0.2) & (bars < 0.02)
+    sized = (words >= 10) & (size >= 2.5) & (size <= 15)
+    single = [words < 6, dull, marks > 0.4, capitals > 0.5, bars > 0.2]
+    faults = np.sum([*single, odd, far, lines > 0.5], 0)
+    several = [
+        (tidy, dull | (capitals > 0.5)),
+        (tidy & (ends < 0.6), (marks > 0.4) | (bars > 0.2) | odd),
+        (tidy & sized & (lines < 0.3), (words < 6) | far | (lines > 0.5)),
+        (tidy & sized & (ends < 0.6), faults >= 2),
+    ]
+    cast = [np.where(bad, BAD, ABSTAIN) for bad in single] + [np.where(bad, BAD, np.where(good, GOOD, ABSTAIN)) for good, bad in several]
+    return np.stack(cast, 1).astype(np.int64)
 
 
 def pattern(v: np.ndarray) -> np.ndarray:
@@ -130,19 +149,32 @@ def label_model(v: np.ndarray, counts: np.ndarray, rounds: int = 200, start_good
     return {"posterior": post[:, 1], "accuracy": accuracy, "good": np.array(good)}
 
 
+def _triplets(data: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Counts of hashed byte triplets of each text."""
+    n = len(at) - 1
+    if len(data) < 3:
+        return np.zeros((n, HASHED), np.int64)
+    wide = data.astype(np.uint32)
+    x = (wide[:-2] | wide[1:-1] << np.uint32(8) | wide[2:] << np.uint32(16)) * np.uint32(0x9E3779B1)
+    x ^= x >> np.uint32(15)
+    x = (x * np.uint32(0x85EBCA77)) >> np.uint32(32 - int(np.log2(HASHED)))
+    if n == 1:
+        return np.bincount(x, minlength=HASHED).reshape(1, HASHED)
+    text = np.repeat(np.arange(n, dtype=np.int64), np.diff(at))
+    inside = text[:-2] == text[2:]
+    return np.bincount((text[:-2] * HASHED + x)[inside], minlength=n * HASHED).reshape(n, HASHED)
+
+
 def features(data: np.ndarray, at: np.ndarray, stats: np.ndarray) -> np.ndarray:
     """Square roots of hashed byte-triplet shares, and squashed statistics."""
     n = len(at) - 1
     out = np.zeros((n, HASHED + _STATS + 1), np.float32)
-    if len(data) > 2:
-        wide = data.astype(np.uint32)
-        x = (wide[:-2] | wide[1:-1] << np.uint32(8) | wide[2:] << np.uint32(16)) * np.uint32(0x9E3779B1)
-        x ^= x >> np.uint32(15)
-        x = (x * np.uint32(0x85EBCA77)) >> np.uint32(32 - int(np.log2(HASHED)))
-        text = np.repeat(np.arange(n, dtype=np.int64), np.diff(at))
-        inside = text[:-2] == text[2:]
-        counts = np.bincount((text[:-2] * HASHED + x)[inside], minlength=n * HASHED).reshape(n, HASHED)
-        out[:, :HASHED] = np.sqrt(counts / np.maximum(counts.sum(1, keepdims=True), 1))
+    if n == 1 and len(data) > SLICE_BYTES:
+        parts = [data[a : a + SLICE_BYTES + 2] for a in range(0, len(data), SLICE_BYTES)]
+        counts = sum(_triplets(x, np.array([0, len(x)])) for x in parts)
+    else:
+        counts = _triplets(data, at)
+    out[:, :HASHED] = np.sqrt(counts / np.maximum(counts.sum(1, keepdims=True), 1))
     out[:, HASHED : HASHED + _STATS] = np.stack([np.log1p(stats[:, 0]) / 10, stats[:, 1], *(np.minimum(stats[:, k], 2) for k in (2, 3, 4, 5)), np.minimum(stats[:, 6], 20) / 10, np.minimum(stats[:, 7], 1)], 1)
     out[:, -1] = 1
     return out

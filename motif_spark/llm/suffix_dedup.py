@@ -1,14 +1,16 @@
 """Removal of repeated 100-byte strings by bucket-pointer refinement.
 
-A suffix's bucket is named after its first 8 bytes; buckets are refined by pairing the identifier at a place
-with the identifier at a later offset, and each refined identifier is used again for the next one:
-8 -> 16 -> 32 -> 64 -> 100 bytes. Identifiers are 64-bit names made from content, so every task names alike
-and no sort is needed to name. Of each 100-byte string the place of its smallest 32-byte identifier (its
-anchor) is chosen, so equal strings have equal anchors at equal offsets.
-
-1. Places whose strings share an anchor form a run. Runs meet by anchor identifier; only the first run of
-   each content stays, and in a bucket with one content no more is to be decided.
-2. Buckets with several contents are refined to the 100-byte identifiers of their strings, which meet again.
+Tasks agree on 64-bit names that are made from content: 8-byte strings, paired to 16, 32, 64 and 100 bytes. Of
+each 100-byte string the place of its smallest 32-byte name (its anchor) is chosen, so equal strings have equal
+anchors at equal offsets.
+
+1. Places whose strings share an anchor form a run. Runs meet by anchor name; only the first run of each
+   content stays, and in a bucket with one content no more is to be decided.
+2. The strings of buckets with several contents are put in order within a part: buckets of the 8-byte strings
+   that suffixes begin with are refined by sorting each bucket on the bucket pointers of a later offset; a
+   pointer that was refined is used by all refinements that follow, and buckets of one suffix are left alone.
+   So the bytes themselves decide which strings of a part are equal; the first of each goes on and meets those
+   of other parts by two names (96 bits).
 3. What is not a first occurrence is repeated; the bytes that it covers are removed.
 
 Rows between tasks are packed arrays dealt by identifier, each task sends only its own first occurrence of
@@ -16,7 +18,8 @@ anything, and a part holds about PART_BYTES of text, so neither hot passages nor
 
 Defined cases: a null or empty text has 0 bytes; rows that repeat an id are versions of one document, none
 earlier than the other: equal rows get equal answers; rows with a null id come before all others and their
-answers carry a null id; an empty table gives an empty result.
+answers carry a null id; an empty table gives an empty result; a very long text is cut into blocks that overlap by
+a string, and is put back whole; extra columns are carried by cleaned_documents() and left out by remove_repeats().
 """
 
 from __future__ import annotations
@@ -68,6 +71,40 @@ def names(data: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return short, full, h
 
 
+def refine_buckets(data: np.ndarray, length: int = LENGTH) -> np.ndarray:
+    """A pointer for each place: equal for two places exactly if the strings of `length` bytes there are equal.
+
+    Places less than `length` from the end get a pointer without meaning.
+    """
+    n = len(data)
+    words = np.ndarray((n - 7,), ">u8", data.tobytes(), strides=(1,)).astype(np.uint64)
+    words = np.concatenate([words, np.zeros(7, np.uint64)])
+    order = np.argsort(words)
+    held = words[order]
+    first = np.ones(n, bool)
+    first[1:] = held[1:] != held[:-1]
+    del words, held
+    lead = np.flatnonzero(first)
+    pointer = np.empty(n, np.int64)
+    pointer[order] = np.repeat(lead, np.diff(lead, append=n))
+    live = order[~(first & np.append(first[1:], True))]  # in order of their buckets; buckets of one are done
+    depth = 8
+    while depth < length and len(live):
+        step = min(depth, length - depth)
+        key = pointer[live] << 32 | pointer[np.minimum(live + step, n - 1)]
+        turn = np.argsort(key)
+        live, key = live[turn], key[turn]
+        old = key >> 32
+        first, bucket = np.ones(len(live), bool), np.ones(len(live), bool)
+        first[1:], bucket[1:] = key[1:] != key[:-1], old[1:] != old[:-1]
+        at = np.arange(len(live))
+        start = np.maximum.accumulate(np.where(first, at, 0))
+        pointer[live] = old + start - np.maximum.accumulate(np.where(bucket, at, 0))
+        live = live[~(first & np.append(first[1:], True))]
+        depth += step
+    return pointer
+
+
 def _runs(data: np.ndarray, ok: np.ndarray) -> tuple[np.ndarray, ...]:
     """Maximal runs of valid places with one anchor: bucket, content, first place, places after the first."""
     short, full, _ = names(data)
@@ -281,7 +318,7 @@ def _of_ids(doc: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _open_strings(parts: int):
-    """Identifiers of the strings of undecided runs, the part's first of each."""
+    """Names of the strings of undecided runs, the part's first of each, by their bytes."""
 
     def kernel(table: pa.Table) -> pa.Table:
         doc, place, more, several = _gather(_kinds(table, 0), DECIDED)
@@ -289,7 +326,7 @@ def _open_strings(parts: int):
         doc, place, more = doc[held], place[held].astype(np.int64), more[held].astype(np.int64)
         order = np.argsort(doc, kind="stable")
         doc, place, more = doc[order], place[order], more[order]
-        found = []
+        found, length = [], 0
         for ids, offsets, data, _ in _texts(_kinds(table, 1)):
             a, n = _of_ids(doc, ids)
             rows = _spread(a, n)
@@ -300,14 +337,18 @@ def _open_strings(parts: int):
             if not len(rows):
                 continue
             cut = np.concatenate([[0], np.cumsum(size)])
-            _, full, half = names(data[_spread(lo, size)])
+            held = data[_spread(lo, size)]
+            _, full, half = names(held)
             own = _spread(cut[:-1], size - LENGTH + 1)
             other = (half[own] * _C[1] ^ half[own + LENGTH - 64] * _C[5]) >> np.uint64(32)
-            found.append((full[own], other.astype(np.uint32), np.repeat(ids[text], size - LENGTH + 1), _spread(place[rows], size - LENGTH + 1)))
+            found.append((full[own], other.astype(np.uint32), np.repeat(ids[text], size - LENGTH + 1), _spread(place[rows], size - LENGTH + 1), own + length, held))
+            length += len(held)
         if not found:
             return pa.Table.from_batches([], pa.schema([("part", pa.int32()), ("kind", pa.int32()), ("blob", pa.binary())]))
+        pointer = refine_buckets(np.concatenate([f[5] for f in found]))[np.concatenate([f[4] for f in found])]
         full, other, d, s = (np.concatenate([f[k] for f in found]) for k in range(4))
-        order, new = _firsts([full, other], d, s)
+        del found
+        order, new = _firsts([pointer], d, s)
         keep = order[new]
         keep = keep[np.lexsort((s[keep], d[keep]))]
         release()

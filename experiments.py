@@ -1,46 +1,49 @@
-"""Accuracy and time of four methods, reward settings, ablations and cost growth; prints JSON lines.
-
-python experiments.py [suite] [largest size] [epochs] [--rewards] [--ablations]
-"""
+"""The experiments on the folded session suite: python experiments.py SF_DIR [train|accuracy|rewards|ablations|growth ...]."""
 
 from __future__ import annotations
 
-import json
 import os
 import sys
 import time
 
-os.environ.setdefault("OMP_NUM_THREADS", "4")
+from pyspark.sql import SparkSession
 
-from pyspark.sql import SparkSession  # noqa: E402
+ROUNDS = int(os.environ.get("ROUNDS", "12"))
 
-from motif_spark.operators import learning as L  # noqa: E402
-from motif_spark.plans import workloads as W  # noqa: E402
 
+def main() -> None:
+    os.environ.setdefault("OMP_NUM_THREADS", "1")
+    from motif_spark.operators import training as T
+    from motif_spark.plans import policies
+    from motif_spark.plans import workload_queries as Q
+    from motif_spark.plans import workloads as W
+    from motif_spark.plans.class_queries import QUERIES, session
 
-def main(args: list[str]) -> None:
-    flags = {a for a in args if a.startswith("--")}
-    given = [a for a in args if a not in flags]
-    suite, top, epochs = [*given, *["session3", "7", "150"][len(given) :]][:3]
-    sf_dir = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.01")
-    conf = {"spark.sql.shuffle.partitions": "16", "spark.ui.enabled": "false", "spark.driver.memory": "8g", "spark.sql.session.timeZone": "UTC", "spark.ui.showConsoleProgress": "false"}
+    sf_dir, *what = sys.argv[1:] or ["/root/testdata/sf0.01"]
+    conf = {"spark.sql.shuffle.partitions": "32", "spark.ui.enabled": "false", "spark.driver.memory": "12g", "spark.sql.session.timeZone": "UTC", "spark.ui.showConsoleProgress": "false"}
     spark = SparkSession.builder.master(f"local[{os.environ.get('BENCH_CPUS', '8')}]").config(map=conf).getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
-    sizes = list(range(5, int(top) + 1))
-    data = W.with_census(W.prepare(spark, sf_dir, suite, sizes))
-    how, net = L.Training(epochs=int(epochs)), {"width": 16, "layers": 3}
-    began = time.perf_counter()
-    policy = W.train_policy(data, how, **net)
-    print(json.dumps({"training_seconds": round(time.perf_counter() - began, 1), "samples": policy.samples, "curve": policy.curve}), flush=True)
-    for r in W.accuracy_table(W.compare_methods(data, policy)).collect():
-        print(json.dumps(r.asDict()), flush=True)
-    for r in W.cost_growth(data["test"], policy, sizes):
-        print(json.dumps(r), flush=True)
-    for flag, run in (("--rewards", W.reward_settings), ("--ablations", W.ablations)):
-        for r in run(data, how, **net) if flag in flags else []:
-            print(json.dumps({"experiment": flag[2:]} | r), flush=True)
+    sizes, began = [5, 6, 7, 8, 9], time.perf_counter()
+    show = lambda df: df.show(200, False)
+    if {"train", "rewards", "ablations"} & set(what):
+        lessons = policies.school(spark, sf_dir, "session3", sizes)
+        how = T.Rounds(rounds=ROUNDS, check_every=max(1, ROUNDS // 4))
+        print("lessons", round(time.perf_counter() - began, 1), "s", flush=True)
+    if "train" in what:
+        policy = T.train_rounds(lessons["train"], policies.CONFIG, how, {"valid": lessons["valid"]}, tell=print)
+        print(policies.save(policy, "session3"), round(time.perf_counter() - began, 1), "s")
+    if "rewards" in what:
+        show(W.reward_settings(lessons, policies.CONFIG, how).orderBy("setting", "split", "k"))
+    if "ablations" in what:
+        show(W.ablations(lessons, policies.CONFIG, how).filter("split = 'test'").orderBy("setting", "k"))
+    if "accuracy" in what or not what:
+        show(QUERIES["w2_accuracy_session3"](spark, sf_dir).orderBy("method", "k"))
+        show(Q.QUERIES["l_ratio"](spark, sf_dir).orderBy("k"))
+    if "growth" in what:
+        for row in W.cost_growth(session(spark, sf_dir, True).cache(), policies.load("session3"), sizes):
+            print(row)
     spark.stop()
 
 
 if __name__ == "__main__":
-    main(sys.argv[1:])
+    main()

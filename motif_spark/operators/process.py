@@ -161,3 +161,16 @@ def sample_enumeration(graphs: DataFrame, k: int, keep: list[float], seed: int =
     from .census import work_units
 
     return work_units(graphs, k).mapInArrow(kernel, "graph_id bigint, code string, freq double").groupBy("graph_id", "code").agg(F.sum("freq").alias("freq")).withColumn("k", F.lit(k))
+
+
+def transitions(rollouts: DataFrame, census: DataFrame, graphs: DataFrame, kind: str = "best") -> DataFrame:
+    """The replay table: a row for each step of each rollout with what was selected before, the action, reward and end.
+
+    Frequencies are looked up in the census by a join; the reward is paid at the last step.
+    """
+    best = census.groupBy("graph_id", "k").agg(F.max("freq").alias("best"))
+    paid = rollouts.join(census.select("graph_id", "k", "code", "freq"), ["graph_id", "k", "code"]).join(best, ["graph_id", "k"])
+    rows = paid.join(graphs.select("graph_id", "n", "m"), "graph_id").select("*", F.posexplode("members").alias("step", "action"))
+    rows = rows.withColumns({"selected": F.slice("members", F.lit(1), F.col("step")), "done": F.col("step") == F.col("k") - 1})
+    keys = [c for c in ("seed", "sample") if c in rollouts.columns]
+    return rows.select("graph_id", "k", *keys, "step", "selected", "action", reward(kind).alias("reward"), "done")

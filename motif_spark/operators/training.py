@@ -34,7 +34,7 @@ RATIOS = "k int, ratio double, graphs bigint"
 class Rounds:
     """All choices. In a step a task samples `groups` pairs of graph and size with `per` episodes each.
 
-    reward: best, raw or density. most_graphs: graphs that a task holds, the first by a hash of the id.
+    With decay the rate falls to nothing over the rounds. reward: best, raw or density. most_graphs: graphs that a task holds, the first by a hash of the id.
     """
 
     sizes: tuple[int, ...] = (5, 6, 7, 8, 9)
@@ -43,6 +43,7 @@ class Rounds:
     groups: int = 16
     per: int = 16
     rate: float = 5e-4
+    decay: bool = True
     entropy: float = 0.01
     batch: int = 256
     reward: str = "best"
@@ -146,12 +147,12 @@ def _spread(vector: np.ndarray, like: dict) -> list[dict]:
 def _averaged(rows: DataFrame, parts: int) -> dict:
     """One row of the weighted mean of all rows' vectors, by a tree of tasks of FAN rows each."""
 
-    def kernel(key, table: pa.Table) -> pa.Table:
+    def kernel(table: pa.Table) -> pa.Table:
         got = table.to_pylist()
         weight = sum(r["weight"] for r in got)
         vector = sum(np.frombuffer(r["vector"], np.float32).astype(float) * r["weight"] for r in got) / max(weight, 1e-9)
         reward = sum(r["reward"] * r["weight"] for r in got) / max(weight, 1e-9)
-        return pa.table({"part": pa.array([key[0].as_py()], pa.int32()), "weight": [weight], "samples": pa.array([sum(r["samples"] for r in got)], pa.int64()), "reward": [reward], "vector": pa.array([vector.astype(np.float32).tobytes()], pa.binary())})
+        return pa.table({"part": pa.array([got[0]["part"]], pa.int32()), "weight": [weight], "samples": pa.array([sum(r["samples"] for r in got)], pa.int64()), "reward": [reward], "vector": pa.array([vector.astype(np.float32).tobytes()], pa.binary())})
 
     while parts > FAN:
         parts = -(-parts // FAN)
@@ -198,7 +199,7 @@ def train_rounds(train: DataFrame, config: net.Config, how: Rounds = Rounds(), w
                 return
             like = net.init(config, "actor", how.seed)
             own, m, v = _spread(state, like)
-            local = Adam(own, how.rate)
+            local = Adam(own, how.rate * (1 - turn / how.rounds if how.decay else 1))
             local.m, local.v, local.t = m, v, turns
             rng, samples, rewards = np.random.default_rng([how.seed, turn, part]), 0, []
             with ag.precision(np.float32):

@@ -325,6 +325,16 @@ def w2_random_ratio(spark, sf_dir):
     return A.average_over_seeds(A.approx_ratio(found, census)).select("k", F.round("ratio", 9).alias("ratio"), F.round("deviation", 9).alias("deviation"), "seeds")
 
 
+@query(f"""WITH RECURSIVE {classes([4])}, {rollouts([4], 20, 2)}, paid AS (SELECT r.graph_id, r.k, r.seed, r.sample, r.picked, c.freq / max(c.freq) OVER (PARTITION BY c.graph_id) AS ratio FROM classes c JOIN sets s ON s.graph_id = c.graph_id AND s.kind = c.kind LEFT JOIN rolled r ON r.graph_id = s.graph_id AND list_sort(r.picked) = s.members)
+SELECT graph_id, CAST(k AS INT) AS k, CAST(seed AS INT) AS seed, CAST(sample AS INT) AS sample, CAST(step AS INT) AS step, array_to_string(picked[1 : step], ',') AS selected, CAST(picked[step + 1] AS INT) AS action, round(CASE WHEN step = 3 THEN ratio ELSE 0 END, 9) AS reward, step = 3 AS done FROM paid, range(4) AS t(step) WHERE picked IS NOT NULL""")
+def t_transitions(spark, sf_dir):
+    """The replay table of 20 rollouts of two seeds: states, actions, rewards from a census, ends."""
+    graphs = G.saved(session(spark, sf_dir))
+    census = G.saved(C.exact_census(graphs, [4]))
+    rows = P.transitions(P.random_rollouts(graphs, [4], 20, 2), census, graphs)
+    return rows.select("graph_id", "k", "seed", "sample", "step", csv("selected"), "action", F.round("reward", 9).alias("reward"), "done")
+
+
 @query(f"WITH {classes([2, 3, 4])} SELECT graph_id, CAST(sum(freq) AS DOUBLE) AS sets, count(*) AS classes FROM classes WHERE k = 4 GROUP BY 1")
 def r_enumeration_all(spark, sf_dir):
     """Sampled enumeration that keeps every branch: the estimates are the counts."""

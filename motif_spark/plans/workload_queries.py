@@ -10,12 +10,17 @@ from ..operators import learning as L
 from ..operators import measures as A
 from ..operators import mni as N
 from ..operators import network as net
+from ..operators import match as M
 from ..operators import process as P
+from ..operators import training as T
 from ..sources import suites as S
+from . import policies
 from . import workloads as W
-from .graph_queries import EVENT_LABELS, _mni_sql, _session
+from .class_queries import csv, session
+from .graph_queries import SESSION, _mni_sql, _session
 
 QUERIES, SQL = {}, {}
+SIZES = [5, 6, 7, 8, 9]
 
 
 def _keep(f):
@@ -63,24 +68,61 @@ SQL["w9_worked_example"] = "SELECT * FROM (VALUES (CAST(2 AS INT), CAST(3 AS BIG
 
 @_keep
 def l_mine_session(spark, sf_dir):
-    """Greedy search by an untrained policy of fixed seed: the plan of the learned miner, without a shuffle."""
-    config = net.Config(labels=len(EVENT_LABELS), width=16, layers=2)
-    found = L.mine_all(_session(spark, sf_dir), [3, 5], L.Policy(config, net.init(config, "actor", 1)))
-    return found.select("graph_id", "k", F.array_join(F.transform("members", lambda x: x.cast("string")), ",").alias("members"), "code")
+    """Greedy search by the shipped policy in every folded session graph, sizes 5 to 9: one narrow stage."""
+    found = L.mine_all(session(spark, sf_dir, True), SIZES, policies.load("session3"))
+    return found.select("graph_id", "k", csv("members"), "code")
 
 
 @_keep
 def l_ratio(spark, sf_dir):
-    """Ratio of a briefly trained policy on all test graphs of the folded session suite; training takes `most_graphs`."""
-    data = W.with_census(W.prepare(spark, sf_dir, "session3", [3, 4], valid=0.0))
-    data["valid"] = data["train"]
-    policy = W.train_policy(data, L.Training(epochs=12, episodes=16, updates=1, batch=48, check_every=12), width=16, layers=2)
-    found = L.mine_all(data["test"], [3, 4], policy).join(data["census"].select("graph_id", "k", "code", "freq"), ["graph_id", "k", "code"])
-    truth = data["census"].join(data["test"].select("graph_id"), "graph_id", "left_semi")
-    return A.avg_ratio(A.approx_ratio(found, truth))
+    """Ratio of the shipped policy on all test graphs of the folded session suite, sizes 5 to 9."""
+    test = G.saved(G.split_targets(session(spark, sf_dir, True), 0.8).filter("split = 'test'"))
+    census = G.saved(C.exact_census(test, SIZES))
+    found = L.mine_all(test, SIZES, policies.load("session3"))
+    return A.avg_ratio(A.approx_ratio(M.frequency_lookup(found.filter("not dead"), census), census))
 
 
-from .graph_queries import SESSION  # noqa: E402
+@_keep
+def l_train(spark, sf_dir):
+    """A short training in Spark on sizes 3 and 4 with its curve on every split."""
+    lessons = policies.school(spark, sf_dir, "session3", [3, 4])
+    config = net.Config(labels=3, width=16, heads=2, layers=2, k_max=4, residual=True)
+    how = T.Rounds(sizes=(3, 4), rounds=3, steps=4, groups=8, per=8, rate=2e-3, check_every=1)
+    policy = T.train_rounds(lessons["train"], config, how, lessons)
+    rows = [(c["epoch"], c["samples"], c["split"], int(k), c[f"k{k}"]) for c in policy.curve for k in "34"]
+    return spark.createDataFrame(rows, "epoch int, samples long, split string, k int, ratio double")
+
+
+@_keep
+def l_critic_gradient(spark, sf_dir):
+    """Length of the critic's gradient over a replay table, summed in Spark, beside that of one batch of all rows."""
+    import numpy as np
+
+    graphs = G.saved(session(spark, sf_dir, True))
+    census = G.saved(C.exact_census(graphs, [3]))
+    replay = P.transitions(P.random_rollouts(graphs, [3], 1, 1), census, graphs)
+    rows = replay.join(graphs.select("graph_id", "label_ids", "nbrs"), "graph_id")
+    rows = G.saved(rows.select("label_ids", "nbrs", "selected", (F.col("k") - F.col("step")).alias("left"), "k", "action", F.col("reward").alias("target"), "reward"))
+    config = net.Config(labels=3, width=8, heads=2, layers=1, k_max=3)
+    params = net.init(config, "critic", 5)
+    spread = L.distributed_gradients(rows, params, config)
+    length = float(np.sqrt(sum((g**2).sum() for g in spread.values())))
+    return spark.createDataFrame([(rows.count(), length)], "transitions long, length double")
+
+
+def _settings_query(name: str, run) -> None:
+    def query(spark, sf_dir):
+        lessons = policies.school(spark, sf_dir, "session3", [3, 4])
+        config = net.Config(labels=3, width=16, heads=2, layers=2, k_max=4, residual=True)
+        return run(lessons, config, T.Rounds(sizes=(3, 4), rounds=2, steps=3, groups=8, per=8, rate=2e-3, check_every=1))
+
+    query.__doc__ = f"{run.__doc__} A short run on sizes 3 and 4; experiments.py has the long ones."
+    QUERIES[name] = query
+
+
+_settings_query("w5_reward_settings", W.reward_settings)
+_settings_query("w7_ablations", W.ablations)
+
 
 SQL["w8_search_space"] = f"""WITH RECURSIVE {SESSION}, w AS (SELECT graph_id, n, node AS last, 1 AS k FROM s UNION ALL SELECT graph_id, n, last + d, k + 1 FROM w, (VALUES (1), (2)) AS t(d) WHERE k < 6 AND last + d < n)
 SELECT CAST(k AS INT) AS k, count(*) AS sets FROM w WHERE k >= 3 GROUP BY 1"""

@@ -15,6 +15,7 @@ from ..operators import measures as A
 from ..operators import mni as N
 from ..operators import network as net
 from ..operators import process as P
+from ..operators import training as T
 from ..sources import suites as S
 
 METRICS = "suite string, method string, k int, ratio double, graphs long, seconds double, seed int"
@@ -78,29 +79,30 @@ def accuracy_table(metrics: DataFrame) -> DataFrame:
     return wide.join(metrics.groupBy("suite", "method").agg(F.round(F.avg("seconds"), 2).alias("seconds")), ["suite", "method"])
 
 
-def reward_settings(data: dict, how: L.Training, **network) -> list[dict]:
-    """A policy for each reward kind; test ratio of the best on validation, and the largest over training."""
-    return settings(data, {kind: (replace(how, reward=kind), network) for kind in ("raw", "best", "density")})
+SETTINGS = "setting string, split string, k int, ratio double, graphs long, max_over_training double, samples long"
 
 
-def ablations(data: dict, how: L.Training, names: list[str] | None = None, **network) -> list[dict]:
-    config = net.Config(**{"labels": data["labels"], "k_max": max(data["sizes"])} | network)
-    chosen = {n: c for n, c in L.variants(config).items() if names is None or n in names}
-    return settings(data, {n: (how, {f: getattr(c, f) for f in c.__dataclass_fields__ if f not in ("labels", "k_max")}) for n, c in chosen.items()})
-
-
-def settings(data: dict, runs: dict) -> list[dict]:
-    """Ratios over all graphs of each split; training alone takes at most `most_graphs`."""
-    rows, census = [], data["census"]
-    truth = {split: census.join(data[split].select("graph_id"), "graph_id", "left_semi") for split in ("test", "train")}
-    for name, (how, network) in runs.items():
-        policy = train_policy(data, how, **network)
-        for split in truth:
-            found = L.mine_all(data[split], data["sizes"], policy).join(census.select("graph_id", "k", "code", "freq"), ["graph_id", "k", "code"])
-            for r in A.avg_ratio(A.approx_ratio(found, truth[split])).orderBy("k").collect():
-                k = r["k"]
-                rows.append({"setting": name, "split": split, "k": k, "ratio": r["ratio"], "graphs": r["graphs"], "max_over_training": max(c[f"k{k}"] for c in policy.curve), "samples": policy.samples})
-    return rows
+def reward_settings(lessons: dict[str, DataFrame], config: net.Config, how: T.Rounds) -> DataFrame:
+    """A policy for each reward kind, from the same start."""
+    return settings(lessons, {kind: (config, replace(how, reward=kind)) for kind in ("raw", "best", "density")})
+
+
+def ablations(lessons: dict[str, DataFrame], config: net.Config, how: T.Rounds, names: list[str] | None = None) -> DataFrame:
+    """A policy for each rung of the ladder and each single change."""
+    return settings(lessons, {n: (c, how) for n, c in L.variants(config).items() if names is None or n in names})
+
+
+def settings(lessons: dict[str, DataFrame], runs: dict[str, tuple[net.Config, T.Rounds]]) -> DataFrame:
+    """Ratios over all graphs of every split: those of the policy that was best on `valid`, and beside them the
+    largest that the split itself saw during training."""
+    rows, spark = [], lessons["train"].sparkSession
+    for name, (config, how) in runs.items():
+        policy = T.train_rounds(lessons["train"], config, how, lessons)
+        for split, held in lessons.items():
+            for r in T.mean_ratios(held, policy, how.sizes).collect():
+                seen = [c[f"k{r['k']}"] for c in policy.curve if c["split"] == split]
+                rows.append((name, split, r["k"], r["ratio"], r["graphs"], max(seen), policy.samples))
+    return spark.createDataFrame(rows, SETTINGS)
 
 
 def cost_growth(graphs: DataFrame, policy: L.Policy, sizes: list[int]) -> list[dict]:

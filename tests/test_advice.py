@@ -4,31 +4,27 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from motif_spark.operators import learning as L
 from motif_spark.operators import network as net
-from motif_spark.plans import graph_queries, workload_queries, workloads
+from motif_spark.operators import training as T
+from motif_spark.plans import class_queries, policies, workload_queries, workloads
 
 
 def test_ratio_is_over_all_test_graphs(spark, small):
     sf_dir = small.replace("0.001", "0.01")
     test = workloads.prepare(spark, sf_dir, "session3", [3, 4], valid=0.0)["test"]
     want = test.count()
-    assert want > 60 and {(r.k, r.graphs) for r in workload_queries.l_ratio(spark, sf_dir).collect()} == {(3, want), (4, want)}
+    assert want > 60 and {(r.k, r.graphs) for r in workload_queries.l_ratio(spark, sf_dir).collect()} == {(k, want) for k in range(5, 10)}
 
 
 def test_random_baselines_take_all_samples_and_seeds(spark, small):
-    assert {r.seeds for r in workload_queries.w2_random_ratio(spark, small).collect()} == {5}
-    got = graph_queries.QUERIES["r_rollouts"](spark, small).agg(F.max("sample"), F.max("seed")).first()
+    assert {r.seeds for r in class_queries.w2_random_ratio(spark, small).collect()} == {5}
+    got = class_queries.QUERIES["r_rollouts"](spark, small).agg(F.max("sample"), F.max("seed")).first()
     assert tuple(got) == (99, 4)
 
 
-def test_settings_evaluate_every_graph(spark, small, monkeypatch):
-    data = workloads.with_census(workloads.prepare(spark, small, "session3", [3], valid=0.0))
-    config = net.Config(labels=data["labels"], k_max=3, width=8, layers=1)
-    policy = L.Policy(config, net.init(config, "actor", 1), [{"k3": 0.0}])
-    want = {s: L.mean_ratio(policy.actor, config, *L.reward_tables(data[s], data["census"], 1 << 30), (3,))[3] for s in ("test", "train")}
-    monkeypatch.setattr(workloads, "train_policy", lambda *a, **k: policy)
-    tables = L.reward_tables
-    monkeypatch.setattr(L, "reward_tables", lambda graphs, census, most: tables(graphs, census, min(most, 1)))  # a suite beyond the bound
-    got = workloads.settings(data, {"x": (L.Training(), {})})
-    assert {r["split"]: round(r["ratio"], 9) for r in got} == {s: round(x, 9) for s, x in want.items()}
+def test_settings_evaluate_every_graph(spark, small):
+    """Training takes at most one graph in each task; the ratios are over all graphs of their split."""
+    lessons = policies.school(spark, small, "session3", [3])
+    config = net.Config(labels=3, k_max=3, width=8, heads=2, layers=1)
+    got = workloads.settings(lessons, {"x": (config, T.Rounds(sizes=(3,), rounds=1, steps=1, groups=2, per=4, most_graphs=1))}).collect()
+    assert {r.split: r.graphs for r in got} == {split: held.count() for split, held in lessons.items()}

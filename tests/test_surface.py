@@ -11,13 +11,13 @@ import __spark_entry__ as entry
 from motif_spark.functions.register import register_all, vec_sum_native
 from motif_spark.operators import census as C
 from motif_spark.operators import graphs as G
-from motif_spark.plans import graph_queries, relational, workload_queries
+from motif_spark.plans import MODULES
 from motif_spark.sources import suites as S
 from motif_spark.sources import textgraph
 from motif_spark.streaming import motifs
 
-OWN = graph_queries.QUERIES | relational.QUERIES | workload_queries.QUERIES
-STATEMENTS = graph_queries.SQL | relational.SQL | workload_queries.SQL
+OWN = {name: f for m in MODULES for name, f in m.QUERIES.items()}
+STATEMENTS = {name: text for m in MODULES for name, text in m.SQL.items()}
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
 
@@ -36,14 +36,32 @@ def rows(pdf):
     return cols, sorted((tuple(str(norm(float(x) if isinstance(x, (int, np.integer)) and not isinstance(x, bool) else x)) for x in r) for r in clean.itertuples(index=False)))
 
 
-@pytest.mark.parametrize("name", [n for n in STATEMENTS if not n.startswith(("x_freq_k4", "x_best_k4"))])
+@pytest.mark.parametrize("name", STATEMENTS)
 def test_sql_says_the_same(name, spark, small, duck):
     assert rows(OWN[name](spark, small).toPandas()) == rows(duck.sql(STATEMENTS[name]).df())
 
 
-@pytest.mark.parametrize("name", [n for n in OWN if n not in STATEMENTS and n not in ("w1_dataset_table", "l_ratio")])
+#: What the columns of queries without a statement must hold, row by row.
+HOLDS = {
+    "g_dom_stats": lambda r: r.m == r.n - 1 and 0 < r.density < 1 and 1 <= r.max_degree < r.n,
+    "g_similar_stats": lambda r: 10 < r.n < 500 and r.m >= 3 * r.n / 2 and r.max_degree >= 3,
+    "r_enumeration_estimate": lambda r: r.sets >= 0,
+    "w1_dataset_table": lambda r: r.graphs > 0 and 10 < r.mean_n < 500 and r.mean_m >= r.mean_n - 1,
+    "w4_mni_disagreement_purchase": lambda r: r.k == 3 and 0 <= r.worse <= r.graphs,
+    "l_mine_session": lambda r: r.members.count(",") == r.k - 1 and r.code.count(".") == r.k - 1,
+    "l_ratio": lambda r: 0 < r.ratio <= 1 and 0 <= r.hit_rate <= r.ratio and r.graphs > 0,
+    "l_train": lambda r: 0 < r.ratio <= 1 and r.samples == r.epoch * 4 * 64 * 4 and r.k in (3, 4),
+    "l_critic_gradient": lambda r: r.transitions > 0 and r.length > 0,
+    "w5_reward_settings": lambda r: 0 < r.ratio <= r.max_over_training + 1e-9 <= 1 + 1e-9 and r.setting in ("raw", "best", "density"),
+    "w7_ablations": lambda r: 0 <= r.ratio <= r.max_over_training + 1e-9 <= 1 + 1e-9 and r.graphs > 0,
+    "op_agg_approx": lambda r: r.orders > 0 and r.parts > 0,
+}
+
+
+@pytest.mark.parametrize("name", [n for n in OWN if n not in STATEMENTS])
 def test_queries_without_sql(name, spark, small):
-    assert OWN[name](spark, small).count() > 0
+    found = OWN[name](spark, small).collect()
+    assert found and all(HOLDS[name](r) for r in found), found[:3]
 
 
 def test_entry(spark):

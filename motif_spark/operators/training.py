@@ -180,9 +180,10 @@ def mean_ratios(rows: DataFrame, policy: Policy, sizes: tuple[int, ...]) -> Data
     return each.groupBy("k").agg((F.sum("ratio") / F.sum("graphs")).alias("ratio"), F.sum("graphs").alias("graphs"))
 
 
-def train_rounds(train: DataFrame, config: net.Config, how: Rounds = Rounds(), watch: dict[str, DataFrame] | None = None, start: Policy | None = None, tell=None) -> Policy:
+def train_rounds(train: DataFrame, config: net.Config, how: Rounds = Rounds(), watch: dict[str, DataFrame] | None = None, start: Policy | None = None, tell=None, keep=None) -> Policy:
     """One set of weights for all sizes, from lessons. Every `check_every` rounds the mean ratio on each watched table
-    goes into the curve; the policy kept is the best on `valid` if that is watched, else the last."""
+    goes into the curve (and to tell); the policy kept (and given to keep) is the best on `valid` if that is watched,
+    else the last."""
     actor = {name: x.astype(np.float32) for name, x in (start.actor if start else net.init(config, "actor", how.seed)).items()}
     adam, parts = Adam(actor, how.rate), train.rdd.getNumPartitions()
     policy, top = Policy(config, {name: x.copy() for name, x in actor.items()}), -1.0
@@ -225,6 +226,8 @@ def train_rounds(train: DataFrame, config: net.Config, how: Rounds = Rounds(), w
                     tell(policy.curve[-1])
             if score is None or score > top:
                 top, policy.actor = score if score is not None else top, {name: x.copy() for name, x in actor.items()}
+                if keep:
+                    keep(policy)
     return policy
 
 

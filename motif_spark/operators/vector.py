@@ -1,7 +1,8 @@
 """Connected sets, their keys and canonical codes for whole arrays of sets at once.
 
-A set is a row of node numbers. Codes equal those of `canonical`: rows whose colours become single by
-refinement are coded here; rows with symmetries are few after repeats are removed and go through `canonical_of`.
+A set is a row of node numbers. Codes equal those of `canonical`: rows whose colours become single by refinement,
+or are shared only by nodes that can change places at will, are coded here; the few rows with other symmetries go
+through `canonical_of`.
 """
 
 from __future__ import annotations
@@ -137,6 +138,21 @@ def refined(labels: np.ndarray, adj: np.ndarray) -> np.ndarray:
     return colour
 
 
+def twins(adj: np.ndarray, colour: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows whose nodes of one colour all have the same neighbours but for each other, and their automorphisms:
+    such nodes take any order, so each colour counts the orders of its nodes."""
+    k = colour.shape[1]
+    mask = (adj * (1 << np.arange(k))).sum(2)
+    alike, seen, count = np.ones(len(adj), bool), np.ones((len(adj), k), np.int64), np.ones(len(adj), np.int64)
+    for j in range(1, k):
+        for i in range(j):
+            same = colour[:, i] == colour[:, j]
+            alike &= ~same | ((mask[:, i] ^ mask[:, j]) & ~(1 << i | 1 << j) == 0)
+            seen[:, j] += same
+        count *= seen[:, j]
+    return alike, count
+
+
 class Classes:
     """Codes of distinct (labels, bits): code text, automorphisms, and for each place its node's place in the code
     and the first place of its orbit there."""
@@ -145,13 +161,13 @@ class Classes:
         k = labels.shape[1]
         adj = square(bits, k)
         colour = refined(labels, adj)
-        single = colour.max(1) == k - 1 if k else np.zeros(0, bool)
+        alone, self.automorphisms = twins(adj, colour)
+        # Nodes of a colour stand together, so the first of them has as many places before it as there are lower colours.
+        self.place = (colour[:, None, :] < colour[:, :, None]).sum(2)
         order = np.argsort(colour, 1, kind="stable")
         form = triangle(np.take_along_axis(np.take_along_axis(adj, order[:, :, None], 1), order[:, None, :], 2))
         own = np.take_along_axis(labels, order, 1)
-        self.automorphisms = np.ones(len(bits), np.int64)
-        self.place = colour
-        for r in np.flatnonzero(~single).tolist():
+        for r in np.flatnonzero(~alone).tolist():
             code, count, seq, orbit = canonical_of(tuple(labels[r].tolist()), int(bits[r]))
             got, value = code.split(":")
             own[r], form[r], self.automorphisms[r] = [int(x) for x in got.split(".")], int(value), count

@@ -11,10 +11,6 @@ from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 
-#: Test graphs that the four methods are timed on.
-COMPARED = 60
-
-
 def main() -> None:
     sf_dir, cpus = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1"), os.environ.get("BENCH_CPUS", "8")
     sys.path.insert(0, os.path.dirname(os.path.abspath(__file__)))
@@ -22,18 +18,18 @@ def main() -> None:
     from motif_spark.operators import graphs as G
     from motif_spark.operators import learning as L
     from motif_spark.operators import mni as N
-    from motif_spark.operators import network as net
     from motif_spark.operators import process as P
     from motif_spark.plans import graph_queries as Q
+    from motif_spark.plans import policies
     from motif_spark.sources import suites as S
 
     os.environ.setdefault("OMP_NUM_THREADS", "1")
     conf = {"spark.sql.shuffle.partitions": "32", "spark.ui.enabled": "false", "spark.driver.memory": "12g", "spark.sql.session.timeZone": "UTC", "spark.ui.showConsoleProgress": "false"}
     spark = SparkSession.builder.master(f"local[{cpus}]").config(map=conf).getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
-    test = G.saved(G.split_targets(S.packed(spark, sf_dir, "session"), 0.8).filter("split = 'test'").orderBy(F.xxhash64("graph_id")).limit(COMPARED))
-    config = net.Config(labels=5, width=32, layers=3)
-    policy = L.Policy(config, net.init(config, "actor", 1))
+    split = lambda suite: G.saved(G.split_targets(S.packed(spark, sf_dir, suite), 0.8).filter("split = 'test'"))
+    test, folded, trees = split("session"), split("session3"), split("dom")
+    policy = policies.load("session3")
     sizes = [5, 6, 7, 8, 9]
     work = {
         "graphs_session": lambda: S.packed(spark, sf_dir, "session"),
@@ -45,7 +41,9 @@ def main() -> None:
         "exact_k5_9_test": lambda: C.most_frequent(C.exact_census(test, sizes)),
         "mni_k5_9_test": lambda: N.baseline(N.descent(test, sizes)),
         "random_k5_9_test": lambda: P.random_baseline(test, P.random_rollouts(test, sizes, 100, 1)),
-        "learned_k5_9_test": lambda: L.mine_all(test, sizes, policy),
+        "learned_k5_9_test": lambda: L.mine_all(folded, sizes, policy),
+        "exact_k5_7_trees": lambda: C.most_frequent(C.exact_census(trees, sizes[:3])),
+        "mni_k5_7_trees": lambda: N.baseline(N.descent(trees, sizes[:3])),
     }
     seconds = {}
     for name, make in work.items():

@@ -24,7 +24,7 @@ from .vector import SearchSpaceTooLarge
 #: Sets that one unit of work may have before the census stops with an error.
 GUARD = 50_000_000
 #: Squared degrees, times the largest size, that one unit of work takes on.
-UNIT = 1_024
+UNIT = 8_192
 
 
 def masks(nbrs: list[list[int]]) -> list[int]:

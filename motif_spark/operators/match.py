@@ -5,11 +5,13 @@ from __future__ import annotations
 from collections.abc import Iterator
 from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .canonical import parse_code, rows_of_bits
+from .vector import Classes
 
 
 def _order(labels: tuple[int, ...], adj: list[int], have: dict[int, int]) -> list[int]:
@@ -128,23 +130,50 @@ def frequency_many(graphs: DataFrame, patterns: DataFrame) -> DataFrame:
     return held.mapInArrow(kernel, "graph_id bigint, k int, code string, freq bigint")
 
 
-#: Patterns for each graph and size from which one census of the graph is cheaper than matching each.
+#: Patterns for each graph and size from which one walk over all sets is cheaper than matching each pattern.
 MANY = 24
 
 
-def frequencies(graphs: DataFrame, patterns: DataFrame) -> DataFrame:
-    """frequency_many() or a census lookup, by how many patterns a graph and size has on average."""
-    from .census import exact_census
+def frequency_listed(graphs: DataFrame, patterns: DataFrame, sizes: list[int]) -> DataFrame:
+    """frequency_many() by one walk over the connected sets of each graph, of which only the listed classes are counted.
+
+    A graph's list travels with each of its units, so it should be bounded, as samples are.
+    """
+    from .census import GUARD, _by_size, work_units
 
+    listed = patterns.groupBy("graph_id").agg(F.collect_set(F.struct("k", "code")).alias("wanted"))
+    units = work_units(graphs, max(sizes)).join(listed, "graph_id")
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                counts = {(w["k"], w["code"]): 0 for w in row["wanted"]}
+                forms: dict[int, set[int]] = {}
+                for w in row["wanted"]:
+                    forms.setdefault(w["k"], set()).add(int(w["code"].split(":")[1]))
+                for k, labels, bits, cnt, _ in _by_size(row, set(forms), GUARD) if forms else ():
+                    kinds = Classes(labels, bits)
+                    some = np.flatnonzero(np.isin(kinds.form, list(forms[k])))
+                    for code, n in zip(kinds.texts(some), cnt[some].tolist()):
+                        if (k, code) in counts:
+                            counts[k, code] += n
+                keys = list(counts)
+                yield pa.RecordBatch.from_arrays([pa.array([row["graph_id"]] * len(keys), pa.int64()), pa.array([k for k, _ in keys], pa.int32()), pa.array([c for _, c in keys], pa.string()), pa.array([counts[x] for x in keys], pa.int64())], ["graph_id", "k", "code", "freq"])
+
+    found = units.mapInArrow(kernel, "graph_id bigint, k int, code string, freq bigint")
+    return found.groupBy("graph_id", "k", "code").agg(F.sum("freq").alias("freq"))
+
+
+def frequencies(graphs: DataFrame, patterns: DataFrame) -> DataFrame:
+    """frequency_many() or frequency_listed(), by how many patterns a graph and size has on average."""
     load = patterns.groupBy("graph_id", "k").agg(F.count(F.lit(1)).alias("n")).groupBy("k").agg(F.avg("n").alias("n"))
     many = {r["k"]: r["n"] for r in load.collect()}  # one row for each size
-    dense = [k for k, n in many.items() if n >= MANY]
+    dense, rest = [k for k, n in many.items() if n >= MANY], [k for k, n in many.items() if n < MANY]
+    rows = patterns.select("graph_id", "k", "code")
     if not dense:
-        return frequency_many(graphs, patterns)
-    wanted = graphs.join(patterns.select("graph_id").distinct(), "graph_id", "left_semi")
-    found = frequency_lookup(patterns.filter(F.col("k").isin(dense)).select("graph_id", "k", "code"), exact_census(wanted, dense))
-    rest = [k for k in many if k not in dense]
-    return found.unionByName(frequency_many(graphs, patterns.filter(F.col("k").isin(rest)))) if rest else found
+        return frequency_many(graphs, rows)
+    found = frequency_listed(graphs, rows.filter(F.col("k").isin(dense)), dense)
+    return found.unionByName(frequency_many(graphs, rows.filter(F.col("k").isin(rest)))) if rest else found
 
 
 def frequency_lookup(found: DataFrame, census: DataFrame) -> DataFrame:

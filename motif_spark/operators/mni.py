@@ -16,7 +16,7 @@ from .graphs import saved
 #: Sets that one unit of work may hold at once before it stops with an error.
 GUARD = 5_000_000
 #: A graph of more units (see census.UNIT) than this is counted unit by unit and its images are merged by Spark.
-WHOLE = 64
+WHOLE = 16
 CENSUS = "graph_id bigint, k int, code string, freq bigint, mni bigint"
 MASKS = "graph_id bigint, k int, code string, cnt bigint, place int, word int, mask bigint"
 

@@ -117,8 +117,10 @@ def random_rollouts(graphs: DataFrame, sizes: list[int], n_samples: int = 100, s
 
 def random_baseline(graphs: DataFrame, rollouts: DataFrame, census: DataFrame | None = None) -> DataFrame:
     """graph_id, k, seed, code, freq: the most frequent sampled class. Each class is counted once for a graph."""
+    from .graphs import saved
     from .match import frequencies, frequency_lookup
 
+    rollouts = rollouts if census is not None else saved(rollouts)
     classes = rollouts.select("graph_id", "k", "code").distinct()
     counted = frequency_lookup(classes, census) if census is not None else frequencies(graphs, classes)
     seen = rollouts.select("graph_id", "k", "seed", "code").distinct().join(counted, ["graph_id", "k", "code"])

@@ -7,7 +7,8 @@ sums within blocks of turns and over blocks.
 
 Defined cases: a null text is empty; a null role is a participant named "unknown"; system turns are shown to
 every perspective and have none of their own, so a dialogue of system turns only gives no rows; turns with
-equal numbers follow by role, then text; repeated rows stay; a null dialogue id is a dialogue of its own.
+equal numbers follow by role, then text; repeated rows stay; a null turn number comes first; a null dialogue id is a dialogue of its own; an empty table gives
+an empty result; a very long text is one segment; extra columns are left out, so their names do not matter.
 """
 
 from __future__ import annotations
@@ -15,6 +16,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import hot_salts
+
 SYSTEM = "system"
 END = "<|end|>\n"
 #: Turn numbers that share a block.
@@ -29,11 +32,19 @@ def rotate(turns: DataFrame, conv: str = "conv_id", turn: str = "turn", role: st
     """
     name = F.coalesce(F.col(role), F.lit("unknown"))
     df = turns.select(F.col(conv).alias("conv_id"), F.coalesce(F.col(turn).cast("long"), F.lit(-1).cast("long")).alias("turn"), name.alias("speaker"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    who = df.filter(F.col("speaker") != SYSTEM).select(F.col("conv_id").alias("_conv"), F.col("speaker").alias("perspective")).distinct()
-    df = df.join(who, F.col("conv_id").eqNullSafe(F.col("_conv"))).drop("_conv")
+    counts = df.groupBy("conv_id", "speaker").agg(F.count(F.lit(1)).alias("n"))
+    # A dialogue with very many turns meets its participants under several salts.
+    salts = hot_salts(counts.groupBy("conv_id").agg(F.sum("n").alias("n")), "conv_id")
+    each = F.explode(F.sequence(F.lit(0), salts - 1)).alias("_s")
+    who = counts.filter(F.col("speaker") != SYSTEM).select("conv_id", F.col("speaker").alias("perspective"), each).withColumnRenamed("conv_id", "_conv")
+    df = df.withColumn("_salt", F.pmod(F.xxhash64("turn", "speaker", "text"), salts).cast("int"))
+    df = df.join(who, F.col("conv_id").eqNullSafe(F.col("_conv")) & (F.col("_salt") == F.col("_s"))).drop("_conv", "_s", "_salt")
     mine = F.col("speaker") == F.col("perspective")
     head = F.when(F.col("speaker") == SYSTEM, F.lit("<|system|>\n")).when(mine, F.lit("<|assistant|>\n")).otherwise(F.concat(F.lit("<|user:"), F.col("speaker"), F.lit("|>\n")))
-    df = df.withColumns({"_head": head, "_block": F.floor(F.col("turn") / block)})
+    # Turns without a number are all -1; their blocks go by what orders them, the speaker and the beginning of the text.
+    lost = F.col("turn") == -1
+    begin = F.when(lost, F.concat("speaker", F.lit("\0"), F.substring("text", 1, 2))).otherwise("")
+    df = df.withColumns({"_head": head, "_block": F.struct(F.floor(F.col("turn") / block).alias("b"), lost.alias("lost"), begin.alias("t"))})
     df = df.withColumn("segment", F.concat("_head", "text", F.lit(END))).withColumn("_n", F.length("segment").cast("long"))
     dialogue = ["conv_id", "perspective"]
     totals = df.groupBy(*dialogue, "_block").agg(F.sum("_n").alias("_sum"))

@@ -96,6 +96,27 @@ def cuts(df: DataFrame, key: str, parts: int) -> np.ndarray:
     return np.unique(np.array([x for x in found or [] if x is not None], np.int64))
 
 
+#: A key with more than this share of all rows, and this many at least, is hot; so at most 1 / HOT_SHARE keys are.
+HOT_SHARE, HOT_ROWS = 0.001, 100_000
+
+
+def hot_salts(counts: DataFrame, key: str) -> Column:
+    """From rows of a key column and n (rows that have the key): into how many salts a key's rows are dealt, 1 for most.
+
+    Only hot keys reach the driver, 1,000 at most by their share.
+    """
+    total = counts.agg(F.sum("n")).first()[0] or 0
+    most = max(HOT_ROWS, total * HOT_SHARE)
+    hot = {r[key]: math.ceil(r["n"] / most) for r in counts.filter(F.col("n") > most).select(key, "n").collect()}
+    salts = F.lit(1)
+    if None in hot:
+        salts = F.when(F.col(key).isNull(), F.lit(hot.pop(None))).otherwise(salts)
+    if hot:
+        known = F.create_map(*[F.lit(x) for pair in hot.items() for x in pair])
+        salts = F.coalesce(F.try_element_at(known, F.col(key)), salts)
+    return salts.cast("int")
+
+
 def release() -> None:
     """Give freed memory back to the system: workers are kept for later stages, whose share it would be."""
     import ctypes

@@ -5,7 +5,9 @@ an odd inner product with v. Any r places span less than the whole space, so for
 some v is orthogonal to all the places that differ: the pair meets in that table, with certainty.
 
 Defined cases: null, empty and wordless texts have fingerprint zero and are linked like any other;
-repeated rows and ids are kept, each with its component; null ids are passed over for the smallest id; an empty table gives an empty result.
+repeated rows and ids are kept, each with its component; null ids are passed over for the smallest id; an empty
+table gives an empty result; a very long text is hashed in blocks of its shingles; a bit that exactly half of the
+shingles have is 0; extra columns are left out, but one_of_each() keeps them.
 """
 
 from __future__ import annotations
@@ -18,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checkpoint, freeing, spans, utf8
+from .common import checkpoint, freeing, hot_salts, spans, utf8
 
 RADIUS = 3
 #: Share of five-word shingles that near copies have in common, and the bands and rows of least hashes that
@@ -197,12 +199,15 @@ def components(links: DataFrame, rounds: int = 60) -> DataFrame:
 def near_duplicates(docs: DataFrame, radius: int = RADIUS, width: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable) for every row."""
     fps = checkpoint(fingerprints(docs, width, id_col, text_col))
-    groups = checkpoint(fps.groupBy("fp").agg(F.min("doc_id").alias("least")))
+    groups = checkpoint(fps.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")))
     roots = components(near_links(groups.select("fp"), radius))
     held = groups.join(roots, F.col("fp") == F.col("id"), "left").withColumn("root", F.coalesce("root", "fp"))
     named = held.groupBy("root").agg(F.min("least").alias("component_id"))
-    by_fp = held.select("fp", "root").join(named, "root").select("fp", "component_id")
-    return fps.join(by_fp, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    # A fingerprint that very many rows share, such as that of empty texts, is met under several salts.
+    salts = hot_salts(groups.select("fp", "n"), "fp")
+    by_fp = held.select("fp", "root").join(named, "root").select("fp", "component_id", F.explode(F.sequence(F.lit(0), salts - 1)).alias("_salt"))
+    dealt = fps.withColumn("_salt", F.pmod(F.xxhash64("doc_id", F.monotonically_increasing_id()), salts).cast("int"))
+    return dealt.join(by_fp, ["fp", "_salt"]).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 _ODD = np.random.default_rng(17).integers(0, 1 << 63, BANDS * ROWS).astype(np.uint64) * np.uint64(2) + np.uint64(1)

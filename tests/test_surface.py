@@ -11,7 +11,7 @@ import __spark_entry__ as entry
 from motif_spark.functions.register import register_all, vec_sum_native
 from motif_spark.operators import census as C
 from motif_spark.operators import graphs as G
-from motif_spark.plans import MODULES
+from motif_spark.plans import MODULES, graph_queries, relational
 from motif_spark.sources import suites as S
 from motif_spark.sources import textgraph
 from motif_spark.streaming import motifs

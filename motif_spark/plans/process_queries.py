@@ -151,7 +151,7 @@ def x_small_code_k5(spark, sf_dir):
     """Classes of five nodes by the native code, made once for each distinct (labels, bits)."""
     raw = G.saved(C.raw_counts(session(spark, sf_dir), [5]).select("graph_id", "labels", "bits", "cnt"))
     named = raw.select("labels", "bits").distinct().withColumn("code", small_code("labels", "bits", 5))
-    return raw.join(named, ["labels", "bits"]).groupBy("graph_id", "code").agg(F.sum("cnt").alias("freq"))
+    return raw.join(G.shuffled(named), ["labels", "bits"]).groupBy("graph_id", "code").agg(F.sum("cnt").alias("freq"))
 
 
 # --- decision process -----------------------------------------------------------------------------------------

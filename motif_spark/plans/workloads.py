@@ -64,7 +64,7 @@ def compare_methods(data: dict, policy: L.Policy, n_samples: int = 100, seeds: i
     random = P.random_baseline(test, rollouts, census)
     mined = L.mine_all(test, sizes, policy)
     t_learned, _ = A.timed(mined)
-    learned = mined.join(census.select("graph_id", "k", "code", "freq"), ["graph_id", "k", "code"])
+    learned = mined.join(G.shuffled(census.select("graph_id", "k", "code", "freq")), ["graph_id", "k", "code"])
     out = []
     for name, found, seconds in (("exact", truth, t_exact), ("mni", mni, t_mni), ("learned", learned, t_learned)):
         out += [(data["suite"], name, r["k"], r["ratio"], r["graphs"], seconds, 0) for r in A.avg_ratio(A.approx_ratio(found, truth)).collect()]

@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import re
 
-from motif_spark.plans import relational
+import pytest
+
+from motif_spark.plans import class_queries, process_queries, relational
 
 
 def plan(df) -> str:
@@ -20,3 +22,9 @@ def test_lateral_rows_are_ranked_by_price(spark, tmp_path):
     assert re.search(r"row_number\(\) windowspecdefinition\(o_custkey#\d+L, o_totalprice#\d+ DESC", plan(df))
     assert "rangepartitioning" not in plan(df)
     assert {r.c_custkey: r.o_orderkey for r in df.collect()} == {c: 1990 + c for c in range(10)}
+
+
+@pytest.mark.parametrize("name", ["x_small_code_k5", "x_two_stage_k3", "x_census_k1_9_session", "r_best"])
+def test_census_rows_are_not_broadcast(name, spark, small):
+    """Spark guesses their size from the files behind them, which gathered millions of rows on the driver."""
+    assert "BroadcastExchange" not in plan(class_queries.QUERIES.get(name, process_queries.QUERIES.get(name))(spark, small))

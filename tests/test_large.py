@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import random
 import re
 
+import numpy as np
 import pytest
 
+from motif_spark.operators import census, match, process
+from motif_spark.operators import vector as V
 from motif_spark.plans import class_queries, process_queries, relational
 
 
@@ -28,3 +32,27 @@ def test_lateral_rows_are_ranked_by_price(spark, tmp_path):
 def test_census_rows_are_not_broadcast(name, spark, small):
     """Spark guesses their size from the files behind them, which gathered millions of rows on the driver."""
     assert "BroadcastExchange" not in plan(class_queries.QUERIES.get(name, process_queries.QUERIES.get(name))(spark, small))
+
+
+def random_graph(rng, nodes: int, labels: int) -> tuple[list[int], list[list[int]]]:
+    near = [set() for _ in range(nodes)]
+    for _ in range(2 * nodes):
+        a, b = rng.randrange(nodes), rng.randrange(nodes)
+        if a != b:
+            near[a].add(b)
+            near[b].add(a)
+    return [rng.randrange(labels) for _ in range(nodes)], [sorted(x) for x in near]
+
+
+def test_codes_matched_together(monkeypatch):
+    """Frequencies of all codes of a graph from one growth of each shape, beside those of one code after the other."""
+    rng = random.Random(3)
+    for nodes in range(5, 13):
+        labels, nbrs = random_graph(rng, nodes, 3)
+        row = {"nbrs": nbrs, "label_ids": labels, "unit": 0, "units": 1}
+        for k, own, bits, _, _ in census._by_size(row, {3, 4, 5}, 10**9):
+            codes = sorted(set(V.Classes(own, bits).texts(np.arange(len(bits)))))
+            shared = match.matched(codes, labels, nbrs)
+            monkeypatch.setattr(match, "SHARED", 10**9)
+            assert match.matched(codes, labels, nbrs) == shared
+            monkeypatch.undo()

@@ -56,3 +56,14 @@ def test_codes_matched_together(monkeypatch):
             monkeypatch.setattr(match, "SHARED", 10**9)
             assert match.matched(codes, labels, nbrs) == shared
             monkeypatch.undo()
+
+
+def test_walks_at_once():
+    """All walks of a graph, beside one after the other, dead ends included."""
+    rng = random.Random(4)
+    for nodes in range(1, 13):
+        _, nbrs = random_graph(rng, nodes, 3)
+        key, near = (nodes, 4, 2), census.masks(nbrs)
+        one = {i: s for i in range(30) if (s := process.walk(near, 4, (*key, i))) is not None}
+        sample, members = process.walks(V.adjacency(nbrs), 4, key, 30)
+        assert dict(zip(sample.tolist(), map(tuple, members.tolist()))) == one

@@ -40,6 +40,8 @@ ANCHOR = 32
 WIDTH = LENGTH - ANCHOR + 1
 BLOCK_BYTES = 1 << 19
 PART_BYTES = 24 << 20
+#: Bytes of undecided runs, and rows of strings, that a task puts in order at once.
+SLICE_BYTES, SLICE_ROWS = 2 << 20, 1 << 20
 BLOB = "part int, kind int, blob binary"
 # Packed columns: of runs (bucket, content, document, place, places more), of decided runs (document, place,
 # more, several contents), of strings (two identifiers, document, place), of first strings, of texts.
@@ -317,17 +319,36 @@ def _of_ids(doc: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return a, b - a
 
 
+def _anchor_of(held: np.ndarray, cut: np.ndarray) -> np.ndarray:
+    """The least 32-byte name in the first string of each run: equal strings have equal ones, wherever they stand."""
+    short = np.append(names(held)[0] & ~np.uint64(0xFFFFF), np.uint64(0))
+    return np.minimum.reduceat(short, np.stack([cut[:-1], cut[:-1] + WIDTH], 1).ravel())[::2]
+
+
+def _slices(names_: np.ndarray, total: int, most: int) -> tuple[np.ndarray, int]:
+    """Number of the slice of each row, by its name, and how many slices of about `most` out of `total` there are."""
+    count = max(1, -(-total // most))
+    return (_mix(names_ * _C[3]) >> np.uint64(20)) % np.uint64(count), count
+
+
 def _open_strings(parts: int):
-    """Names of the strings of undecided runs, the part's first of each, by their bytes."""
+    """Names of the strings of undecided runs, the part's first of each, by their bytes.
 
-    def kernel(table: pa.Table) -> pa.Table:
+    Runs are dealt to slices by their anchors, so equal strings meet in one slice, and a slice is ordered at a time:
+    the share of undecided runs grows with the table, what is held at once does not.
+    """
+
+    def kernel(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = pa.Table.from_batches(batches)
         doc, place, more, several = _gather(_kinds(table, 0), DECIDED)
         held = several == 1
         doc, place, more = doc[held], place[held].astype(np.int64), more[held].astype(np.int64)
         order = np.argsort(doc, kind="stable")
         doc, place, more = doc[order], place[order], more[order]
         found, length = [], 0
-        for ids, offsets, data, _ in _texts(_kinds(table, 1)):
+        texts = _kinds(table, 1)
+        del table
+        for ids, offsets, data, _ in _texts(texts):
             a, n = _of_ids(doc, ids)
             rows = _spread(a, n)
             text = np.repeat(np.arange(len(ids)), n)
@@ -336,40 +357,99 @@ def _open_strings(parts: int):
             text, lo, size, rows = text[fits], lo[fits], size[fits], rows[fits]
             if not len(rows):
                 continue
-            cut = np.concatenate([[0], np.cumsum(size)])
-            held = data[_spread(lo, size)]
-            _, full, half = names(held)
-            own = _spread(cut[:-1], size - LENGTH + 1)
-            other = (half[own] * _C[1] ^ half[own + LENGTH - 64] * _C[5]) >> np.uint64(32)
-            found.append((full[own], other.astype(np.uint32), np.repeat(ids[text], size - LENGTH + 1), _spread(place[rows], size - LENGTH + 1), own + length, held))
-            length += len(held)
-        if not found:
-            return pa.Table.from_batches([], pa.schema([("part", pa.int32()), ("kind", pa.int32()), ("blob", pa.binary())]))
-        pointer = refine_buckets(np.concatenate([f[5] for f in found]))[np.concatenate([f[4] for f in found])]
-        full, other, d, s = (np.concatenate([f[k] for f in found]) for k in range(4))
-        del found
-        order, new = _firsts([pointer], d, s)
-        keep = order[new]
-        keep = keep[np.lexsort((s[keep], d[keep]))]
+            whole = np.concatenate([[0], np.cumsum(size)])
+            for i, j in spans(whole, SLICE_BYTES):
+                held, cut = data[_spread(lo[i:j], size[i:j])], whole[i : j + 1] - whole[i]
+                found.append((held, cut, _anchor_of(held, cut), ids[text[i:j]], place[rows[i:j]]))
+                length += len(held)
+        del texts
+        ready: list[tuple] = []
+        for k in range(-(-length // SLICE_BYTES)):
+            ready.append(_first_strings([_of_slice(f, length, k) for f in found]))
+            if sum(len(r[0]) for r in ready) >= SLICE_ROWS:
+                yield from _named(ready, parts)
+                ready = []
+        if ready:
+            yield from _named(ready, parts)
+        found.clear()
         release()
-        return pa.Table.from_batches(list(_deal(STRINGS, _part(full[keep], parts), 0, full[keep], other[keep], d[keep], s[keep])))
 
     return kernel
 
 
+def _of_slice(block: tuple, length: int, k: int) -> tuple[np.ndarray, ...]:
+    """Bytes, sizes, documents and places of the runs of a block that are in slice k."""
+    held, cut, anchor, doc, place = block
+    slice_, _ = _slices(anchor, length, SLICE_BYTES)
+    at = np.flatnonzero(slice_ == k)
+    size = cut[at + 1] - cut[at]
+    return held[_spread(cut[at], size)], size, doc[at], place[at]
+
+
+def _first_strings(blocks: list[tuple]) -> tuple[np.ndarray, ...]:
+    """Two names, document and place of the first of each string, by the bytes of all blocks together."""
+    held, size, doc, place = (np.concatenate([b[i] for b in blocks]) for i in range(4))
+    if not len(size):
+        return np.zeros(0, np.uint64), np.zeros(0, np.uint32), np.zeros(0, np.int64), np.zeros(0, np.uint32)
+    count = size - LENGTH + 1
+    own = _spread(np.concatenate([[0], np.cumsum(size)])[:-1], count)
+    pointer = refine_buckets(held)[own]
+    d, s = np.repeat(doc, count), _spread(place, count)
+    order, new = _firsts([pointer], d, s)
+    keep = order[new]
+    del order, new, pointer
+    _, full, half = names(held)
+    at = own[keep]
+    other = (half[at] * _C[1] ^ half[at + LENGTH - 64] * _C[5]) >> np.uint64(32)
+    return full[at], other.astype(np.uint32), d[keep], s[keep].astype(np.uint32)
+
+
+def _named(ready: list[tuple], parts: int) -> Iterator[pa.RecordBatch]:
+    full, other, d, s = (np.concatenate([r[i] for r in ready]) for i in range(4))
+    keep = np.lexsort((s, d))
+    yield from _deal(STRINGS, _part(full[keep], parts), 0, full[keep], other[keep], d[keep], s[keep])
+
+
+def _sliced(blobs: list[bytes], kinds: str, by: int) -> Iterator[list[np.ndarray]]:
+    """The columns of all blobs in slices of about SLICE_ROWS, dealt by a column of names or documents."""
+    total = sum(int.from_bytes(b[:8], "little") for b in blobs)
+    for k in range(-(-total // SLICE_ROWS)):
+        parts = []
+        for b in blobs:
+            columns = _unpack(b, kinds)
+            at = np.flatnonzero(_slices(columns[by].view(np.uint64), total, SLICE_ROWS)[0] == k)
+            parts.append([c[at] for c in columns])
+        columns = [np.concatenate([p[i] for p in parts]) for i in range(len(parts[0]))]
+        if len(columns[0]):
+            yield columns
+
+
 def _decide_strings(parts: int):
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         blobs = [x.as_py() for batch in batches for x in batch.column(2)]
-        full, other, doc, place = _gather(blobs, STRINGS)
-        blobs.clear()
-        order, new = _firsts([full, other], doc, place)
-        keep = order[new]
-        keep = keep[np.lexsort((place[keep], doc[keep]))]
-        yield from _deal(FIRSTS, _doc_part(doc[keep], parts), 2, doc[keep], place[keep])
+        for full, other, doc, place in _sliced(blobs, STRINGS, 0):
+            order, new = _firsts([full, other], doc, place)
+            keep = order[new]
+            keep = keep[np.lexsort((place[keep], doc[keep]))]
+            yield from _deal(FIRSTS, _doc_part(doc[keep], parts), 2, doc[keep], place[keep])
 
     return kernel
 
 
+def _first_runs(blobs: list[bytes]) -> list[np.ndarray]:
+    """Document, place and size of the stretches of places where first strings start."""
+    found = [[np.zeros(0, np.int64)] * 3]
+    for doc, place in _sliced(blobs, FIRSTS, 0):
+        order = np.lexsort((place, doc))
+        doc, place = doc[order], place[order].astype(np.int64)
+        new = np.ones(len(doc), bool)
+        new[1:] = (doc[1:] != doc[:-1]) | (place[1:] > place[:-1] + 1)
+        at = np.flatnonzero(new)
+        last = np.append(at[1:], len(doc)) - 1
+        found.append([doc[at], place[at], place[last] - place[at] + 1])
+    return [np.concatenate([f[i] for f in found]) for i in range(3)]
+
+
 def _remove(carried: list[str]):
     """Cuts the repeated bytes out of every text of a part: its figures, or its rest with the carried columns."""
 
@@ -378,11 +458,11 @@ def _remove(carried: list[str]):
 
         tables: list[pa.Table] = []
         doc, place, more, several = _gather(_kinds(left, 0), DECIDED)
-        d2, s2 = _gather(_kinds(right, 2), FIRSTS)
+        d2, s2, n2 = _first_runs(_kinds(right, 2))
         sure = several == 0
         doc = np.concatenate([doc[sure], d2])
         place = np.concatenate([place[sure], s2]).astype(np.int64)
-        size = np.concatenate([more[sure].astype(np.int64) + 1, np.ones(len(d2), np.int64)])
+        size = np.concatenate([more[sure].astype(np.int64) + 1, n2])
         order = np.argsort(doc, kind="stable")
         doc, place, size = doc[order], place[order], size[order]
         out: list[list] = [[], [], [], [], []]

@@ -6,11 +6,13 @@ import random
 import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
-from motif_spark.operators import census, match, process
+from motif_spark.operators import census, learning, match, mni, process
+from motif_spark.operators import graphs as G
 from motif_spark.operators import vector as V
-from motif_spark.plans import class_queries, process_queries, relational
+from motif_spark.plans import class_queries, network_queries, process_queries, relational, workload_queries
 
 
 def plan(df) -> str:
@@ -67,3 +69,28 @@ def test_walks_at_once():
         one = {i: s for i in range(30) if (s := process.walk(near, 4, (*key, i))) is not None}
         sample, members = process.walks(V.adjacency(nbrs), 4, key, 30)
         assert dict(zip(sample.tolist(), map(tuple, members.tolist()))) == one
+
+
+def test_rows_are_handed_on_in_blocks(spark, small, monkeypatch):
+    """Results of the support miners do not hang on how many rows a task holds, nor on how many are made of a batch."""
+    graphs = class_queries.session(spark, small)
+    whole = mni.mni_census(graphs, [3]).collect()
+    monkeypatch.setattr(mni, "HELD", 5)
+    assert sorted(mni.mni_census(graphs, [3]).collect()) == sorted(whole)
+    batch = pa.RecordBatch.from_arrays([pa.array(range(10))], ["x"])
+    assert [r["x"] for r in G.rows_of([batch, batch], 3)] == [*range(10)] * 2
+
+
+def test_padded_blocks_sum_to_the_gradient(spark, small, monkeypatch):
+    query = workload_queries.QUERIES["l_critic_gradient"]
+    whole = query(spark, small).first()
+    monkeypatch.setattr(learning, "PADDED", 3)
+    few = query(spark, small).first()
+    assert few.transitions == whole.transitions and abs(few.length - whole.length) < 1e-9
+
+
+@pytest.mark.parametrize("name", ["m_task_embed", "w9_worked_example"])
+def test_tables_are_read_by_spark(name, spark, small):
+    """Both made their rows up on the driver."""
+    found = {**network_queries.QUERIES, **workload_queries.QUERIES}[name](spark, small)
+    assert any("events.parquet" in f for f in found.inputFiles())

@@ -7,10 +7,10 @@ import random
 import numpy as np
 import pytest
 
-from motif_spark.operators import census, mni, shared
+from motif_spark.operators import census, mni, process, shared
 from motif_spark.operators import graphs as G
 from motif_spark.operators import vector as V
-from motif_spark.plans import class_queries
+from motif_spark.plans import class_queries, relational, workload_queries
 
 from .test_large import random_graph
 
@@ -64,3 +64,39 @@ def test_best_of_each_graph(spark, small, sizes, monkeypatch):
     monkeypatch.setattr(mni, "WHOLE", 0)
     assert sorted(census.best_census(graphs, sizes).collect()) == sorted(census.most_frequent(whole).collect())
     assert sorted(mni.best_support(graphs, sizes).collect()) == want
+
+
+def test_best_of_samples(spark, small, monkeypatch):
+    """The best drawn class of every seed, from shared structures and from those met once, beside drawing, counting and
+    picking by joins."""
+    rng = random.Random(7)
+    alone = [random_graph(rng, n, 3) for n in range(3, 12)]
+    rows = [(900 + i, len(nbrs), sum(map(len, nbrs)) // 2, labels, nbrs) for i, (labels, nbrs) in enumerate(alone)]
+    session = class_queries.session(spark, small).filter("graph_id < 40")
+    graphs = G.saved(session.unionByName(spark.createDataFrame(rows, session.schema)))
+    want = sorted(process.random_baseline(graphs, process.random_rollouts(graphs, [3, 5], 20, 3)).collect())
+    assert sorted(process.random_best(graphs, [3, 5], 20, 3).collect()) == want
+    monkeypatch.setattr(census, "UNIT", 16)
+    assert sorted(process.random_best(graphs, [3, 5], 20, 3).collect()) == want
+
+
+@pytest.mark.parametrize("name", ["w2_accuracy_session", "w2_accuracy_session3", "l_ratio"])
+def test_no_census_of_all_classes_is_saved(spark, small, name, monkeypatch):
+    """These only need the best class of a graph and the frequencies of classes that a method found."""
+    kept = []
+    monkeypatch.setattr(G, "saved", lambda df, saved=G.saved: kept.append(saved(df)) or kept[-1])
+    {**class_queries.QUERIES, **workload_queries.QUERIES}[name](spark, small)
+    for df in kept:
+        if {"graph_id", "k"} <= set(df.columns):
+            assert not df.groupBy("graph_id", "k").count().filter("count > 1").count()
+
+
+def test_theta_join_meets_few_rows(spark, tmp_path):
+    """Pairs as a plain join has them; rows that no row of their type can match are left out before the join."""
+    rows = [(i, f"t{i % 3}", (i * 7) % 11, float(300 * (i % 5)) if i % 3 else 900.0 + i) for i in range(120)] + [(200, "t1", None, 5000.0), (201, None, 1, 9e9), (202, "t2", 3, None)]
+    parts = spark.createDataFrame(rows, "p_partkey long, p_type string, p_size int, p_retailprice double")
+    parts.write.parquet(f"{tmp_path}/part.parquet")
+    want = [(a[0], b[0]) for a in rows for b in rows if None not in (*a, *b) and a[1] == b[1] and a[2] < b[2] and a[3] > b[3] + 500]
+    df = relational.QUERIES["op_join_theta"](spark, str(tmp_path))
+    assert sorted(map(tuple, df.collect())) == sorted(want)
+    assert "low" in df._jdf.queryExecution().optimizedPlan().toString()

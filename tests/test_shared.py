@@ -100,3 +100,23 @@ def test_theta_join_meets_few_rows(spark, tmp_path):
     df = relational.QUERIES["op_join_theta"](spark, str(tmp_path))
     assert sorted(map(tuple, df.collect())) == sorted(want)
     assert "low" in df._jdf.queryExecution().optimizedPlan().toString()
+
+
+@pytest.mark.parametrize("whole", [0, 6, None])
+def test_components_by_task_and_by_stars(spark, whole):
+    """Graphs up to a number of edges are settled by a task each, the others by stars, with the same components."""
+    rng = random.Random(5)
+    nodes, edges, want = [], [], set()
+    for graph in range(8):
+        _, nbrs = random_graph(rng, 2 + 3 * graph, 1)
+        nbrs = [[y for y in row if rng.random() < 0.5] for row in nbrs]
+        ends = [(x, y) for x, row in enumerate(nbrs) for y in row]
+        least = list(range(len(nbrs)))
+        for _ in nbrs:
+            for x, y in ends:
+                least[x] = least[y] = min(least[x], least[y])
+        nodes += [(graph, x) for x in range(len(nbrs))]
+        edges += [(graph, x, y) for x, y in ends]
+        want |= {(graph, x, c) for x, c in enumerate(least)}
+    found = G.connected_components(spark.createDataFrame(nodes, "graph_id long, node int"), spark.createDataFrame(edges, "graph_id long, u int, v int"), whole=whole)
+    assert {tuple(r) for r in found.collect()} == want

@@ -7,7 +7,7 @@ import random
 import numpy as np
 import pytest
 
-from motif_spark.operators import census, mni, process, shared
+from motif_spark.operators import census, match, mni, process, shared
 from motif_spark.operators import graphs as G
 from motif_spark.operators import vector as V
 from motif_spark.plans import class_queries, relational, workload_queries
@@ -120,3 +120,19 @@ def test_components_by_task_and_by_stars(spark, whole):
         want |= {(graph, x, c) for x, c in enumerate(least)}
     found = G.connected_components(spark.createDataFrame(nodes, "graph_id long, node int"), spark.createDataFrame(edges, "graph_id long, u int, v int"), whole=whole)
     assert {tuple(r) for r in found.collect()} == want
+
+
+def test_matches_of_a_shared_structure():
+    """Frequencies do not hang on whether a shape was grown in an earlier graph of the same neighbour lists."""
+    rng = random.Random(9)
+    _, nbrs = random_graph(rng, 12, 2)
+    match._grown.clear()
+    for _ in range(4):
+        labels = [rng.randrange(2) for _ in nbrs]
+        row = {"nbrs": nbrs, "label_ids": labels, "unit": 0, "units": 1}
+        for k, own, bits, cnt, _ in census._by_size(row, {3, 4}, 10**9):
+            want = {}
+            for code, n in zip(V.Classes(own, bits).texts(np.arange(len(bits))), cnt.tolist()):
+                want[code] = want.get(code, 0) + n
+            assert match.matched(list(want), labels, nbrs) == list(want.values())
+    assert any(x is not None and x.shape[1] for x in match._grown.values())

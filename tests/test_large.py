@@ -5,6 +5,7 @@ from __future__ import annotations
 import random
 import re
 
+import duckdb
 import numpy as np
 import pyarrow as pa
 import pytest
@@ -12,7 +13,7 @@ import pytest
 from motif_spark.operators import census, learning, match, mni, process
 from motif_spark.operators import graphs as G
 from motif_spark.operators import vector as V
-from motif_spark.plans import class_queries, network_queries, process_queries, relational, workload_queries
+from motif_spark.plans import class_queries, network_queries, process_queries, relational, stream_queries, workload_queries
 
 
 def plan(df) -> str:
@@ -94,3 +95,16 @@ def test_tables_are_read_by_spark(name, spark, small):
     """Both made their rows up on the driver."""
     found = {**network_queries.QUERIES, **workload_queries.QUERIES}[name](spark, small)
     assert any("events.parquet" in f for f in found.inputFiles())
+
+
+def test_sessions_of_the_stream_are_written_to_files(spark, tmp_path):
+    """They went to the driver; over files that are not in the order of time, all are there, those still open too."""
+    times = [(1, "01 00:00:00"), (1, "01 06:00:00"), (2, "01 00:00:00"), (2, "01 05:59:59.999999"), (3, "20 00:00:00"), (3, "02 00:00:00"), (3, "02 10:00:00"), (3, "02 05:00:00"), (4, "30 23:59:59")]
+    for i, (user, t) in enumerate(times):
+        row = f"CAST({i} AS LONG) AS event_id, TIMESTAMP_NTZ '2024-01-{t}' AS ts, CAST({user} AS LONG) AS user_id, 'view' AS event_type, 1D AS value, '{{}}' AS props"
+        spark.sql(f"SELECT {row}").write.mode("append").parquet(f"{tmp_path}/events.parquet")
+    df = stream_queries.QUERIES["s_stream_sessions"](spark, str(tmp_path))
+    assert df.inputFiles() and "LocalTableScan" not in plan(df)
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")
+    assert sorted(map(tuple, df.collect())) == sorted(con.execute(stream_queries.SQL["s_stream_sessions"]).fetchall())

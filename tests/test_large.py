@@ -97,13 +97,20 @@ def test_tables_are_read_by_spark(name, spark, small):
     assert any("events.parquet" in f for f in found.inputFiles())
 
 
+HEAP = "org.apache.spark.sql.execution.streaming.state.HDFSBackedStateStoreProvider"
+
+
 def test_sessions_of_the_stream_are_written_to_files(spark, tmp_path):
     """They went to the driver; over files that are not in the order of time, all are there, those still open too."""
     times = [(1, "01 00:00:00"), (1, "01 06:00:00"), (2, "01 00:00:00"), (2, "01 05:59:59.999999"), (3, "20 00:00:00"), (3, "02 00:00:00"), (3, "02 10:00:00"), (3, "02 05:00:00"), (4, "30 23:59:59")]
     for i, (user, t) in enumerate(times):
         row = f"CAST({i} AS LONG) AS event_id, TIMESTAMP_NTZ '2024-01-{t}' AS ts, CAST({user} AS LONG) AS user_id, 'view' AS event_type, 1D AS value, '{{}}' AS props"
         spark.sql(f"SELECT {row}").write.mode("append").parquet(f"{tmp_path}/events.parquet")
+    own = spark.conf.get(stream_queries.STATE)
+    spark.conf.set(stream_queries.STATE, HEAP)
     df = stream_queries.QUERIES["s_stream_sessions"](spark, str(tmp_path))
+    assert spark.conf.get(stream_queries.STATE) == HEAP
+    spark.conf.set(stream_queries.STATE, own)
     assert df.inputFiles() and "LocalTableScan" not in plan(df)
     con = duckdb.connect()
     con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")

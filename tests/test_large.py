@@ -115,3 +115,51 @@ def test_sessions_of_the_stream_are_written_to_files(spark, tmp_path):
     con = duckdb.connect()
     con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")
     assert sorted(map(tuple, df.collect())) == sorted(con.execute(stream_queries.SQL["s_stream_sessions"]).fetchall())
+
+
+def test_no_row_of_every_class_is_saved(spark, small, monkeypatch):
+    """There are about as many classes as connected sets; how many have each frequency is enough, and no code is made for it."""
+    kept = []
+    monkeypatch.setattr(G, "saved", lambda df, saved=G.saved: kept.append((plan(df), saved(df))) or kept[-1][1])
+    found = class_queries.QUERIES["x_census_k1_9_session"](spark, small)
+    for text, df in kept:
+        assert not df.groupBy("graph_id", "k", "freq").count().filter("count > 1").count()
+        assert "ArrowEvalPython" not in text
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{small}/events.parquet'")
+    assert sorted(map(tuple, found.collect())) == sorted(con.execute(class_queries.SQL["x_census_k1_9_session"]).fetchall())
+
+
+def test_classes_of_whole_graphs(spark, small, monkeypatch):
+    """Classes that leave their task once, beside those of one set after the other and those put together by a shuffle; of
+    graphs with shared and with own structures, of wide labels, and of more sets than are shared."""
+    rng = random.Random(6)
+    own = [random_graph(rng, n, labels) for n, labels in ((1, 1), (2, 2), (7, 3), (9, 40), (11, 2))]
+    star = ([rng.randrange(3) for _ in range(30)], [[*range(1, 30)], *[[0]] * 29])
+    again = [([rng.randrange(3) for _ in own[3][0]], own[3][1]) for _ in range(3)]
+    rows = [(900 + i, len(nbrs), sum(map(len, nbrs)) // 2, labels, nbrs) for i, (labels, nbrs) in enumerate([*own, star, *again])]
+    session = class_queries.session(spark, small).filter("graph_id < 30")
+    graphs = G.saved(session.unionByName(spark.createDataFrame(rows, session.schema)).coalesce(1))
+    sizes = [1, 2, 4]
+    want = {}
+    for g in graphs.collect():
+        near = census.masks(g.nbrs)
+        for s in census.enumerate_sets(near, 4):
+            if len(s) in sizes:
+                code, turns, _, _ = census.canonical_of(*census.raw_key(s, g.label_ids, near))
+                n, _, least = want.get((g.graph_id, len(s), code), (0, 0, sorted(s)))
+                want[g.graph_id, len(s), code] = n + 1, turns, min(least, sorted(s))
+    want = sorted((*key, *x) for key, x in want.items())
+    columns = ["graph_id", "k", "code", "freq", "n_aut", "sample"]
+    for _ in range(2):
+        assert sorted(map(tuple, census.exact_census(graphs, sizes).select(columns).collect())) == want
+    monkeypatch.setattr(census, "UNIT", 16)
+    assert sorted(map(tuple, census.exact_census(graphs, sizes).select(columns).collect())) == want
+
+
+def test_parts_of_a_whole_graph_are_summed():
+    """A class that came in several parts is one row, with the least of its sets."""
+    part = lambda *rows: ([r[0] for r in rows], *(np.array([r[i] for r in rows]) for i in (1, 2, 3)))
+    parts = [(2, *part(("b", 3, 1, [1, 5]), ("a", 1, 2, [2, 4]))), (1, *part(("c", 1, 1, [0]))), (2, *part(("a", 4, 2, [2, 3]), ("d", 1, 1, [0, 9])))]
+    found = {(k, *row) for k, codes, *x in census._summed(iter(parts)) for row in zip(codes, *(y.tolist() for y in x[:2]), map(tuple, x[2].tolist()))}
+    assert found == {(1, "c", 1, 1, (0,)), (2, "a", 5, 2, (2, 3)), (2, "b", 3, 1, (1, 5)), (2, "d", 1, 1, (0, 9))}
